@@ -1,0 +1,6 @@
+"""Registry of the queries of the reference's methods, each with its DuckDB twin where SQL can express it."""
+
+from __future__ import annotations
+
+QUERIES: dict = {}
+ORACLES: dict[str, str] = {}
