@@ -21,6 +21,7 @@ import json
 import re
 import unicodedata
 from collections.abc import Iterator
+from functools import lru_cache
 
 import pandas as pd
 import regex
@@ -174,12 +175,18 @@ class _Tokens(dict):
         return got
 
 
+@lru_cache(1)
+def bpe_of(path: str) -> Bpe:
+    """One for a worker process, across its tasks."""
+    return Bpe(path)
+
+
 def encode_documents(docs: DataFrame, tokenizer: str, with_ids: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256; with_ids adds ids (array) and the decoded text."""
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * with_ids
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        bpe, sha = Bpe(tokenizer), hashlib.sha256
+        bpe, sha = bpe_of(tokenizer), hashlib.sha256
         for b in batches:
             rows = []
             for doc, text in zip(b.doc_id.astype("Int64"), b.text):

@@ -1,6 +1,6 @@
 """First-fit decreasing packing with a tournament tree of bin capacities, in randomised groups.
 
-Documents become token ids (texts by ``tokens.TextIds``) and an end id. Each is cut into pieces
+Documents become token ids (texts by ``tokens``) and an end id. Each is cut into pieces
 of ``length`` tokens; such a full piece is a sequence of its own. The rests are dealt by a seeded
 hash into groups of ``group_rows`` on average, and each group packs its rests by itself: longest
 first, each into the first bin that has room. The bins are leaves of a tournament tree whose inner
@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from avcurate.llm.common import spread, stage
-from avcurate.llm.tokens import TextIds
+from avcurate.llm.tokens import ids_of
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, salt long"
 #: Sequences of full pieces are numbered from here, by task and place; groups' sequences lie below.
@@ -74,7 +74,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: in
     end = struct.pack("<I", end_id)
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encode, part, row = TextIds(tokenizer), TaskContext.get().partitionId(), 0
+        encode, part, row = ids_of(tokenizer), TaskContext.get().partitionId(), 0
         for b in batches:
             out = []
             for doc, text in zip(b.doc_id.astype("Int64"), b.text):

@@ -8,6 +8,7 @@ and any text that holds the string of a special token, goes to the tokenizers li
 from __future__ import annotations
 
 import json
+from functools import lru_cache
 
 import tiktoken
 from tokenizers import Tokenizer
@@ -54,3 +55,9 @@ class TextIds:
         if self.fast is None or any(s in text for s in self.special):
             return self.tok.encode(text, add_special_tokens=False).ids
         return self.fast(text)
+
+
+@lru_cache(1)
+def ids_of(path: str) -> TextIds:
+    """One for a worker process, across its tasks."""
+    return TextIds(path)

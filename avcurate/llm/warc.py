@@ -3,8 +3,8 @@
 An archive is a row (archive_id, warc binary) of a table in the shared folder, so that any
 executor can write and read it through Spark; ``read_archives`` takes such rows from any source,
 for instance Spark's ``binaryFile``. The writer keeps an archive below ``archive_bytes`` (one
-record may exceed it). The dictionary is trained on at most ``dict_samples`` pages, those with the
-least hashes of their ids, and at most ``sample_bytes`` of each; where training has too little to
+record may exceed it). The dictionary is trained on at most ``dict_samples`` pages, chosen by
+hashes of their ids, and at most ``sample_bytes`` of each; where training has too little to
 go by, the samples themselves serve as a raw dictionary.
 
 Of records with equal payloads of at least ``revisit_bytes``, the one with the smallest page_id is
@@ -152,8 +152,10 @@ def train_dictionary(samples: list[bytes], size: int) -> bytes:
 
 
 def dictionary_for(pages: DataFrame, dict_samples: int = 200, sample_bytes: int = 8192, dict_bytes: int = 32768) -> bytes:
+    n = pages.count()
+    near = F.pmod(F.xxhash64("page_id"), F.lit(1 << 30)) <= F.lit(min(1 << 30, (2 * dict_samples << 30) // max(1, n)))
     rows = (
-        pages.where("html is not null")
+        pages.where(near & F.col("html").isNotNull())
         .select(F.xxhash64("page_id").alias("h"), F.substring("html", 1, sample_bytes).alias("s"))
         .orderBy("h", "s").limit(dict_samples).collect()
     )
