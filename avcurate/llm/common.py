@@ -49,3 +49,8 @@ def spread(df: DataFrame) -> DataFrame:
 
 def text_or_empty(col: str = "text"):
     return F.coalesce(F.col(col), F.lit(""))
+
+
+def renamed(df: DataFrame, keep: tuple[str, ...] = ("doc_id", "text")) -> DataFrame:
+    """The same columns under names c0, c1, ... but for ``keep``, so that no helper column can clash."""
+    return df.toDF(*[c if c in keep and df.columns.index(c) == i else f"c{i}" for i, c in enumerate(df.columns)])

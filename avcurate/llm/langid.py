@@ -30,7 +30,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from avcurate.llm.common import spread
+from avcurate.llm.common import renamed, spread
 
 #: First code points of ranges of scripts.
 SCRIPT_RANGES = (
@@ -252,6 +252,7 @@ def identify_documents(docs: DataFrame, **options) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame, least: float = 0.2) -> DataFrame:
-    """The documents, with unique ids, whose text has a language; null ids stay when their text has one."""
-    found = identify(docs, fit(docs), keep=tuple(docs.columns) if "text" in docs.columns else ("doc_id",))
-    return found.where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least)).select(docs.columns)
+    """The documents whose text has a language that holds at least the share ``least`` of its letters."""
+    rows = renamed(docs)
+    found = identify(rows, fit(docs), keep=tuple(rows.columns))
+    return found.where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least)).select(rows.columns).toDF(*docs.columns)

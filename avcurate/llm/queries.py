@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from avcurate.llm import bpe, chat, embeddings, langid, media, packing, sharding, simhash, warc
+from avcurate.llm import bpe, chat, embeddings, langid, media, packing, repeats, sharding, simhash, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -37,6 +37,10 @@ def op4_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.read_media(media.store_texts(table(spark, sf_dir, "documents")))
 
 
+def op5_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.repeats(table(spark, sf_dir, "documents"))
+
+
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), tokenizer("byte_bpe_50k.json"))
 
@@ -72,6 +76,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_embedding_neardup": op2_embedding_neardup,
     "op3_simhash_neardup": op3_simhash_neardup,
     "op4_media": op4_media,
+    "op5_repeats": op5_repeats,
     "op6_packing": op6_packing,
     "op7_warc": op7_warc,
     "op8_sharding": op8_sharding,
