@@ -230,7 +230,10 @@ def w4_centroids(spark, d):
     return rounded(lips.centroids(lip_frames(spark, d)), "cx", "cy")
 
 
-@query(f"WITH {T.LANDMARKS} SELECT clip_id, frame_no, {T.r6('cx')} AS cx, {T.r6('cy')} AS cy, filled FROM interp")
+LANDMARKS_SQL = f"WITH {T.LANDMARKS} SELECT clip_id, frame_no, {T.r6('cx')} AS cx, {T.r6('cy')} AS cy, filled FROM interp"
+
+
+@query(LANDMARKS_SQL)
 def w4_interp(spark, d):
     return rounded(lips.interpolate(lips.centroids(lip_frames(spark, d))), "cx", "cy")
 

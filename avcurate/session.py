@@ -12,3 +12,16 @@ def session(app: str = "avcurate", master: str | None = None, **conf: str) -> Sp
     for k, v in conf.items():
         b = b.config(k, v)
     return b.getOrCreate()
+
+
+def shared_path(spark: SparkSession, tag: str) -> str:
+    """A new folder below ``spark.checkpoint.dir``, which driver and executors share; a local one only where that is unset in a single JVM."""
+    import tempfile
+    import uuid
+
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not base:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        spark.conf.set("spark.checkpoint.dir", base := "file://" + tempfile.mkdtemp(prefix="avcurate-"))
+    return f"{base.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
