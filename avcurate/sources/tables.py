@@ -36,7 +36,7 @@ def roundtrip(df: DataFrame, fmt: str, path: str) -> DataFrame:
     """Write in one of csv, json, orc, parquet or text, and read with the same schema."""
     writer, reader = df.write.mode("overwrite"), df.sparkSession.read.schema(df.schema)
     if fmt == "csv":
-        writer, reader = writer.options(header=True, escape='"', quoteAll=True, emptyValue=""), reader.options(header=True, escape='"', multiLine=True, emptyValue="")
+        writer, reader = writer.options(header=True, escape='"', quoteAll=True, emptyValue="", nullValue="\\N"), reader.options(header=True, escape='"', multiLine=True, emptyValue="", nullValue="\\N")
     writer.format(fmt).save(path)
     return reader.format(fmt).load(path)
 
