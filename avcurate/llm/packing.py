@@ -70,11 +70,11 @@ def first_fit_decreasing(sizes: list[int], capacity: int) -> list[tuple[int, int
 
 
 def token_pieces(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: int = 1, seed: int = 7, with_ids: bool = False) -> DataFrame:
-    """The pieces of every document; with_ids adds their ids as little-endian 32-bit integers."""
+    """The pieces of every document, rests with sequence_id -1; with_ids adds their ids as little-endian 32-bit integers."""
     end = struct.pack("<I", end_id)
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encode, part, row = ids_of(tokenizer), TaskContext.get().partitionId(), 0
+        encode, part, row, full = ids_of(tokenizer), TaskContext.get().partitionId(), 0, 0
         for b in batches:
             out = []
             for doc, text in zip(b.doc_id.astype("Int64"), b.text):
@@ -83,7 +83,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: in
                 for start in range(0, n, length):
                     piece = ids[4 * start : 4 * (start + length)]
                     k = len(piece) // 4
-                    own = FULL + (part << 40) + len(out) + (row << 14) if k == length else None
+                    own, full = (FULL + (part << 40) + full, full + 1) if k == length else (-1, full)
                     out.append((doc, start, k, zlib.crc32(piece), n, own, zlib.crc32(b"%d %d %d" % (seed, part, row))) + ((piece,) if with_ids else ()))
                 if len(out) >= 5000:
                     yield _pieces(out, with_ids)
@@ -95,13 +95,13 @@ def token_pieces(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: in
 
 def _pieces(rows: list[tuple], with_ids: bool) -> pd.DataFrame:
     df = pd.DataFrame(rows, columns=[x.split()[0] for x in PIECES.split(", ")] + ["ids"] * with_ids)
-    return df.astype({"doc_id": "Int64", "sequence_id": "Int64"})
+    return df.astype({"doc_id": "Int64"})
 
 
 def pack_pieces(pieces: DataFrame, capacity: int, groups: int) -> DataFrame:
     """sequence_id and offset for every piece; extra columns of the pieces stay."""
     names = [f.name for f in pieces.schema if f.name not in ("sequence_id", "salt")]
-    full = pieces.where("sequence_id is not null").select(*names, "sequence_id", F.lit(0).cast("long").alias("offset"))
+    full = pieces.where("sequence_id >= 0").select(*names, "sequence_id", F.lit(0).cast("long").alias("offset"))
 
     def pack(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values(["doc_id", "start", "ids_crc32", "doc_tokens"], kind="stable", ignore_index=True)
@@ -110,12 +110,12 @@ def pack_pieces(pieces: DataFrame, capacity: int, groups: int) -> DataFrame:
         g["offset"] = [o for _, o in placed]
         return g[[*names, "sequence_id", "offset"]].astype({"doc_id": "Int64"})
 
-    rests = pieces.where("sequence_id is null").select(*names, F.pmod(F.xxhash64("salt"), F.lit(groups)).alias("grp"))
+    rests = pieces.where("sequence_id < 0").select(*names, F.pmod(F.xxhash64("salt"), F.lit(groups)).alias("grp"))
     return full.unionByName(rests.groupBy("grp").applyInPandas(pack, full.schema))
 
 
 def pack_documents(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: int = 1, group_rows: int = 1024, seed: int = 7) -> DataFrame:
     """doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset of every piece."""
     pieces = stage(token_pieces(docs, tokenizer, length, end_id, seed), "pack-pieces")
-    groups = max(1, math.ceil(pieces.where("sequence_id is null").count() / group_rows))
+    groups = max(1, math.ceil(pieces.where("sequence_id < 0").count() / group_rows))
     return pack_pieces(pieces, length, groups)
