@@ -94,8 +94,7 @@ def bucket_rows(classes: DataFrame, threshold: float, bits: int, tables: int, se
             keys = np.frombuffer(b"".join(g["keys"]), np.uint16).reshape(len(g), -1)
             o = np.argsort(g.id.to_numpy())
             rows = bucket_links(v[o], g.n.to_numpy()[o], g.id.to_numpy()[o], keys[o], last[1], threshold)
-            out = pd.DataFrame(rows, columns=["id", "gained", "other"])
-            return out.astype({"id": "int64", "gained": "int64", "other": "Int64"})
+            return pd.DataFrame({"id": [r[0] for r in rows], "gained": [r[1] for r in rows], "other": pd.array([r[2] for r in rows], dtype="Int64")}).astype({"id": "int64", "gained": "int64"})
 
         for b in batches:
             for at, g in b.groupby(place, sort=True):

@@ -236,10 +236,8 @@ def read_archives(archives: DataFrame, column: str = "warc", payloads: bool = Fa
 
 
 def _frame(rows: list[tuple], names: list[str]) -> pd.DataFrame:
-    df = pd.DataFrame(rows, columns=names)
-    for c in ("page_id", "refers_to"):
-        df[c] = df[c].astype("Int64")
-    return df
+    columns = dict(zip(names, zip(*rows)))
+    return pd.DataFrame({c: pd.array(list(v), dtype="Int64") if c in ("page_id", "refers_to") else list(v) for c, v in columns.items()})
 
 
 def archive_pages(pages: DataFrame, **dictionary_options) -> DataFrame:
