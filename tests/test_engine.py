@@ -11,7 +11,7 @@ from avcurate.queries.workloads import curated
 from avcurate.sources import frames_source, tables
 from avcurate.sources import fixtures as fx
 from avcurate.streaming import online
-from conftest import SMALL
+from compare import SMALL
 
 
 def test_curation_stays_in_the_jvm_and_reads_what_it_needs(spark):

@@ -3,8 +3,7 @@
 import pytest
 
 from avcurate.queries import ORACLES, QUERIES
-from compare import same
-from conftest import SMALL
+from compare import SMALL, same
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))

@@ -13,7 +13,7 @@ from avcurate.functions.vectors import cosine
 from avcurate.operators import curation, evaluate, lips, motion, normalise, signal
 from avcurate.operators.curation import CurationPolicy
 from avcurate.sources import fixtures as fx
-from conftest import SMALL
+from compare import SMALL
 
 
 def one(df):

@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from avcurate.operators import curriculum, resampler, trainer
 from avcurate.sources import fixtures as fx
-from conftest import SMALL
+from compare import SMALL
 
 
 def rows(spark):
