@@ -21,13 +21,12 @@ import json
 import re
 import unicodedata
 from collections.abc import Iterator
-from functools import lru_cache
 
 import pandas as pd
 import regex
 from pyspark.sql import DataFrame
 
-from avcurate.llm.common import spread
+from avcurate.llm.common import kept, spread
 from avcurate.llm.tokens import byte_alphabet
 
 END = "</w>"
@@ -175,10 +174,9 @@ class _Tokens(dict):
         return got
 
 
-@lru_cache(1)
 def bpe_of(path: str) -> Bpe:
     """One for a worker process, across its tasks."""
-    return Bpe(path)
+    return kept(("bpe", path), lambda: Bpe(path))
 
 
 def encode_documents(docs: DataFrame, tokenizer: str, with_ids: bool = False) -> DataFrame:

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
+from collections.abc import Callable, Hashable
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -54,3 +57,27 @@ def text_or_empty(col: str = "text"):
 def renamed(df: DataFrame, keep: tuple[str, ...] = ("doc_id", "text")) -> DataFrame:
     """The same columns under names c0, c1, ... but for ``keep``, so that no helper column can clash."""
     return df.toDF(*[c if c in keep and df.columns.index(c) == i else f"c{i}" for i, c in enumerate(df.columns)])
+
+
+_KEPT: list[tuple[Hashable, object]] = []
+
+
+def kept(key: Hashable, make: Callable[[], object]):
+    """What a worker process keeps from task to task (a tokenizer, a model with its cache): one thing at a time.
+
+    Workers outlive stages; what an earlier stage kept is given back before the next is made.
+    """
+    if not _KEPT or _KEPT[0][0] != key:
+        release()
+        _KEPT.append((key, make()))
+    return _KEPT[0][1]
+
+
+def release() -> None:
+    """Give back what this worker process keeps, to the system too where its C library can."""
+    _KEPT.clear()
+    gc.collect()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # another C library
+        pass

@@ -20,17 +20,17 @@ repeated rows give repeated results; an empty table gives no rows; extra columns
 from __future__ import annotations
 
 import re
+import uuid
 from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from avcurate.llm.common import renamed, spread
+from avcurate.llm.common import kept, renamed, spread
 
 #: First code points of ranges of scripts.
 SCRIPT_RANGES = (
@@ -61,6 +61,7 @@ class Model:
     def __init__(self, counts: list[tuple[str, str, str, int]], clip: float = 6.0, script_share: float = 0.01):
         """counts: (kind, language, item, count) with kinds word, gram, script, total."""
         self.langs = sorted({lang for _, lang, _, _ in counts})
+        self.token = uuid.uuid4().hex
         self.clip, k = clip, len(self.langs)
         at = {lang: i for i, lang in enumerate(self.langs)}
         tables: dict[str, dict[str, np.ndarray]] = {kind: {} for kind in ("word", "gram", "script", "total")}
@@ -76,25 +77,29 @@ class Model:
 
     def _smooth(self, table: dict[str, np.ndarray], total: np.ndarray, a: float = 0.5) -> tuple[dict[str, int], np.ndarray]:
         """Row of each item, and rows of log-probabilities; the last row is of items that training hasn't seen."""
-        c = np.array([*table.values(), np.zeros(len(self.langs))]).reshape(-1, len(self.langs))
+        c = np.array([*table.values(), np.zeros(len(self.langs))]).reshape(len(table) + 1, len(self.langs))
         return {x: i for i, x in enumerate(table)}, np.log((c + a) / (total + a * len(c)))
 
-    def scores(self, word: str) -> np.ndarray:
-        """Relative to the best, not below -clip; zeros where the script says nothing; -2 clip for other scripts' languages."""
-        may = self.scripts.get(script_of(word))
-        if may is None or not may.any():
-            return np.zeros(len(self.langs))
-        at = self.words.get(word)
-        if at is None:
-            s = self.gram_rows[[self.grams.get(g, -1) for g in grams_of(word)]].sum(axis=0)
-        else:
-            s = self.word_rows[at]
-        s = np.maximum(s - s[may].max(), -self.clip)
-        return np.where(may, s, -2 * self.clip)
+    def scores(self, words: list[str]) -> np.ndarray:
+        """A row for each word: relative to its best language, not below -clip; zeros where the script says nothing; -2 clip for languages of other scripts."""
+        out = np.zeros((len(words), len(self.langs)))
+        known = np.fromiter((self.words.get(w, -1) for w in words), np.int64, len(words))
+        out[known >= 0] = self.word_rows[known[known >= 0]]
+        new = np.flatnonzero(known < 0)
+        if len(new):
+            grams = [[self.grams.get(g, -1) for g in grams_of(words[i])] for i in new]
+            first = np.cumsum([0, *map(len, grams[:-1])])
+            out[new] = np.add.reduceat(self.gram_rows[np.concatenate(grams)], first, axis=0)
+        nothing = np.zeros(len(self.langs), bool)
+        may = np.array([self.scripts.get(script_of(w), nothing) for w in words])
+        out = np.maximum(out - np.where(may, out, -1e9).max(axis=1, keepdims=True), -self.clip)
+        out = np.where(may, out, -2 * self.clip)
+        out[~may.any(axis=1)] = 0
+        return out
 
 
 class Scorer:
-    """Rows of scores by word, for the words of a task; a bounded number is kept."""
+    """Rows of scores and letters by word, for the words of a task; a bounded number is kept."""
 
     def __init__(self, model: Model, cache_words: int = 300_000):
         self.model, self.most = model, cache_words
@@ -102,22 +107,41 @@ class Scorer:
 
     def clear(self) -> None:
         self.rows: dict[str, int] = {}
-        self.scores: list[np.ndarray] = []
-        self.letters: list[int] = []
+        self.scores = np.zeros((1024, len(self.model.langs)), np.float32)
+        self.letters = np.zeros(1024, np.int32)
 
     def ids(self, words: list[str]) -> np.ndarray:
         rows = self.rows
-        for w in set(words) - rows.keys():
-            rows[w] = len(self.scores)
-            self.scores.append(self.model.scores(w))
-            self.letters.append(sum(map(str.isalpha, w)))
+        new = [w for w in set(words) if w not in rows]
+        if new:
+            end = len(rows) + len(new)
+            while end > len(self.scores):
+                self.scores = np.concatenate([self.scores, np.zeros_like(self.scores)])
+                self.letters = np.concatenate([self.letters, np.zeros_like(self.letters)])
+            self.scores[len(rows) : end] = self.model.scores(new)
+            self.letters[len(rows) : end] = [sum(map(str.isalpha, w)) for w in new]
+            rows.update(zip(new, range(len(rows), end)))
         return np.fromiter(map(rows.__getitem__, words), np.int32, len(words))
 
 
-@lru_cache(1)
-def scorer_of(model: Model) -> Scorer:
+def scorer_of(sent) -> Scorer:
     """One for a worker process, across its tasks."""
-    return Scorer(model)
+    return kept(("langid", sent.value.token), lambda: Scorer(sent.value))
+
+
+def stays(s: np.ndarray, penalty: float) -> int | None:
+    """The label that the best path has from end to end, where that is certain without the path.
+
+    Leaving label L for words a..b gains at most the sum of the others' best lead over L there. If
+    no stretch of words has a lead above the penalty of one switch, no path beats staying.
+    """
+    if s.shape[1] < 2:
+        return 0
+    at = int(s.sum(axis=0, dtype=np.float64).argmax())
+    lead = np.delete(s, at, axis=1).max(axis=1).astype(np.float64) - s[:, at]
+    summed = np.cumsum(lead)
+    lowest = np.minimum.accumulate(np.r_[0.0, summed[:-1]])
+    return at if (summed - lowest).max() <= penalty else None
 
 
 def viterbi(ids: list[np.ndarray], scores: np.ndarray, penalty: float) -> list[np.ndarray]:
@@ -202,12 +226,19 @@ def label(texts: list[str | None], scorer: Scorer, penalty: float) -> list[tuple
     """(language, score, spans of words (language, first, count)) of each text."""
     model = scorer.model
     ids = [scorer.ids(find_words(t.lower())) if t and model.langs else np.empty(0, np.int32) for t in texts]
-    if not scorer.scores:
-        return [(UNDETERMINED, 0.0, [])] * len(texts)
-    scores, letters = np.array(scorer.scores), np.array(scorer.letters, dtype=np.float64)
+    scores, letters = scorer.scores, scorer.letters
+    paths: list[np.ndarray] = []
+    open_ = []
+    for i, x in enumerate(ids):
+        at = stays(scores[x], penalty) if len(x) else None
+        paths.append(np.full(len(x), at or 0, np.uint8))
+        if len(x) and at is None:
+            open_.append(i)
+    for i, path in zip(open_, viterbi([ids[i] for i in open_], scores, penalty)):
+        paths[i] = path
     out = []
-    for x, path in zip(ids, viterbi(ids, scores, penalty)):
-        weight = letters[x]
+    for x, path in zip(ids, paths):
+        weight = letters[x].astype(np.float64)
         if not weight.sum():
             out.append((UNDETERMINED, 0.0, []))
             continue
@@ -227,10 +258,10 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, spans: bool =
     schema = rows.drop("_text").schema.simpleString()[7:-1] + ", lang_pred string, score double, mixed boolean" + ", spans array<struct<lang:string,first:int,words:int>>" * spans
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        scorer = scorer_of(sent.value)
+        scorer = scorer_of(sent)
         for b in batches:
-            for at in range(0, len(b), 2000):
-                part = b.iloc[at : at + 2000]
+            for at in range(0, len(b), 5000):
+                part = b.iloc[at : at + 5000]
                 if len(scorer.rows) > scorer.most:
                     scorer.clear()
                 found = label(part._text.tolist(), scorer, penalty)

@@ -8,11 +8,12 @@ and any text that holds the string of a special token, goes to the tokenizers li
 from __future__ import annotations
 
 import json
-from functools import lru_cache
 
 import tiktoken
 from tokenizers import Tokenizer
 
+from avcurate.llm.common import kept
+
 #: Fixed value: the pre-tokenizer's pattern for byte-level BPE.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
@@ -57,7 +58,6 @@ class TextIds:
         return self.fast(text)
 
 
-@lru_cache(1)
 def ids_of(path: str) -> TextIds:
     """One for a worker process, across its tasks."""
-    return TextIds(path)
+    return kept(("ids", path), lambda: TextIds(path))
