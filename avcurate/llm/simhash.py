@@ -166,7 +166,118 @@ def near_duplicates(docs: DataFrame, k: int = 3, limit: int = 3, seed: int = 42)
     return fingerprint_components(fps, limit).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, k: int = 3, limit: int = 3, seed: int = 42) -> DataFrame:
-    """The documents, with unique ids, without all but the smallest doc_id of each component."""
-    gone = near_duplicates(docs, k, limit, seed).where("doc_id <> component_id").select("doc_id")
+# --- similar texts -------------------------------------------------------------------------------------
+#
+# A fingerprint within three bits means nearly equal texts. Texts of a similarity of 0.8 differ in up
+# to a quarter of the bits, which no key of exact segments meets. So similar texts are met by
+# fingerprints of small samples: a sample is the few shingles with the least mixed hashes, and its
+# fingerprint their sum. Similar texts share samples often (0.8^3, a dozen times over); what meets is
+# then compared by sketches of the least hashes, which are whole sets for texts of up to SKETCH shingles.
+
+SAMPLES, SAMPLE, SKETCH = 12, 3, 128
+
+
+def sketches(docs: DataFrame, k: int, seed: int = 42) -> DataFrame:
+    """doc_id, fp, keys (fingerprints of samples), sketch (least hashes, sorted), full (they are all)."""
+    odd = np.random.default_rng(seed).integers(0, 1 << 64, SAMPLES, dtype=np.uint64) | np.uint64(1)
+
+    def one(text: str) -> tuple[int, list[int], bytes, bool]:
+        grams = shingles(text, k)
+        if not grams:
+            return 0, [], b"", True
+        h = np.fromiter(map(xxh64_intdigest, grams, repeat(seed)), np.uint64, len(grams))
+        ones = np.zeros(64, np.int64)
+        for at in range(0, len(h), 1 << 16):
+            ones += np.unpackbits(h[at : at + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        fp = np.packbits(2 * ones > len(h), bitorder="little").view(np.int64)[0]
+        h = np.unique(h)
+        keys, few = [], min(SAMPLE, len(h))
+        for i, m in enumerate(odd):
+            x = h * m
+            x ^= x >> np.uint64(32)
+            keys.append(int((np.partition(x, few - 1)[:few].sum(dtype=np.uint64) * m + np.uint64(i)).view(np.int64)))
+        return int(fp), keys, h[:SKETCH].tobytes(), len(h) <= SKETCH
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for at in range(0, len(b), 2000):
+                part = b.iloc[at : at + 2000]
+                rows = [one(t or "") for t in part.text]
+                yield pd.DataFrame({"doc_id": part.doc_id.astype("Int64"), "fp": [r[0] for r in rows], "keys": [r[1] for r in rows], "sketch": [r[2] for r in rows], "full": [r[3] for r in rows]})
+
+    return spread(docs.select("doc_id", "text")).mapInPandas(run, "doc_id long, fp long, keys array<long>, sketch binary, full boolean")
+
+
+def resemblance(a: np.ndarray, b: np.ndarray, whole: bool) -> float:
+    """Jaccard similarity of two sets by their sketches; exact where both sketches are whole sets."""
+    union = np.union1d(a, b)
+    if not whole:
+        union = union[:SKETCH]
+    both = np.intersect1d(a, b, assume_unique=True)
+    return float((both <= union[-1]).sum()) / len(union) if len(union) else 1.0
+
+
+def similar_links(sketched: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame]:
+    """(u, v), and the ids of equal sketches: links between ids of sketches, one of each equal sketch, that share a sample and are similar."""
+    rep = stage(sketched.where("size(keys) > 0 and doc_id is not null").groupBy("sketch", "full", "keys").agg(F.min("doc_id").alias("id")), "similar-rep")
+    keyed = rep.select("id", F.explode(F.array_distinct("keys")).alias("key"))
+    met = stage(keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "similar-met")
+    members = stage(keyed.join(met, "key"), "similar-members")
+    rows = members.join(rep.select("id", "sketch", "full"), "id")
+    dealt = rows.repartition(n_parts(rep), "key").sortWithinPartitions("key", "id")
+
+    def grow(ids: list[int], sets: list[np.ndarray], whole: list[bool]) -> list[tuple[int, int]]:
+        if len(ids) < 2:
+            return []
+        size, all_ = np.array([len(x) for x in sets]), np.array(whole)
+        table = np.concatenate(sets)
+        row = np.repeat(np.arange(len(ids)), size)
+        out, root, edge, left = [], 0, [0], np.arange(1, len(ids))
+        while len(left):
+            if not edge:
+                root, edge, left = int(left[0]), [int(left[0])], left[1:]
+                continue
+            i = edge.pop()
+            common = np.bincount(row[np.isin(table, sets[i])], minlength=len(ids))[left]
+            union = size[i] + size[left] - common
+            exact = all_[i] & all_[left]
+            # what sketches share bounds the similarity from above, and is it for whole sets
+            may = common >= similarity * np.where(exact, union, np.minimum(union, SKETCH)) - 1e-9
+            near = [int(j) for j in left[may] if resemblance(sets[i], sets[j], all_[i] and all_[j]) >= similarity]
+            left = left[~np.isin(left, near)]
+            edge += near
+            out += [(ids[j], ids[root]) for j in near]
+        return out
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        key, ids, sets, whole = None, [], [], []
+        for b in batches:
+            out = []
+            for k, i, s, f in zip(b.key, b.id, b.sketch, b.full):
+                if k != key:
+                    out += grow(ids, sets, whole)
+                    key, ids, sets, whole = k, [], [], []
+                ids.append(i)
+                sets.append(np.frombuffer(bytes(s), np.uint64))
+                whole.append(f)
+            yield pd.DataFrame(out, columns=["u", "v"], dtype="int64")
+        yield pd.DataFrame(grow(ids, sets, whole), columns=["u", "v"], dtype="int64")
+
+    return dealt.mapInPandas(run, "u long, v long"), rep
+
+
+def similar_documents(docs: DataFrame, k: int = 5, similarity: float = 0.8, limit: int = 3, seed: int = 42) -> DataFrame:
+    """doc_id, component_id: documents linked by fingerprints within ``limit`` bits or by a similarity of ``similarity``."""
+    sketched = stage(sketches(docs, k, seed), "similar-sketches")
+    by_bits = stage(fingerprint_components(sketched.select("doc_id", "fp"), limit), "similar-bits")
+    found, rep = similar_links(sketched, similarity)
+    copies = sketched.where("size(keys) > 0").join(rep.hint("shuffle_merge"), ["sketch", "full", "keys"]).where("doc_id <> id").select(F.col("doc_id").alias("u"), F.col("id").alias("v"))
+    edges = found.unionByName(copies).unionByName(by_bits.where("doc_id <> component_id").select(F.col("doc_id").alias("u"), F.col("component_id").alias("v")))
+    comp = connected_components(stage(edges, "similar-links"))
+    return docs.select("doc_id").join(comp.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component_id", F.coalesce("component", "doc_id")).drop("component")
+
+
+def keep_one(docs: DataFrame, k: int = 5, similarity: float = 0.8, limit: int = 3, seed: int = 42) -> DataFrame:
+    """The documents, with unique ids, without all but the smallest doc_id of each component of ``similar_documents``."""
+    gone = similar_documents(docs, k, similarity, limit, seed).where("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(stage(gone, "simhash-gone"), "doc_id", "left_anti").select(docs.columns)

@@ -12,8 +12,8 @@ from avcurate.llm import langid, packing, repeats, simhash
 from avcurate.llm.common import stage
 from avcurate.llm.queries import table, tokenizer
 
-#: Words and similarity of the near-duplicate stage: shingles of five words; fingerprints within three bits.
-SHINGLE_WORDS, MAX_BITS = 5, 3
+#: Words of a shingle, and the similarity, of the near-duplicate stage.
+SHINGLE_WORDS, SIMILARITY = 5, 0.8
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -23,7 +23,7 @@ def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies the document with the smallest id stays."""
-    return simhash.keep_one(docs, SHINGLE_WORDS, MAX_BITS)
+    return simhash.keep_one(docs, SHINGLE_WORDS, SIMILARITY)
 
 
 def remove_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
