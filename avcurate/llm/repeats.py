@@ -53,17 +53,20 @@ def constants() -> tuple[np.ndarray, np.ndarray]:
     return rng.integers(0, 1 << 64, 256, dtype=np.uint64), rng.integers(0, 1 << 64, 80, dtype=np.uint64) | np.uint64(1)
 
 
-def gram_hashes(buf: np.ndarray, top: int) -> dict[int, np.ndarray]:
-    """Hashes of the grams of 1, 2, 4, ... ``top`` bytes at every place."""
+def gram_hashes(buf: np.ndarray, length: int, gram: int = 0) -> dict[int, np.ndarray]:
+    """Hashes of the grams of 2^k bytes at every place: of ``gram`` bytes, and of the parts of a window of ``length``."""
     table, odd = constants()
+    top = top_gram(length)
+    parts = {gram, top, *(1 << k for k in range(top.bit_length()) if length % top >> k & 1)}
     h, size, out = table[buf], 1, {}
-    out[1] = h
-    while size < top and len(h) > size:
+    while True:
+        if size in parts:
+            out[size] = h
+        if size >= top or len(h) <= size:
+            return out
         h = h[:-size] * odd[size.bit_length()] + h[size:]
         h ^= h >> np.uint64(29)
         size *= 2
-        out[size] = h
-    return out
 
 
 def window_hashes(grams: dict[int, np.ndarray], at: np.ndarray, length: int) -> np.ndarray:
@@ -88,7 +91,7 @@ def runs_of(docs: list[bytes], length: int, gram: int):
     buf = np.frombuffer(b"".join(docs), np.uint8)
     if len(buf) < length:
         return empty, empty, empty, empty.astype(np.uint64), empty.astype(np.uint64)
-    grams = gram_hashes(buf, top_gram(length))
+    grams = gram_hashes(buf, length, gram)
     h = grams[gram]
     low = np.uint64((1 << POSITION) - 1)
     least = h & ~low | np.arange(len(h), dtype=np.uint64)
@@ -120,7 +123,7 @@ def runs_of(docs: list[bytes], length: int, gram: int):
     return doc, lo - starts[doc], hi - lo + 1, anchor, e ^ e >> np.uint64(30)
 
 
-def batches_of(rids: np.ndarray, texts, most: int = 4 << 20):
+def batches_of(rids: np.ndarray, texts, most: int = 3 << 19):
     """(rids, texts as bytes) in parts of about ``most`` bytes; a longer text is a part of its own."""
     part, ids, size = [], [], 0
     for rid, text in zip(rids, texts):
@@ -259,7 +262,7 @@ def contested_windows(texts: DataFrame, contested: DataFrame, length: int, cells
                 for f, k in zip(first, n):
                     held.append((rid, int(f), int(k), raw[f : f + k + length - 1]))
                     size += k + length
-                    if size > 4 << 20:
+                    if size > 1 << 20:
                         yield blocks(held, (part << 32) + serial)
                         held, size, serial = [], 0, serial + 1
             if held:
@@ -267,7 +270,7 @@ def contested_windows(texts: DataFrame, contested: DataFrame, length: int, cells
                 serial += 1
 
     def blocks(held: list, batch: int) -> pd.DataFrame:
-        grams = gram_hashes(np.frombuffer(b"".join(x[3] for x in held), np.uint8), top_gram(length))
+        grams = gram_hashes(np.frombuffer(b"".join(x[3] for x in held), np.uint8), length)
         n = np.array([x[2] for x in held])
         size = n + length - 1
         starts, base = np.cumsum(size) - size, np.cumsum(n) - n
