@@ -40,6 +40,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from avcurate.llm import bwt
 from avcurate.llm.common import n_parts, renamed, spread, stage
 
 POSITION = 24  # bits of a position in a batch's buffer
@@ -406,10 +407,10 @@ def cleaned(texts: DataFrame, spans: DataFrame, length: int, with_text: bool) ->
     return with_lists(texts, spans, "left").mapInPandas(run, schema)
 
 
-def repeats(docs: DataFrame, length: int = 400, **options) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document."""
+def repeats(docs: DataFrame, length: int = 400, method: str = "anchors", **options) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document; method ``bwt`` merges transforms."""
     rows, texts, same = rows_by_id(docs.select("doc_id", "text"))
-    out = cleaned(texts, repeated_spans(texts, length, **options), length, False)
+    out = cleaned(texts, (bwt.repeated_spans if method == "bwt" else repeated_spans)(texts, length, **options), length, False)
     if same:
         return out.select(F.col("rid").alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
     return rows.select("rid", "doc_id").join(out, "rid").drop("rid")
