@@ -687,12 +687,24 @@ def w14_split_leak(spark, d):
 
 @query("SELECT doc_id, item_id FROM documents d, benchmark b WHERE contains(d.text, b.text)")
 def w14_benchmark_leak(spark, d):
-    """Documents that hold a benchmark passage. Candidates share the passage's first 24 characters from a word on, by an equi-join."""
-    b = load(spark, d, "benchmark").where("length(text) >= 24").select("item_id", F.col("text").alias("passage"), F.left("text", F.lit(24)).alias("k"))
+    """Documents that hold a benchmark passage, wherever it begins.
+
+    A passage's second to fourth words are whole words of any text that holds it, so documents meet
+    passages by equality of three words. Passages of fewer than five words, which have no such
+    words, are compared one by one; both are filters against the benchmark, whose size is checked.
+    """
+    passages = load(spark, d, "benchmark").where("text is not null").select("item_id", F.col("text").alias("passage"), F.split("text", " ").alias("w"))
+    if passages.count() > 1_000_000:
+        raise ValueError("the benchmark is too large to broadcast")
     docs = load(spark, d, "documents").select("doc_id", "text")
-    starts = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.length("text") - 23)), lambda i: F.substr("text", i, F.lit(24))))
-    hits = docs.select("doc_id", F.explode(starts).alias("k")).join(F.broadcast(b.select("k").distinct()), "k", "left_semi")
-    return hits.join(F.broadcast(b), "k").select("doc_id", "item_id", "passage").distinct().join(docs, "doc_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
+    long = passages.where(F.size("w") >= 5).select("item_id", "passage", F.concat_ws(" ", F.slice("w", 2, 3)).alias("k"))
+    w = F.col("w")
+    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(w) - 2)), lambda i: F.concat_ws(" ", F.slice(w, i, F.lit(3))))
+    keys = docs.select("doc_id", F.split("text", " ").alias("w")).select("doc_id", F.explode(grams).alias("k"))
+    hits = keys.join(F.broadcast(long), "k").select("doc_id", "item_id", "passage").distinct()
+    found = hits.join(docs, "doc_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
+    short = passages.where(F.size("w") < 5).select("item_id", "passage")
+    return found.unionByName(docs.join(F.broadcast(short), F.contains("text", "passage")).select("doc_id", "item_id"))
 
 
 @query(f"""WITH {T.CLIPS} SELECT sum(length(hyp_text)::BIGINT * length(ref_text))::BIGINT AS dp_cells, count(*) AS clips FROM clips""")
