@@ -49,7 +49,7 @@ LETTERS = "abcdefghijklmnopqrstuvwxyz"
 def letter_vector(text: Column | str) -> Column:
     """Counts of the 26 letters of the lower-cased text."""
     t = F.lower(_c(text))
-    return F.array(*[(F.length(t) - F.length(F.replace(t, F.lit(c), F.lit("")))).cast("double") for c in LETTERS])
+    return F.transform(F.array(*[F.lit(c) for c in LETTERS]), lambda c: (F.length(t) - F.length(F.replace(t, c, F.lit("")))).cast("double"))
 
 
 def route_mode(prompt: Column | str) -> tuple[Column, Column]:

@@ -6,13 +6,17 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from avcurate.functions.text import cer, comprehensive_score, distance, letter_vector
-from avcurate.functions.vectors import cosine
+from avcurate.functions.vectors import cosine, dot, norm
 
 
 def measured(pairs: DataFrame, distinct_first: bool = False) -> DataFrame:
     """dist, ref_len, cer and sim of each (hyp, ref); distinct_first measures equal pairs once and joins back."""
     def with_measures(df: DataFrame) -> DataFrame:
-        return df.withColumns({"dist": distance("hyp", "ref"), "ref_len": F.length("ref").cast("bigint"), "cer": cer("hyp", "ref"), "sim": cosine(letter_vector("hyp"), letter_vector("ref"))})
+        # vectors and norms are columns of their own, so that they are computed once and not inlined at each use
+        x = df.withColumns({"_h": letter_vector("hyp"), "_r": letter_vector("ref")})
+        x = x.withColumns({"_dot": dot("_h", "_r"), "_norms": norm("_h") * norm("_r"), "dist": distance("hyp", "ref"), "ref_len": F.length("ref").cast("bigint")})
+        rate = F.when((F.length("hyp") == 0) & (F.col("ref_len") == 0), 0.0).when(F.col("ref_len") > 0, F.col("dist") / F.col("ref_len"))
+        return x.withColumns({"cer": rate, "sim": F.when(F.col("_norms") > 0, F.col("_dot") / F.col("_norms"))}).drop("_h", "_r", "_dot", "_norms")
     if distinct_first:
         return pairs.join(with_measures(pairs.select("hyp", "ref").distinct()), ["hyp", "ref"])
     return with_measures(pairs)
