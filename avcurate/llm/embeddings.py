@@ -27,7 +27,7 @@ from avcurate.llm.common import n_parts, stage
 from avcurate.llm.components import connected_components
 
 
-def plan_tables(classes: int, threshold: float, bucket: int = 256, miss: float = 1e-6) -> tuple[int, int]:
+def plan_tables(classes: int, threshold: float, bucket: int = 1024, miss: float = 1e-6) -> tuple[int, int]:
     """bits of a key, number of tables."""
     bits = min(16, max(4, math.ceil(math.log2(max(1, classes) / bucket))) if classes else 4)
     hit = (1 - math.acos(threshold) / math.pi) ** bits
@@ -69,7 +69,8 @@ def bucket_links(v: np.ndarray, weight: np.ndarray, ids: np.ndarray, keys: np.nd
 
 
 def bucket_rows(classes: DataFrame, threshold: float, bits: int, tables: int, seed: int) -> DataFrame:
-    """(id, gained, other) rows of all keys; classes: id, n, vec."""
+    """(id, gained, other) rows of all keys; classes: id, n, vec. Vectors are dealt in the precision that they came in."""
+    sent = np.float32 if classes.schema["vec"].dataType.elementType.typeName() == "float" else np.float64
     schema = "dim int, t int, key int, id long, n long, vec binary, keys binary"
 
     def hash_(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -77,7 +78,7 @@ def bucket_rows(classes: DataFrame, threshold: float, bits: int, tables: int, se
             for dim, g in b.groupby(b.vec.map(len)):
                 v = np.array(g.vec.tolist(), dtype=np.float64)
                 keys = keys_of(v, bits, tables, seed)
-                raw, raw_keys = [x.tobytes() for x in v], [x.tobytes() for x in keys]
+                raw, raw_keys = [x.tobytes() for x in v.astype(sent)], [x.tobytes() for x in keys]
                 for t in range(tables):
                     yield pd.DataFrame({"dim": dim, "t": t, "key": keys[:, t].astype(np.int32), "id": g.id.to_numpy(), "n": g.n.to_numpy(), "vec": raw, "keys": raw_keys})
 
@@ -90,7 +91,7 @@ def bucket_rows(classes: DataFrame, threshold: float, bits: int, tables: int, se
 
         def close() -> pd.DataFrame:
             g = pd.concat(held)
-            v = np.frombuffer(b"".join(g.vec), np.float64).reshape(len(g), -1)
+            v = np.frombuffer(b"".join(g.vec), sent).reshape(len(g), -1).astype(np.float64)
             keys = np.frombuffer(b"".join(g["keys"]), np.uint16).reshape(len(g), -1)
             o = np.argsort(g.id.to_numpy())
             rows = bucket_links(v[o], g.n.to_numpy()[o], g.id.to_numpy()[o], keys[o], last[1], threshold)
