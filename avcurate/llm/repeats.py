@@ -7,7 +7,8 @@ with one anchor each. A run is named by its anchor's hash and by the hashes of i
 window, which cover all its bytes.
 
 1. Runs meet by anchor. A run whose anchor occurs once in the corpus holds no repeated window. A
-   run with an equal twin is repeated whole. The others are contested. A batch decides what it can
+   run with an equal twin is repeated whole. The others are contested, and so is one run of each
+   set of twins where other runs share the anchor. A batch decides what it can
    by itself and sends one row for each of its (anchor, run) pairs at most, so that an anchor or a
    run that a large part of all documents shares sends a row for each batch, not for each document.
 2. The windows of contested runs alone are hashed one by one and dealt by ranges of their hashes,
@@ -44,7 +45,8 @@ from avcurate.llm import bwt
 from avcurate.llm.common import n_parts, renamed, spread, stage
 
 POSITION = 24  # bits of a position in a batch's buffer
-UNDECIDED, WHOLE, CONTESTED_SENT, FULL, CONTESTED = range(5)
+UNDECIDED, CONTESTED_SENT, FULL, CONTESTED = range(4)
+WHOLE = 8  # added to the kind of a run that stands for equal runs of its batch: it is repeated whole, whatever else it is
 RUNS = "pk long, h long, e long, kind byte, rid long, first int, n int"
 
 
@@ -149,8 +151,9 @@ def pieces_of(doc: bytes, length: int, most: int = 8 << 20) -> list[tuple[int, b
 def decide_locally(anchor: np.ndarray, e: np.ndarray) -> np.ndarray:
     """kind of each run of a batch; those that only this batch's rows decide are FULL or CONTESTED.
 
-    The first of each (anchor, e) keeps UNDECIDED, or is WHOLE when it has a twin here; of an
-    anchor with several e, one row says so (CONTESTED_SENT) and the rest are CONTESTED.
+    The first of each (anchor, e) keeps UNDECIDED and stands for the rest, which are FULL; of an
+    anchor with several e, one row says so (CONTESTED_SENT) and the rest are CONTESTED. WHOLE is
+    added to a first with a twin here: its twins' windows are not hashed, so it must not depend on them.
     """
     order = np.lexsort((e, anchor))
     a, x = anchor[order], e[order]
@@ -160,10 +163,10 @@ def decide_locally(anchor: np.ndarray, e: np.ndarray) -> np.ndarray:
     twins = np.bincount(of_e)[of_e] > 1
     several = np.bincount(of_a[new_e])[of_a] > 1
     kind = np.full(len(a), UNDECIDED, np.int8)
-    kind[twins & new_e] = WHOLE
     kind[twins & ~new_e] = FULL
     kind[several & new_e] = CONTESTED
     kind[several & new_a] = CONTESTED_SENT
+    kind[twins & new_e] += WHOLE
     out = np.empty_like(kind)
     out[order] = kind
     return out
@@ -185,24 +188,23 @@ def find_runs(docs: DataFrame, length: int, gram: int) -> DataFrame:
                     rid, base = np.array([r for r, *_ in some]), np.array([at for _, at, _ in some])
                     kind = decide_locally(anchor, e)
                     h = anchor.view(np.int64)
-                    pk = np.where(kind >= FULL, e.view(np.int64) ^ rid[doc], h)
+                    pk = np.where(kind % WHOLE >= FULL, e.view(np.int64) ^ rid[doc], h)
                     yield pd.DataFrame({"pk": pk, "h": h, "e": e.view(np.int64), "kind": kind, "rid": rid[doc], "first": (base[doc] + first).astype(np.int32), "n": n.astype(np.int32)})
 
     return docs.mapInPandas(run, RUNS)
 
 
 def settle_runs(runs: DataFrame) -> DataFrame:
-    """(rid, first, n, contested): runs repeated whole, and those whose windows must be compared."""
+    """(rid, first, n, contested): runs repeated whole, and those whose windows must be compared; a run may be both."""
     dealt = runs.repartition(n_parts(runs), "pk").sortWithinPartitions("pk")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         left = None
 
         def solve(g: pd.DataFrame) -> pd.DataFrame:
-            kind = g.kind.to_numpy()
-            contested = kind >= CONTESTED
-            contested |= kind == CONTESTED_SENT
-            full = kind == FULL
+            whole, kind = g.kind.to_numpy() >= WHOLE, g.kind.to_numpy() % WHOLE
+            contested = (kind == CONTESTED) | (kind == CONTESTED_SENT)
+            full = whole | (kind == FULL)
             open_ = np.flatnonzero(kind < FULL)
             h, e, k = g.h.to_numpy()[open_], g.e.to_numpy()[open_], kind[open_]
             order = np.lexsort((e, h))
@@ -213,9 +215,9 @@ def settle_runs(runs: DataFrame) -> DataFrame:
                 varied = np.bincount(of, np.r_[False, (e[1:] != e[:-1]) & (h[1:] == h[:-1])] | (k == CONTESTED_SENT))[of] > 0
                 twins = np.bincount(of)[of] > 1
                 contested[open_[varied]] = True
-                full[open_[~varied & (twins | (k == WHOLE))]] = True
-            take = full | contested
-            return pd.DataFrame({"rid": g.rid[take], "first": g["first"][take], "n": g.n[take], "contested": contested[take]})
+                full[open_[~varied & twins]] = True
+            take = np.r_[np.flatnonzero(full), np.flatnonzero(contested)]  # a run may be both
+            return g[["rid", "first", "n"]].iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
 
         for b in batches:
             if not len(b):

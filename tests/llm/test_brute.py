@@ -355,6 +355,24 @@ def test_repeats_of_repeated_ids(spark):
     assert got == [(0, 450, 450), (1, 500, 500), (1, 900, 900), (1, 900, 900), (2, 0, 0)]
 
 
+@pytest.mark.parametrize("parts", [1, 2, 5])
+def test_repeats_of_copies_next_to_near_copies(spark, parts):
+    """Exact copies in one batch or in several, copies with one edit, and texts that repeat themselves."""
+    texts = []
+    for seed in range(24):
+        rng = random.Random(seed)
+        t = "".join(rng.choices("abcdefgh", k=900))
+        at = rng.randrange(900)
+        edited = t[:at] + "-" + t[at + 1 :]
+        texts += [[t, t, edited], [t + "." + t, edited], [edited, t, "x" + t, t[100:]]][seed % 3]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    df = df.coalesce(1) if parts == 1 else df.repartition(parts)
+    got = rows(repeats.repeats(df))
+    raw = [t.encode() for t in texts]
+    for i, (t, gone) in enumerate(zip(raw, brute_repeats(raw, 400))):
+        assert (i, got[i].n_removed, got[i].kept_sha256) == (i, sum(gone), sha(bytes(b for b, g in zip(t, gone) if not g)))
+
+
 def test_remove_repeats_keeps_rows_and_columns(docs, texts):
     out = repeats.remove_repeats(docs)
     assert out.columns == docs.columns and out.count() == len(texts)
