@@ -1,5 +1,9 @@
 """Repeated substrings across a corpus: which bytes lie in a string of ``length`` bytes that starts elsewhere too.
 
+With ``words``, also those in a passage of so many words that starts elsewhere too, whatever white
+space (of ASCII) lies between its words. Below, a text is then a row of bytes and a row of word
+hashes; what is said of bytes holds for each of the two, and neither meets the other.
+
 Every window of ``length`` bytes has an anchor: the gram of ``gram`` bytes in it with the least
 hash, the first of equals. The choice depends on the window's bytes alone, so equal windows have
 equal anchors, and neighbouring windows mostly share theirs: a document becomes runs of windows
@@ -31,8 +35,10 @@ table gives no rows; extra columns are kept by ``remove_repeats`` and ignored by
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
@@ -40,6 +46,7 @@ import zstandard as zstd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from xxhash import xxh64_intdigest
 
 from avcurate.llm import bwt
 from avcurate.llm.common import n_parts, renamed, spread, stage
@@ -47,7 +54,8 @@ from avcurate.llm.common import n_parts, renamed, spread, stage
 POSITION = 24  # bits of a position in a batch's buffer
 UNDECIDED, CONTESTED_SENT, FULL, CONTESTED = range(4)
 WHOLE = 8  # added to the kind of a run that stands for equal runs of its batch: it is repeated whole, whatever else it is
-RUNS = "pk long, h long, e long, kind byte, rid long, first int, n int"
+RUNS = "pk long, h long, e long, kind byte, rid long, first int, n int, words boolean"
+WORD_GRAM = 8
 
 
 @lru_cache(1)
@@ -57,11 +65,11 @@ def constants() -> tuple[np.ndarray, np.ndarray]:
 
 
 def gram_hashes(buf: np.ndarray, length: int, gram: int = 0) -> dict[int, np.ndarray]:
-    """Hashes of the grams of 2^k bytes at every place: of ``gram`` bytes, and of the parts of a window of ``length``."""
+    """Hashes of the grams of 2^k bytes (or words, whose hashes buf has) at every place: of ``gram`` bytes, and of the parts of a window of ``length``."""
     table, odd = constants()
     top = top_gram(length)
     parts = {gram, top, *(1 << k for k in range(top.bit_length()) if length % top >> k & 1)}
-    h, size, out = table[buf], 1, {}
+    h, size, out = table[buf] if buf.dtype == np.uint8 else buf, 1, {}
     while True:
         if size in parts:
             out[size] = h
@@ -87,11 +95,18 @@ def top_gram(length: int) -> int:
     return 1 << min(8, length.bit_length() - 1)
 
 
-def runs_of(docs: list[bytes], length: int, gram: int):
+def units_of(raw: bytes, words: bool) -> np.ndarray:
+    """The bytes of a text, or the hashes of its words."""
+    if words:
+        return np.fromiter(map(xxh64_intdigest, raw.split(), repeat(20260)), np.uint64)
+    return np.frombuffer(raw, np.uint8)
+
+
+def runs_of(docs: list[np.ndarray], length: int, gram: int):
     """(doc, first, n, anchor, e) arrays for the runs of windows of some documents."""
     lens = np.array([len(d) for d in docs], dtype=np.int64)
     empty = np.empty(0, np.int64)
-    buf = np.frombuffer(b"".join(docs), np.uint8)
+    buf = np.concatenate(docs)
     if len(buf) < length:
         return empty, empty, empty, empty.astype(np.uint64), empty.astype(np.uint64)
     grams = gram_hashes(buf, length, gram)
@@ -141,7 +156,7 @@ def batches_of(rids: np.ndarray, texts, most: int = 3 << 19):
         yield np.array(ids, np.int64), part
 
 
-def pieces_of(doc: bytes, length: int, most: int = 8 << 20) -> list[tuple[int, bytes]]:
+def pieces_of(doc: np.ndarray, length: int, most: int = 8 << 20) -> list[tuple[int, np.ndarray]]:
     """A very long document in parts that overlap by a window less one byte."""
     if len(doc) <= most:
         return [(0, doc)]
@@ -172,30 +187,35 @@ def decide_locally(anchor: np.ndarray, e: np.ndarray) -> np.ndarray:
     return out
 
 
-def find_runs(docs: DataFrame, length: int, gram: int) -> DataFrame:
+def find_runs(docs: DataFrame, length: int, gram: int, words: int | None = None) -> DataFrame:
     """docs (rid, text) -> rows of RUNS; decided rows have a place of their own, others meet by anchor."""
 
+    def some_runs(rids: np.ndarray, texts: list[bytes], length: int, gram: int, of_words: bool) -> Iterator[pd.DataFrame]:
+        parts = [(r, at, p) for r, t in zip(rids.tolist(), texts) for at, p in pieces_of(units_of(t, of_words), length)]
+        step = len(parts) if len(parts) == len(texts) else 1  # the parts of a very long text go one by one
+        for lo in range(0, len(parts), step):
+            some = parts[lo : lo + step]
+            doc, first, n, anchor, e = runs_of([p for *_, p in some], length, gram)
+            if not len(doc):
+                continue
+            rid, base = np.array([r for r, *_ in some]), np.array([at for _, at, _ in some])
+            kind = decide_locally(anchor, e)
+            h = anchor.view(np.int64)
+            pk = np.where(kind % WHOLE >= FULL, e.view(np.int64) ^ rid[doc], h)
+            yield pd.DataFrame({"pk": pk, "h": h, "e": e.view(np.int64), "kind": kind, "rid": rid[doc], "first": (base[doc] + first).astype(np.int32), "n": n.astype(np.int32), "words": of_words})
+
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             for rids, texts in batches_of(b.rid.to_numpy(), b.text):
-                parts = [(r, at, p) for r, t in zip(rids.tolist(), texts) for at, p in pieces_of(t, length)]
-                step = len(parts) if len(parts) == len(texts) else 1  # the parts of a very long text go one by one
-                for lo in range(0, len(parts), step):
-                    some = parts[lo : lo + step]
-                    doc, first, n, anchor, e = runs_of([p for *_, p in some], length, gram)
-                    if not len(doc):
-                        continue
-                    rid, base = np.array([r for r, *_ in some]), np.array([at for _, at, _ in some])
-                    kind = decide_locally(anchor, e)
-                    h = anchor.view(np.int64)
-                    pk = np.where(kind % WHOLE >= FULL, e.view(np.int64) ^ rid[doc], h)
-                    yield pd.DataFrame({"pk": pk, "h": h, "e": e.view(np.int64), "kind": kind, "rid": rid[doc], "first": (base[doc] + first).astype(np.int32), "n": n.astype(np.int32)})
+                yield from some_runs(rids, texts, length, gram, False)
+                if words:
+                    yield from some_runs(rids, texts, words, min(WORD_GRAM, top_gram(words)), True)
 
     return docs.mapInPandas(run, RUNS)
 
 
 def settle_runs(runs: DataFrame) -> DataFrame:
-    """(rid, first, n, contested): runs repeated whole, and those whose windows must be compared; a run may be both."""
+    """(rid, first, n, words, contested): runs repeated whole, and those whose windows must be compared; a run may be both."""
     dealt = runs.repartition(n_parts(runs), "pk").sortWithinPartitions("pk")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -217,7 +237,7 @@ def settle_runs(runs: DataFrame) -> DataFrame:
                 contested[open_[varied]] = True
                 full[open_[~varied & twins]] = True
             take = np.r_[np.flatnonzero(full), np.flatnonzero(contested)]  # a run may be both
-            return g[["rid", "first", "n"]].iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
+            return g[["rid", "first", "n", "words"]].iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
 
         for b in batches:
             if not len(b):
@@ -231,7 +251,7 @@ def settle_runs(runs: DataFrame) -> DataFrame:
         if left is not None and len(left):
             yield solve(left)
 
-    return dealt.mapInPandas(run, "rid long, first int, n int, contested boolean")
+    return dealt.mapInPandas(run, "rid long, first int, n int, words boolean, contested boolean")
 
 
 def packed(texts: DataFrame) -> DataFrame:
@@ -246,34 +266,38 @@ def packed(texts: DataFrame) -> DataFrame:
 
 
 def with_lists(texts: DataFrame, spans: DataFrame, how: str) -> DataFrame:
-    """Packed texts with the lists of their spans (first, n)."""
-    lists = spans.groupBy("rid").agg(F.sort_array(F.collect_list(F.struct("first", "n"))).alias("s"))
-    lists = lists.select("rid", F.col("s.first").alias("first"), F.col("s.n").alias("n"))
+    """Packed texts with the lists of their spans (first, n, words)."""
+    lists = spans.groupBy("rid").agg(F.sort_array(F.collect_list(F.struct("first", "n", "words"))).alias("s"))
+    lists = lists.select("rid", F.col("s.first").alias("first"), F.col("s.n").alias("n"), F.col("s.words").alias("words"))
     return packed(texts).join(lists.hint("shuffle_merge"), "rid", how)
 
 
-def contested_windows(texts: DataFrame, contested: DataFrame, length: int, cells: int) -> DataFrame:
-    """Blocks (cell, batch, w, at) of window hashes, and for each batch the runs that they index (cell -1)."""
+def contested_windows(texts: DataFrame, contested: DataFrame, lengths: tuple[int, int | None], cells: int) -> DataFrame:
+    """Blocks (cell, batch, w, at) of window hashes, and for each batch the runs that they index (cell -1); odd batches are of words."""
     schema = "cell int, batch long, w binary, at binary, rid binary"
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         d, part, serial = zstd.ZstdDecompressor(), TaskContext.get().partitionId(), 0
         for b in batches:
-            held, size = [], 0
-            for z, rid, first, n in zip(b.z, b.rid, b["first"], b.n):
+            held, size = ([], []), [0, 0]
+            for z, rid, first, n, words in zip(b.z, b.rid, b["first"], b.n, b.words):
                 raw = d.decompress(z)
-                for f, k in zip(first, n):
-                    held.append((rid, int(f), int(k), raw[f : f + k + length - 1]))
-                    size += k + length
-                    if size > 1 << 20:
-                        yield blocks(held, (part << 32) + serial)
-                        held, size, serial = [], 0, serial + 1
-            if held:
-                yield blocks(held, (part << 32) + serial)
-                serial += 1
-
-    def blocks(held: list, batch: int) -> pd.DataFrame:
-        grams = gram_hashes(np.frombuffer(b"".join(x[3] for x in held), np.uint8), length)
+                units = [units_of(raw, bool(k)) if (words == bool(k)).any() else None for k in range(2)]
+                for f, k, of_words in zip(first, n, words):
+                    i = int(of_words)
+                    held[i].append((rid, int(f), int(k), units[i][f : f + k + lengths[i] - 1]))
+                    size[i] += k + lengths[i]
+                    if size[i] > 1 << 20:
+                        yield blocks(held[i], (part << 32) + 2 * serial + i, lengths[i])
+                        held[i].clear()
+                        size[i], serial = 0, serial + 1
+            for i in range(2):
+                if held[i]:
+                    yield blocks(held[i], (part << 32) + 2 * serial + i, lengths[i])
+                    serial += 1
+
+    def blocks(held: list, batch: int, length: int) -> pd.DataFrame:
+        grams = gram_hashes(np.concatenate([x[3] for x in held]), length)
         n = np.array([x[2] for x in held])
         size = n + length - 1
         starts, base = np.cumsum(size) - size, np.cumsum(n) - n
@@ -287,11 +311,11 @@ def contested_windows(texts: DataFrame, contested: DataFrame, length: int, cells
         out.append((-1, batch, np.array([x[1] for x in held], np.int32).tobytes(), n.astype(np.int32).tobytes(), np.array([x[0] for x in held], np.int64).tobytes()))
         return pd.DataFrame(out, columns=["cell", "batch", "w", "at", "rid"])
 
-    return with_lists(texts, contested.select("rid", "first", "n"), "inner").mapInPandas(run, schema)
+    return with_lists(texts, contested.select("rid", "first", "n", "words"), "inner").mapInPandas(run, schema)
 
 
 def repeated_windows(blocks: DataFrame) -> DataFrame:
-    """(rid, first, n) intervals of contested windows whose hash occurs more than once."""
+    """(rid, first, n, words) intervals of contested windows whose hash occurs more than once."""
     spread_key = F.when(F.col("cell") < 0, F.xxhash64("batch")).otherwise(F.col("cell").cast("long"))
     schema = "batch long, at binary, first binary, n binary, rid binary"
 
@@ -341,7 +365,7 @@ def repeated_windows(blocks: DataFrame) -> DataFrame:
             run = np.searchsorted(base, i, side="right") - 1
             cut = np.r_[True, (i[1:] != i[:-1] + 1) | (run[1:] != run[:-1])]
             lo = np.flatnonzero(cut)
-            return pd.DataFrame({"rid": rid[run[lo]], "first": (first[run[lo]] + i[lo] - base[run[lo]]).astype(np.int32), "n": np.diff(np.r_[lo, len(i)]).astype(np.int32)})
+            return pd.DataFrame({"rid": rid[run[lo]], "first": (first[run[lo]] + i[lo] - base[run[lo]]).astype(np.int32), "n": np.diff(np.r_[lo, len(i)]).astype(np.int32), "words": bool(batch & 1)})
 
         for b in batches:
             for k, a, f, n, r in zip(b.batch, b["at"], b["first"], b.n, b.rid):
@@ -356,7 +380,7 @@ def repeated_windows(blocks: DataFrame) -> DataFrame:
         if at:
             yield close()
 
-    return matched.repartition(parts, "batch").sortWithinPartitions("batch").mapInPandas(gather, "rid long, first int, n int")
+    return matched.repartition(parts, "batch").sortWithinPartitions("batch").mapInPandas(gather, "rid long, first int, n int, words boolean")
 
 
 def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
@@ -369,24 +393,29 @@ def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
     return docs, spread(docs.select("rid", "text")), not odd
 
 
-def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, cells: int | None = None) -> DataFrame:
-    """(rid, first, n): starts of repeated windows, as intervals that may touch or overlap."""
+def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, cells: int | None = None, words: int | None = None) -> DataFrame:
+    """(rid, first, n, words): starts of repeated windows, as intervals that may touch or overlap."""
     gram = min(gram, top_gram(length))
-    settled = stage(settle_runs(find_runs(texts, length, gram)), "repeat-runs")
-    blocks = contested_windows(texts, settled.where("contested"), length, cells or 4 * n_parts(texts))
-    return settled.where("not contested").select("rid", "first", "n").unionByName(repeated_windows(blocks))
+    settled = stage(settle_runs(find_runs(texts, length, gram, words)), "repeat-runs")
+    blocks = contested_windows(texts, settled.where("contested"), (length, words), cells or 4 * n_parts(texts))
+    return settled.where("not contested").select("rid", "first", "n", "words").unionByName(repeated_windows(blocks))
 
 
-def intervals(first: np.ndarray, n: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+def intervals(raw: bytes, first, n, words, length: int, n_words: int | None) -> tuple[np.ndarray, np.ndarray]:
     """Maximal covered byte intervals [lo, hi) of windows that start in [first, first + n)."""
-    lo, hi = np.asarray(first, np.int64), np.asarray(first, np.int64) + np.asarray(n, np.int64) + length - 1
+    words = np.asarray(words, bool)
+    lo = np.asarray(first, np.int64).copy()
+    hi = lo + np.asarray(n, np.int64) + np.where(words, (n_words or 0) - 2, length - 1)
+    if words.any():  # so far the first and the last word
+        at = np.array([m.span() for m in re.finditer(rb"\S+", raw)])
+        lo[words], hi[words] = at[lo[words], 0], at[hi[words], 1]
     order = np.argsort(lo, kind="stable")
     lo, hi = lo[order], np.maximum.accumulate(hi[order])
     new = np.r_[True, lo[1:] > hi[:-1]]
     return lo[new], hi[np.r_[np.flatnonzero(new)[1:] - 1, len(hi) - 1]]
 
 
-def cleaned(texts: DataFrame, spans: DataFrame, length: int, with_text: bool) -> DataFrame:
+def cleaned(texts: DataFrame, spans: DataFrame, length: int, with_text: bool, n_words: int | None = None) -> DataFrame:
     """rid, n_bytes, n_removed, n_spans, kept_sha256 of every text; with_text adds what is left."""
     schema = "rid long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", text string" * with_text
 
@@ -395,11 +424,11 @@ def cleaned(texts: DataFrame, spans: DataFrame, length: int, with_text: bool) ->
         for b in batches:
             for at in range(0, len(b), 2000):
                 out = []
-                for rid, z, first, n in zip(*(b[c].iloc[at : at + 2000] for c in ("rid", "z", "first", "n"))):
+                for rid, z, first, n, words in zip(*(b[c].iloc[at : at + 2000] for c in ("rid", "z", "first", "n", "words"))):
                     raw, removed, spans_ = d.decompress(z), 0, 0
                     kept = raw
                     if first is not None and len(first):
-                        lo, hi = intervals(first, n, length)
+                        lo, hi = intervals(raw, first, n, words, length, n_words)
                         removed, spans_ = int((hi - lo).sum()), len(lo)
                         kept = b"".join([raw[a:z_] for a, z_ in zip([0, *hi.tolist()], [*lo.tolist(), len(raw)])])
                     row = (rid, len(raw), removed, spans_, hashlib.sha256(kept).hexdigest())
@@ -412,21 +441,22 @@ def cleaned(texts: DataFrame, spans: DataFrame, length: int, with_text: bool) ->
 def repeats(docs: DataFrame, length: int = 400, method: str = "anchors", **options) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document; method ``bwt`` merges transforms."""
     rows, texts, same = rows_by_id(docs.select("doc_id", "text"))
-    out = cleaned(texts, (bwt.repeated_spans if method == "bwt" else repeated_spans)(texts, length, **options), length, False)
+    spans = bwt.repeated_spans(texts, length, **options).withColumn("words", F.lit(False)) if method == "bwt" else repeated_spans(texts, length, **options)
+    out = cleaned(texts, spans, length, False, options.get("words"))
     if same:
         return out.select(F.col("rid").alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
     return rows.select("rid", "doc_id").join(out, "rid").drop("rid")
 
 
-def remove_repeats(docs: DataFrame, length: int = 400, **options) -> DataFrame:
-    """The documents with the bytes of repeated strings removed from their texts.
+def remove_repeats(docs: DataFrame, length: int = 400, words: int | None = None, **options) -> DataFrame:
+    """The documents with the bytes of repeated strings, and of repeated passages of ``words`` words, removed from their texts.
 
     A character of which a part is removed goes whole; null texts stay null; n_chars, where it
     exists, follows the new text.
     """
     own = renamed(docs, ("doc_id", "text", "n_chars"))
     rows, texts, _ = rows_by_id(own)
-    out = cleaned(texts, repeated_spans(texts, length, **options), length, True).where("n_removed > 0").select("rid", F.col("text").alias("left"))
+    out = cleaned(texts, repeated_spans(texts, length, words=words, **options), length, True, words).where("n_removed > 0").select("rid", F.col("text").alias("left"))
     joined = rows.join(stage(out, "repeat-texts"), "rid", "left")
     new = {"text": F.coalesce("left", "text"), "n_chars": F.when(F.col("left").isNotNull(), F.length("left").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in own.columns else None}
     return joined.select(*[new.get(c, F.col(c)) for c in own.columns]).toDF(*docs.columns)

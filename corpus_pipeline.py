@@ -14,6 +14,8 @@ from avcurate.llm.queries import table, tokenizer
 
 #: Words of a shingle, and the similarity, of the near-duplicate stage.
 SHINGLE_WORDS, SIMILARITY = 5, 0.8
+#: Words of the shortest repeated passage that the repeats stage removes: more than 50.
+PASSAGE_WORDS = 51
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,8 +29,8 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def remove_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Bytes of strings of 400 bytes that occur more than once go; the documents stay."""
-    return repeats.remove_repeats(docs)
+    """Passages of PASSAGE_WORDS words and strings of 400 bytes that occur more than once go; the documents stay."""
+    return repeats.remove_repeats(docs, words=PASSAGE_WORDS)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -383,6 +383,37 @@ def test_remove_repeats_keeps_rows_and_columns(docs, texts):
         assert got[10 * i + 3].text == (None if t is None else left)
 
 
+@pytest.mark.parametrize("parts", [1, 4])
+def test_pipeline_removes_passages_of_more_than_50_words(spark, parts):
+    """Passages of 51 to 65 words go from all texts, of any word length and white space between; those of 50 stay."""
+    import corpus_pipeline
+
+    rng = random.Random(51)
+    word = lambda least, most: "".join(rng.choices("abcdefghijk", k=rng.randint(least, most)))
+    texts, long = [], "".join(rng.choices("abcdefgh", k=450))
+    for n in [*range(48, 66), 51, 52, 130]:
+        passage = [word(*rng.choice([(1, 2), (4, 7)])) for _ in range(n)]
+        for sep in (" ", "\n", "  "):
+            texts.append(" ".join(word(9, 12) for _ in range(rng.randint(0, 90))) + sep + sep.join(passage) + " " + " ".join(word(9, 12) for _ in range(20)))
+    texts += [f"one {long} two", f"three {long} four", texts[0], None, " ", "x"]
+    words = [[x.encode() for x in (t or "").split()] for t in texts]
+    count = Counter(tuple(w[i : i + 51]) for w in words for i in range(len(w) - 50))
+    by_bytes = brute_repeats([(t or "").encode() for t in texts], 400)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = rows(corpus_pipeline.remove_repeated_passages(spark, df.coalesce(1) if parts == 1 else df.repartition(parts), SMALL))
+    for i, (t, w) in enumerate(zip(texts, words)):
+        gone, ends, at = by_bytes[i], [], 0
+        for x in w:
+            at = t.index(x.decode(), at) + len(x)
+            ends.append(at)
+        for j in range(len(w) - 50):
+            if count[tuple(w[j : j + 51])] > 1:
+                lo = ends[j] - len(w[j])
+                gone[lo : ends[j + 50]] = b"\1" * (ends[j + 50] - lo)
+        assert got[i].text == (None if t is None else "".join(c for c, g in zip(t, gone) if not g)), i
+    assert got[7].text.count("\n") == 50 and got[10].text.count("\n") == 1  # 50 words stay; 51 go, but for the white space around
+
+
 # --- packing ---------------------------------------------------------------------------------------------------
 
 
