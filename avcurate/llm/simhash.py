@@ -26,12 +26,14 @@ from itertools import repeat
 
 import numpy as np
 import pandas as pd
+import zstandard as zstd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
 from avcurate.llm.common import n_parts, spread, stage
 from avcurate.llm.components import connected_components
+from avcurate.llm.repeats import packed
 
 SEGMENTS, BITS = 4, 16
 
@@ -173,18 +175,21 @@ def near_duplicates(docs: DataFrame, k: int = 3, limit: int = 3, seed: int = 42)
 # fingerprints of small samples: a sample is the few shingles with the least mixed hashes, and its
 # fingerprint their sum. Similar texts share samples often (0.8^3, a dozen times over); what meets is
 # then compared by sketches of the least hashes, which are whole sets for texts of up to SKETCH shingles.
+# Of longer texts the sketches only tell which cannot be similar: what they leave, down to MARGIN (five
+# standard deviations) below the bound, is compared by whole sets, brought together by the components of
+# these candidates; of a component above GROUP rows by its samples again, so that none fills a task.
 
-SAMPLES, SAMPLE, SKETCH = 12, 3, 128
+SAMPLES, SAMPLE, SKETCH, MARGIN, GROUP = 12, 3, 128, 0.18, 512
 
 
 def sketches(docs: DataFrame, k: int, seed: int = 42) -> DataFrame:
-    """doc_id, fp, keys (fingerprints of samples), sketch (least hashes, sorted), full (they are all)."""
+    """doc_id, fp, keys (fingerprints of samples), sketch (least hashes, sorted), full (they are all), digest and size of the whole set."""
     odd = np.random.default_rng(seed).integers(0, 1 << 64, SAMPLES, dtype=np.uint64) | np.uint64(1)
 
-    def one(text: str) -> tuple[int, list[int], bytes, bool]:
+    def one(text: str) -> tuple[int, list[int], bytes, bool, int, int]:
         grams = shingles(text, k)
         if not grams:
-            return 0, [], b"", True
+            return 0, [], b"", True, 0, 0
         h = np.fromiter(map(xxh64_intdigest, grams, repeat(seed)), np.uint64, len(grams))
         ones = np.zeros(64, np.int64)
         for at in range(0, len(h), 1 << 16):
@@ -196,16 +201,16 @@ def sketches(docs: DataFrame, k: int, seed: int = 42) -> DataFrame:
             x = h * m
             x ^= x >> np.uint64(32)
             keys.append(int((np.partition(x, few - 1)[:few].sum(dtype=np.uint64) * m + np.uint64(i)).view(np.int64)))
-        return int(fp), keys, h[:SKETCH].tobytes(), len(h) <= SKETCH
+        return int(fp), keys, h[:SKETCH].tobytes(), len(h) <= SKETCH, int(h.sum(dtype=np.uint64).view(np.int64)), len(h)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             for at in range(0, len(b), 2000):
                 part = b.iloc[at : at + 2000]
                 rows = [one(t or "") for t in part.text]
-                yield pd.DataFrame({"doc_id": part.doc_id.astype("Int64"), "fp": [r[0] for r in rows], "keys": [r[1] for r in rows], "sketch": [r[2] for r in rows], "full": [r[3] for r in rows]})
+                yield pd.DataFrame({"doc_id": part.doc_id.astype("Int64"), "fp": [r[0] for r in rows], "keys": [r[1] for r in rows], "sketch": [r[2] for r in rows], "full": [r[3] for r in rows], "digest": [r[4] for r in rows], "size": [r[5] for r in rows]})
 
-    return spread(docs.select("doc_id", "text")).mapInPandas(run, "doc_id long, fp long, keys array<long>, sketch binary, full boolean")
+    return spread(docs.select("doc_id", "text")).mapInPandas(run, "doc_id long, fp long, keys array<long>, sketch binary, full boolean, digest long, size long")
 
 
 def resemblance(a: np.ndarray, b: np.ndarray, whole: bool) -> float:
@@ -217,62 +222,114 @@ def resemblance(a: np.ndarray, b: np.ndarray, whole: bool) -> float:
     return float((both <= union[-1]).sum()) / len(union) if len(union) else 1.0
 
 
-def similar_links(sketched: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame]:
-    """(u, v), and the ids of equal sketches: links between ids of sketches, one of each equal sketch, that share a sample and are similar."""
-    rep = stage(sketched.where("size(keys) > 0 and doc_id is not null").groupBy("sketch", "full", "keys").agg(F.min("doc_id").alias("id")), "similar-rep")
+def grow(ids: list[int], sets: list[np.ndarray], whole: list[bool], similarity: float) -> list[tuple[int, int]]:
+    """Star links of the components of the rows that are similar by their sketches or whole sets."""
+    if len(ids) < 2:
+        return []
+    size, all_ = np.array([len(x) for x in sets]), np.array(whole)
+    table = np.concatenate(sets)
+    row = np.repeat(np.arange(len(ids)), size)
+    out, root, edge, left = [], 0, [0], np.arange(1, len(ids))
+    while len(left):
+        if not edge:
+            root, edge, left = int(left[0]), [int(left[0])], left[1:]
+            continue
+        i = edge.pop()
+        common = np.bincount(row[np.isin(table, sets[i])], minlength=len(ids))[left]
+        union = size[i] + size[left] - common
+        exact = all_[i] & all_[left]
+        # what sketches share bounds the similarity from above, and is it for whole sets
+        may = common >= similarity * np.where(exact, union, np.minimum(union, SKETCH)) - 1e-9
+        near = [int(j) for j in left[may] if resemblance(sets[i], sets[j], all_[i] and all_[j]) >= similarity]
+        left = left[~np.isin(left, near)]
+        edge += near
+        out += [(ids[j], ids[root]) for j in near]
+    return out
+
+
+def similar_links(sketched: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(u, v, exact), the rows of equal sets as one, and the samples that some share: links that hold (exact), and candidates."""
+    rep = stage(sketched.where("size(keys) > 0 and doc_id is not null").groupBy("digest", "size", "sketch", "full", "keys").agg(F.min("doc_id").alias("id")), "similar-rep")
     keyed = rep.select("id", F.explode(F.array_distinct("keys")).alias("key"))
     met = stage(keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "similar-met")
     members = stage(keyed.join(met, "key"), "similar-members")
-    rows = members.join(rep.select("id", "sketch", "full"), "id")
+    rows = members.join(rep.select("id", "sketch", "full", "size"), "id")
     dealt = rows.repartition(n_parts(rep), "key").sortWithinPartitions("key", "id")
+    odd = int(np.ceil(similarity * (SKETCH + 1) - 1e-9))  # a smaller whole set is not similar to any that is not whole
 
-    def grow(ids: list[int], sets: list[np.ndarray], whole: list[bool]) -> list[tuple[int, int]]:
-        if len(ids) < 2:
-            return []
-        size, all_ = np.array([len(x) for x in sets]), np.array(whole)
-        table = np.concatenate(sets)
-        row = np.repeat(np.arange(len(ids)), size)
-        out, root, edge, left = [], 0, [0], np.arange(1, len(ids))
-        while len(left):
-            if not edge:
-                root, edge, left = int(left[0]), [int(left[0])], left[1:]
-                continue
-            i = edge.pop()
-            common = np.bincount(row[np.isin(table, sets[i])], minlength=len(ids))[left]
-            union = size[i] + size[left] - common
-            exact = all_[i] & all_[left]
-            # what sketches share bounds the similarity from above, and is it for whole sets
-            may = common >= similarity * np.where(exact, union, np.minimum(union, SKETCH)) - 1e-9
-            near = [int(j) for j in left[may] if resemblance(sets[i], sets[j], all_[i] and all_[j]) >= similarity]
-            left = left[~np.isin(left, near)]
-            edge += near
-            out += [(ids[j], ids[root]) for j in near]
+    def solve(rows: list[tuple[int, np.ndarray, bool, int]]) -> list[tuple[int, int, bool]]:
+        out = []
+        for exact, some in ((True, [r[:3] for r in rows if r[2]]), (False, [r[:3] for r in rows if r[3] >= odd])):
+            if len(some) > 1 and exact | any(not r[2] for r in some):
+                out += [(u, v, exact) for u, v in grow(*map(list, zip(*some)), similarity if exact else similarity - MARGIN)]
         return out
 
+    def frame(links: list[tuple[int, int, bool]]) -> pd.DataFrame:
+        return pd.DataFrame(links, columns=["u", "v", "exact"]).astype({"u": "int64", "v": "int64", "exact": bool})
+
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        key, ids, sets, whole = None, [], [], []
+        key, held = None, []
         for b in batches:
             out = []
-            for k, i, s, f in zip(b.key, b.id, b.sketch, b.full):
+            for k, i, s, f, n in zip(b.key, b.id, b.sketch, b.full, b["size"]):
                 if k != key:
-                    out += grow(ids, sets, whole)
-                    key, ids, sets, whole = k, [], [], []
+                    out += solve(held)
+                    key, held = k, []
+                held.append((i, np.frombuffer(bytes(s), np.uint64), bool(f), n))
+            yield frame(out)
+        yield frame(solve(held))
+
+    return stage(dealt.mapInPandas(run, "u long, v long, exact boolean"), "similar-candidates"), rep, members
+
+
+def verified_links(docs: DataFrame, candidates: DataFrame, rep: DataFrame, members: DataFrame, k: int, similarity: float, seed: int = 42) -> DataFrame:
+    """(u, v): links of the rows that candidates (u, v) connect, by their whole sets; parts whose sketches are all whole are left out."""
+    comp = stage(connected_components(candidates).join(rep.select("id", "full"), "id"), "similar-parts")
+    parts = comp.groupBy("component").agg(F.count("*").alias("n"), F.min("full").alias("known")).where("not known").select("component", "n")
+    open_ = stage(comp.select("id", "component").join(parts, "component"), "similar-open")
+    small = open_.where(F.col("n") <= GROUP).select("id", F.xxhash64("component").alias("g"))
+    large = open_.where(F.col("n") > GROUP).join(members, "id").select("id", F.xxhash64("component", "key").alias("g"))
+    groups = small.unionByName(large).groupBy("id").agg(F.collect_list("g").alias("gs"))
+    texts = packed(spread(docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("rid"), "text")))
+    rows = texts.join(groups.withColumnRenamed("id", "rid").hint("shuffle_merge"), "rid")
+
+    def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        d = zstd.ZstdDecompressor()
+        for b in batches:
+            for at in range(0, len(b), 500):
+                out = []
+                for rid, z, gs in zip(*(b[c].iloc[at : at + 500] for c in ("rid", "z", "gs"))):
+                    grams = shingles(d.decompress(z).decode("utf-8"), k)
+                    h = np.unique(np.fromiter(map(xxh64_intdigest, grams, repeat(seed)), np.uint64, len(grams))).tobytes()
+                    out += [(g, rid, h) for g in gs]
+                yield pd.DataFrame(out, columns=["g", "id", "h"])
+
+    dealt = rows.mapInPandas(sets, "g long, id long, h binary").repartition(n_parts(rep), "g").sortWithinPartitions("g", "id")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        group, ids, held = None, [], []
+        for b in batches:
+            out = []
+            for g, i, h in zip(b.g, b.id, b.h):
+                if g != group:
+                    out += grow(ids, held, [True] * len(ids), similarity)
+                    group, ids, held = g, [], []
                 ids.append(i)
-                sets.append(np.frombuffer(bytes(s), np.uint64))
-                whole.append(f)
+                held.append(np.frombuffer(bytes(h), np.uint64))
             yield pd.DataFrame(out, columns=["u", "v"], dtype="int64")
-        yield pd.DataFrame(grow(ids, sets, whole), columns=["u", "v"], dtype="int64")
+        yield pd.DataFrame(grow(ids, held, [True] * len(ids), similarity), columns=["u", "v"], dtype="int64")
 
-    return dealt.mapInPandas(run, "u long, v long"), rep
+    return dealt.mapInPandas(run, "u long, v long")
 
 
 def similar_documents(docs: DataFrame, k: int = 5, similarity: float = 0.8, limit: int = 3, seed: int = 42) -> DataFrame:
     """doc_id, component_id: documents linked by fingerprints within ``limit`` bits or by a similarity of ``similarity``."""
     sketched = stage(sketches(docs, k, seed), "similar-sketches")
     by_bits = stage(fingerprint_components(sketched.select("doc_id", "fp"), limit), "similar-bits")
-    found, rep = similar_links(sketched, similarity)
-    copies = sketched.where("size(keys) > 0").join(rep.hint("shuffle_merge"), ["sketch", "full", "keys"]).where("doc_id <> id").select(F.col("doc_id").alias("u"), F.col("id").alias("v"))
-    edges = found.unionByName(copies).unionByName(by_bits.where("doc_id <> component_id").select(F.col("doc_id").alias("u"), F.col("component_id").alias("v")))
+    found, rep, members = similar_links(sketched, similarity)
+    verified = verified_links(docs, found.where("not exact").select("u", "v"), rep, members, k, similarity, seed)
+    copies = sketched.where("size(keys) > 0").join(rep.select("digest", "size", "id").hint("shuffle_merge"), ["digest", "size"]).where("doc_id <> id").select(F.col("doc_id").alias("u"), F.col("id").alias("v"))
+    edges = found.where("exact").select("u", "v").unionByName(verified).unionByName(copies).unionByName(by_bits.where("doc_id <> component_id").select(F.col("doc_id").alias("u"), F.col("component_id").alias("v")))
     comp = connected_components(stage(edges, "similar-links"))
     return docs.select("doc_id").join(comp.withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component_id", F.coalesce("component", "doc_id")).drop("component")
 

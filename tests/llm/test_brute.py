@@ -161,6 +161,26 @@ def test_similar_documents(docs, texts, empty_docs):
     assert simhash.keep_one(empty_docs).count() == 0 and simhash.keep_one(docs).columns == docs.columns
 
 
+@pytest.mark.parametrize("group", [512, 3])
+def test_similar_texts_above_a_sketch(spark, monkeypatch, group):
+    """Texts of 130 to 900 shingles, next to the bound: those at it or above are linked, others are not."""
+    monkeypatch.setattr(simhash, "GROUP", group, raising=False)
+    rng = random.Random(80)
+    texts = []
+    for n in [135, 160, 300, 500, 900] * 12:
+        w = ["".join(rng.choices("abcdefghij", k=6)) for _ in range(n)]
+        cut = round(n * rng.uniform(0.08, 0.14))
+        at = rng.randrange(n - cut)
+        texts += [" ".join(w), " ".join(w[:at] + ["".join(rng.choices("abcdefghij", k=6)) for _ in range(cut)] + w[at + cut :])]
+    texts += [" ".join(texts[6].split()[:i] + [f"new{i}"] + texts[6].split()[i:]) for i in range(10, 100, 15)]
+    sets = [set(simhash.shingles(t, 5)) for t in texts]
+    fp = [brute_fingerprint(t, 5) for t in texts]
+    near = [(a, b) for b in range(len(texts)) for a in range(b) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]) or (fp[a] ^ fp[b]).bit_count() <= 3]
+    assert 20 < len(near) and min(map(len, sets)) > simhash.SKETCH
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    assert {r.doc_id: r.component_id for r in simhash.similar_documents(df).collect()} == union_find(range(len(texts)), near)
+
+
 def test_simhash_links_all_near_fingerprints(spark):
     rng = random.Random(5)
     fps = []
