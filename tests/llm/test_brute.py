@@ -548,6 +548,22 @@ def test_shards_are_written_in_order(spark, docs, tmp_path):
     assert spark.read.parquet(f"file://{tmp_path}/s").count() == docs.count()
 
 
+def test_sharding_writes_the_texts_and_reads_them_back(spark, monkeypatch):
+    """Null and repeated ids keep all their rows; what is told of a shard is what was written."""
+    paths, write = [], sharding.write_shards
+    monkeypatch.setattr(sharding, "write_shards", lambda docs, path, *a: (paths.append(path), write(docs, path, *a)))
+    texts = [(i % 7 or None, None if i % 11 == 3 else f"text {i}") for i in range(60)] + [(1, "text 1")]
+    df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    got = sharding.shard_documents(df, 3, bucket_rows=4).collect()
+    written = spark.read.parquet(paths[0]).collect()
+    order = lambda x: sorted(x, key=repr)
+    assert order((r.doc_id, r.text) for r in written) == order(texts)
+    assert order((r.shard, r.slot, r.doc_id, len((r.text or "").encode()) + 8, zlib.crc32((r.text or "").encode())) for r in written) == order((r.shard, r.slot, r.doc_id, r.size, r.text_crc32) for r in got)
+    for shard in range(3):
+        slots = [r.slot for r in got if r.shard == shard]
+        assert sorted(slots) == list(range(len(slots)))
+
+
 # --- BPE ---------------------------------------------------------------------------------------------------------------
 
 
