@@ -430,6 +430,14 @@ def o_udtf_alignment(spark, d):
     return spark.sql("SELECT pair_id, count_if(op <> 'hit') AS dist FROM alignment_pairs, LATERAL alignment_rows(hyp, ref) GROUP BY pair_id")
 
 
+@query()
+def o_udtf_alignment_all(spark, d):
+    """The same for all pairs of all systems; pairs without edit rows keep theirs."""
+    spark.udtf.register("alignment_rows", udfs.AlignmentRows)
+    baselines.transcribe(fx.clip_text(spark, d)).createOrReplaceTempView("alignment_all_pairs")
+    return spark.sql("SELECT system_id, pair_id, if(bool_or(ref IS NULL OR hyp IS NULL), NULL, count_if(op <> 'hit')) AS dist FROM alignment_all_pairs LEFT JOIN LATERAL alignment_rows(hyp, ref) GROUP BY system_id, pair_id")
+
+
 @query(f"WITH {T.MEASURED} SELECT system_id, {T.r6('avg(cer)')} AS cer, {T.r6('avg(sim)')} AS sim FROM meas WHERE system_id IN ('sys01', 'sys12') GROUP BY system_id")
 def o_sqlfunc(spark, d):
     from avcurate.functions.text import letter_vector

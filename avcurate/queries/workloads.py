@@ -628,6 +628,13 @@ def w11_patch_tokens(spark, d):
     return t.select("clip_id", "token_no", F.posexplode("vec").alias("dim", "v")).select("clip_id", "token_no", F.col("dim").cast("bigint").alias("dim"), r6("v").alias("value"))
 
 
+@query()
+def w11_patch_tokens_all(spark, d):
+    """The same for all clips, a row for each token."""
+    t = resampler.patch_tokens(fx.clip_frames(spark, d), 4)
+    return t.select("clip_id", "token_no", F.transform("vec", lambda v: r6(v)).alias("vec"))
+
+
 @query("""SELECT clip_id, row_number() OVER (PARTITION BY clip_id ORDER BY rank, token_no) - 1 AS pos, modality FROM (
 SELECT label AS clip_id, 0 AS rank, 'audio' AS modality, vec_id AS token_no FROM embeddings WHERE vec_id % 3 = 0
 UNION ALL SELECT label, 1, 'visual', vec_id FROM embeddings WHERE vec_id % 3 = 1 UNION ALL SELECT label, 2, 'prompt', vec_id FROM embeddings WHERE vec_id % 3 = 2)""")
