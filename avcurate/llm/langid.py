@@ -1,6 +1,6 @@
 """Language identification of whole texts, with spans of mixed language.
 
-A word's script (by ranges of code points) narrows the languages to those that use the script in
+A word is a run of letters of one script, of at most 64; a longer run is several words. Its script (by ranges of code points) narrows the languages to those that use the script in
 the training rows. Each word gets a score for each candidate: its log-probability in the language
 where training saw it, else that of its character trigrams. Viterbi over the words, with a penalty
 for each switch, labels spans; a document has the language of most of its letters, and its score
@@ -24,6 +24,8 @@ import uuid
 from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
+from functools import lru_cache
+from itertools import groupby
 
 import numpy as np
 import pandas as pd
@@ -41,17 +43,34 @@ SCRIPT_RANGES = (
     (0x3400, "han"), (0xA000, "other"), (0xAC00, "hangul"), (0xD7B0, "other"), (0xF900, "han"), (0xFB00, "latin"), (0xFB13, "other"), (0x20000, "han"), (0x30000, "other"),
 )
 STARTS, SCRIPTS = [a for a, _ in SCRIPT_RANGES], [s for _, s in SCRIPT_RANGES]
-find_words = re.compile(r"[^\W\d_]+").findall
+LONGEST = 64  # letters of a word; a longer run of letters is cut into words that cover it
+letter_runs, cut_runs = re.compile(r"[^\W\d_]+").findall, re.compile(rf"[^\W\d_]{{1,{LONGEST}}}").findall
 UNDETERMINED = "und"
 
 
+@lru_cache(1 << 16)
+def script_of_letter(letter: str) -> str:
+    return SCRIPTS[max(0, bisect_right(STARTS, ord(letter)) - 1)]
+
+
+def find_words(text: str) -> list[str]:
+    """Runs of letters of one script, long ones in pieces."""
+    if text.isascii() or len({script_of_letter(c) for c in set(text) if c.isalpha()}) < 2:
+        return cut_runs(text)
+    out = []
+    for run in letter_runs(text):
+        for part in [run] if run.isascii() else map("".join, (g for _, g in groupby(run, script_of_letter))):
+            out += [part] if len(part) <= LONGEST else [part[i : i + LONGEST] for i in range(0, len(part), LONGEST)]
+    return out
+
+
 def script_of(word: str) -> str:
     letter = next((c for c in word if c.isalpha()), None)
-    return SCRIPTS[max(0, bisect_right(STARTS, ord(letter)) - 1)] if letter else "none"
+    return script_of_letter(letter) if letter else "none"
 
 
 def grams_of(word: str) -> list[str]:
-    w = f"^{word[:64]}$"
+    w = f"^{word}$"
     return [w[i : i + 3] for i in range(len(w) - 2)]
 
 

@@ -62,6 +62,24 @@ def test_spans_of_mixed_text():
     assert langid.label(["дом это дом"], s, 8.0)[0][:2] == ("ru", 1.0)
 
 
+def test_unspaced_runs_are_read_whole():
+    """Runs of letters are words of one script and of a bounded length, which cover them."""
+    rng = random.Random(3)
+    for _ in range(200):
+        run = "".join("".join(rng.choices(a, k=rng.randint(1, 150))) for a in rng.choices(["abcé", "дом", "漢字", "かな", "αβ"], k=4))
+        found = langid.find_words(f"1 {run}_x")
+        assert "".join(found) == run + "x" and max(map(len, found)) <= 64
+        assert all(len({langid.script_of(c) for c in w}) == 1 for w in found)
+    counts = [("gram", lang, w[i : i + 3], 50) for lang, w in (("de", "undder"), ("en", "thehouse")) for i in range(len(w) - 2)]
+    counts += [("word", "ru", "дом", 50), ("word", "en", "x", 1), ("word", "de", "y", 1)]
+    counts += [("total", lang, kind, 200) for lang in ("de", "en", "ru") for kind in ("word", "gram")]
+    counts += [("script", "de", "latin", 200), ("script", "en", "latin", 200), ("script", "ru", "cyrillic", 100)]
+    s = langid.Scorer(langid.Model(counts))
+    long, mixed = langid.label(["undder" * 11 + "thehouse" * 60, "undder" + "дом" * 40], s, 2.0)
+    assert long[0] == "en" and [x[0] for x in long[2]] == ["de", "en"]
+    assert mixed[0] == "ru" and [x[0] for x in mixed[2]] == ["de", "ru"]
+
+
 def test_certain_paths_are_best_paths():
     rng = np.random.default_rng(1)
     for _ in range(300):
