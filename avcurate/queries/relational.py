@@ -450,5 +450,5 @@ def o_sqlfunc(spark, d):
 def e2_hashed_ngrams(spark, d):
     """Cosines of hashed trigram vectors of hypothesis and reference."""
     from avcurate.functions.vectors import cosine
-    c = udfs.hashed_ngrams(udfs.hashed_ngrams(fx.clip_text(spark, d), "hyp_text", "vh", 3, 64), "ref_text", "vr", 3, 64)
+    c = udfs.hashed_ngrams(udfs.hashed_ngrams(fx.clip_text(spark, d, None), "hyp_text", "vh", 3, 64), "ref_text", "vr", 3, 64)
     return c.select("clip_id", r6(cosine("vh", "vr")).alias("sim"))

@@ -12,9 +12,9 @@ from avcurate.sources.tables import load, with_k
 TEXT_CHARS = 160
 
 
-def clip_text(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """clip_id, speaker, category, ref_text, hyp_text; a fifth each: exact, no vowels, cut, fewer h, reversed."""
-    ref = F.left("text", F.lit(TEXT_CHARS))
+def clip_text(spark: SparkSession, sf_dir: str, chars: int | None = TEXT_CHARS) -> DataFrame:
+    """clip_id, speaker, category, ref_text, hyp_text; a fifth each: exact, no vowels, cut, fewer h, reversed; chars None takes whole texts."""
+    ref = F.col("text") if chars is None else F.left("text", F.lit(chars))
     short = F.floor(F.length(ref) * F.lit(0.6)).cast("int")
     way = F.col("doc_id") % 5
     hyp = (

@@ -157,3 +157,17 @@ def test_patch_tokens_of_all_clips(spark):
         for p in range(4):
             want = [f.pixels[(p // 2 * 4 + y) * 8 + p % 2 * 4 + x] for y in range(4) for x in range(4)]
             assert got[f.clip_id, f.frame_no * 4 + p] == pytest.approx(want, abs=1e-6)
+
+
+def test_hashed_ngrams_see_whole_texts(spark):
+    """Against pairs made here from whole texts: every fifth hypothesis is the first three fifths of its text."""
+    from avcurate.functions.udfs import hashed_ngrams
+    from avcurate.queries import QUERIES
+
+    text = {r.doc_id: r.text for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect() if r.text and r.doc_id % 5 == 2}
+    pairs = spark.createDataFrame([(i, t, t[: int(len(t) * 0.6)]) for i, t in text.items()], "clip_id long, r string, h string")
+    want = hashed_ngrams(hashed_ngrams(pairs, "h", "vh", 3, 64), "r", "vr", 3, 64).select("clip_id", cosine("vh", "vr").alias("sim"))
+    got = {r.clip_id: r.sim for r in QUERIES["e2_hashed_ngrams"](spark, SMALL).collect()}
+    assert max(map(len, text.values())) > 1000
+    for r in want.collect():
+        assert got[r.clip_id] == pytest.approx(r.sim, abs=1e-5)
