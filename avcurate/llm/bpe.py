@@ -22,11 +22,11 @@ import re
 import unicodedata
 from collections.abc import Iterator
 
-import pandas as pd
 import regex
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from avcurate.llm.common import kept, spread
+from avcurate.llm.common import kept, map_values, spread
 from avcurate.llm.tokens import byte_alphabet
 
 END = "</w>"
@@ -181,17 +181,17 @@ def bpe_of(path: str) -> Bpe:
 
 def encode_documents(docs: DataFrame, tokenizer: str, with_ids: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256; with_ids adds ids (array) and the decoded text."""
-    schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * with_ids
+    added = "n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * with_ids
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def make():
         bpe, sha = bpe_of(tokenizer), hashlib.sha256
-        for b in batches:
-            rows = []
-            for doc, text in zip(b.doc_id.astype("Int64"), b.text):
-                ids = bpe.encode_decimal(text or "")
-                decoded = bpe.decode_decimal(ids)
-                row = (doc, ids.count(" ") + 1 if ids else 0, sha(ids.encode()).hexdigest(), sha(decoded.encode("utf-8")).hexdigest())
-                rows.append(row + (([int(i) for i in ids.split()], decoded) if with_ids else ()))
-            yield pd.DataFrame(rows, columns=[x.split()[0] for x in schema.split(", ")]).astype({"doc_id": "Int64"})
-
-    return spread(docs.select("doc_id", "text")).mapInPandas(run, schema)
+
+        def one(text: str) -> tuple:
+            ids = bpe.encode_decimal(text)
+            decoded = bpe.decode_decimal(ids)
+            row = (ids.count(" ") + 1 if ids else 0, sha(ids.encode()).hexdigest(), sha(decoded.encode("utf-8")).hexdigest())
+            return row + (([int(i) for i in ids.split()], decoded) if with_ids else ())
+
+        return lambda texts: list(zip(*[one(t or "") for t in texts]))
+
+    return map_values(spread(docs.select(F.col("doc_id").cast("long"), "text")), "text", make, added)

@@ -1,116 +1,119 @@
-"""Repeated strings by merging the Burrows-Wheeler transforms of shards.
-
-Each shard of documents sorts its own suffixes once and keeps its transform and suffix array. The
-merge begins with the shards one after the other and refines the interleave: one pass takes the
-suffixes in their order by h characters, and moves each by the character before it, stably, which
-gives the order by h + 1 characters. No suffix is compared or sorted again. A border between two
-neighbours that first shows in pass h is a common prefix of h - 1 characters. After ``length``
-passes the suffixes without a border between them share ``length`` characters: the repeated
-intervals. Ends of documents are all unlike, so that no repeat crosses them.
-
-A pass costs about the same for every character, so the merge takes ``length`` times the corpus.
-``MOST_BYTES`` bounds what one merge takes; above it, ``repeats.py`` serves (README.md has figures).
+"""Repeated windows of anchored runs, by merging the Burrows-Wheeler transforms of shards.
+
+A run is a stretch of a text whose windows of ``length`` units (bytes, or words) all hold one
+anchor; windows can be equal only where their anchors are, at equal places. So of all suffixes only
+those that begin at anchors need an order, and a shard's transform is, for each of them, the units
+before it, one for each pass. The merge begins with the rows of the shards one after the other.
+
+1. Refinement: one pass for each unit from the anchor on. A pass moves rows, stably, by that unit
+   within the interval in which they agree so far. A border that first shows in pass h is a common
+   prefix of h units. Only intervals that a pass splits are moved.
+2. Extension: pass d puts the suffixes d - 1 units before the anchors, in their order, by the unit
+   before them (the transform's step), which gives the order of the suffixes d units before. Rows
+   that become neighbours have the least of the common prefixes between them, so nothing is
+   compared or sorted anew. Neighbours whose common prefix from the anchor on is ``length - d`` or
+   more begin equal windows: the repeated intervals.
+
+Rows leave when their interval holds them alone or their text ends; an end is unlike every unit and
+every other end. Units are compared themselves, no hashes of them. Empty input gives empty marks.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
-
-MOST_BYTES = 8 << 20
-END = 256  # of a document; sorts as the least
-
-
-def suffix_array(text: np.ndarray) -> np.ndarray:
-    """By doubling; text holds small integers, ends of documents are unlike one another."""
-    n = len(text)
-    ends = np.cumsum(text == END)
-    rank = np.where(text == END, ends - 1, text.astype(np.int64) + ends[-1] if n else 0)
-    order, step = np.argsort(rank, kind="stable"), 1
-    while n:
-        second = np.full(n, -1, np.int64)
-        second[:-step] = rank[step:] if step < n else second[:-step]
-        order = np.lexsort((second, rank))
-        a, b = rank[order], second[order]
-        new = np.cumsum(np.r_[False, (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
-        rank = np.empty(n, np.int64)
-        rank[order] = new
-        if new[-1] == n - 1 or step >= n:
+
+
+def _units(flat: np.ndarray, at: np.ndarray, there: np.ndarray) -> np.ndarray:
+    return np.where(there, flat[np.clip(at, 0, len(flat) - 1)].astype(np.int32), np.int32(-1))
+
+
+def _split(order: np.ndarray, begins: np.ndarray, units: np.ndarray) -> tuple[np.ndarray, np.ndarray] | None:
+    """Slots of the rows in intervals that ``units`` (of the rows in order; -1 is an end) split, and their stable order by unit; None where none splits."""
+    unlike = ~begins
+    unlike[1:] &= (units[1:] != units[:-1]) | (units[1:] < 0)
+    if not unlike.any():
+        return None
+    interval = np.cumsum(begins) - 1
+    touched = np.zeros(interval[-1] + 1, bool)
+    touched[interval[unlike]] = True
+    slots = np.flatnonzero(touched[interval])
+    return slots, np.lexsort((units[slots], interval[slots]))
+
+
+def refine(order: np.ndarray, begins: np.ndarray, flat: np.ndarray, anchor: np.ndarray, left: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """Order of rows by their units from the anchor on, within intervals, and each one's common prefix with the row before it; -1 between intervals.
+
+    A row has ``left`` units from ``flat[anchor]`` on. ``order`` lists the rows by interval, ``begins`` its first rows.
+    """
+    order = order.copy()
+    common = np.where(begins, -1, length).astype(np.int32)
+    at = np.arange(len(order))  # the slots of rows whose interval has others
+    begins = begins.copy()
+    for h in range(length):
+        keep = ~(begins & np.r_[begins[1:], True]) if len(begins) else begins
+        if not keep.all():
+            at, begins = at[keep], begins[keep]
+        if not len(at):
             break
-        step *= 2
-    return order.astype(np.int32)
-
-
-def shard_transform(docs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(transform, suffix array, starts of documents) of documents, each followed by an end."""
-    parts, starts, at = [], [], 0
-    for d in docs:
-        starts.append(at)
-        parts += [np.frombuffer(d, np.uint8).astype(np.int16), np.array([END], np.int16)]
-        at += len(d) + 1
-    text = np.concatenate(parts) if parts else np.empty(0, np.int16)
-    sa = suffix_array(text)
-    return text[sa - 1] if len(text) else text, sa, np.array(starts, np.int64)
-
-
-def merge(transforms: list[np.ndarray], passes: int) -> tuple[np.ndarray, np.ndarray]:
-    """(shard of each row in the order by ``passes`` characters, common prefix with the row before, at most ``passes``)."""
-    of = np.concatenate([np.full(len(t), i, np.int32) for i, t in enumerate(transforms)]) if transforms else np.empty(0, np.int32)
-    n = len(of)
-    lcp = np.full(n, passes, np.int32)
-    group = np.zeros(n, np.int64)  # rows that agree so far
-    if not n:
-        return of, lcp
-    for h in range(1, passes + 1):
-        chars = np.empty(n, np.int16)
-        for i, t in enumerate(transforms):
-            chars[of == i] = t  # the rows of a shard stay in its own order
-        key = np.where(chars == END, -1, chars)
-        order = np.argsort(key, kind="stable")
-        c, g, moved = key[order], group[order], of[order]
-        border = np.r_[True, (c[1:] != c[:-1]) | (g[1:] != g[:-1]) | (c[1:] == -1)]
-        lcp[border & (lcp == passes)] = h - 1
-        group_now = np.cumsum(border)
-        if (moved == of).all() and (np.diff(group_now) == np.diff(group)).all():
+        rows = order[at]
+        units = _units(flat, anchor[rows] + h, left[rows] > h)
+        if (moved := _split(rows, begins, units)) is None:
+            continue
+        slots, by = moved
+        to = at[slots]
+        order[to] = rows[slots][by]
+        now = units[slots][by]
+        interval = np.cumsum(begins)[slots]
+        border = np.r_[True, (now[1:] != now[:-1]) | (now[1:] < 0) | (interval[1:] != interval[:-1])]
+        new = border & ~begins[slots]
+        common[to[new]] = h
+        begins[slots] |= border
+    return order, common
+
+
+def extend(order: np.ndarray, common: np.ndarray, flat: np.ndarray, anchor: np.ndarray, left: np.ndarray, length: int) -> np.ndarray:
+    """marks[row, d]: the window that begins d units before the row's anchor also begins elsewhere. A row has ``left`` units before its anchor."""
+    reach = int(left.max())
+    marks = np.zeros((len(left), reach + 1), bool)
+    common = common.copy()
+    for d in range(reach + 1):
+        alone = common < 0
+        keep = ~(alone & np.r_[alone[1:], True]) if len(alone) else alone
+        if not keep.all():
+            order, common = order[keep], common[keep]
+        if not len(order):
             break
-        of, group = moved, group_now
-    return of, lcp
-
-
-def repeated_starts(shards: list[tuple[np.ndarray, np.ndarray, np.ndarray]], length: int) -> list[tuple[int, int, int]]:
-    """(shard, document, place) of every string of ``length`` that also starts elsewhere."""
-    of, lcp = merge([t for t, _, _ in shards], length)
-    deep = lcp >= length
-    twice = deep | np.r_[deep[1:], False] if len(deep) else deep
-    out = []
-    for i, (_, sa, starts) in enumerate(shards):
-        at = np.sort(sa[twice[of == i]].astype(np.int64))
-        doc = np.searchsorted(starts, at, side="right") - 1
-        out += [(i, int(d), int(p - starts[d])) for d, p in zip(doc, at)]
-    return out
-
-
-def repeated_spans(texts: DataFrame, length: int = 400, most_bytes: int = MOST_BYTES) -> DataFrame:
-    """(rid, first, n) of (rid, text), as ``repeats.repeated_spans`` gives them; a corpus above ``most_bytes`` is refused."""
-    size = texts.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    if size > most_bytes:
-        raise ValueError(f"{size} bytes are more than one merge takes ({most_bytes})")
-
-    def shard(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            docs = [(t or "").encode("utf-8") for t in b.text]
-            t, sa, starts = shard_transform(docs)
-            yield pd.DataFrame({"t": [t.tobytes()], "sa": [sa.tobytes()], "starts": [starts.tobytes()], "rids": [b.rid.to_numpy(np.int64).tobytes()]})
-
-    def join(g: pd.DataFrame) -> pd.DataFrame:
-        shards = [(np.frombuffer(t, np.int16), np.frombuffer(s, np.int32), np.frombuffer(x, np.int64)) for t, s, x in zip(g.t, g.sa, g.starts)]
-        rids = [np.frombuffer(r, np.int64) for r in g.rids]
-        rows = [(int(rids[i][d]), p, 1) for i, d, p in repeated_starts(shards, length)]
-        return pd.DataFrame(rows, columns=["rid", "first", "n"])
-
-    made = texts.mapInPandas(shard, "t binary, sa binary, starts binary, rids binary")
-    return made.groupBy(F.lit(0).alias("all")).applyInPandas(join, "rid long, first int, n int")  # of bounded size, as checked above
+        twice = np.flatnonzero(common >= length - d)
+        marks[order[twice], d] = marks[order[twice - 1], d] = True
+        units = _units(flat, anchor[order] - 1 - d, left[order] > d)
+        if (moved := _split(order, common < 0, units)) is None:
+            continue
+        slots, by = moved
+        among, interval = common[slots], np.cumsum(common < 0)[slots]
+        now = units[slots][by]
+        border = np.r_[True, (now[1:] != now[:-1]) | (now[1:] < 0) | (interval[1:] != interval[:-1])]
+        order, common = order.copy(), common.copy()
+        order[slots] = order[slots][by]
+        # between rows that meet now, the least of the common prefixes that lay between them
+        ends = np.stack([np.r_[0, by[:-1]], by], axis=1) + 1
+        met = ~border
+        least = np.full(len(by), -1, np.int32)
+        if met.any():
+            least[met] = np.minimum.reduceat(np.r_[among, np.int32(-1)], ends[met].ravel())[::2]
+        common[slots] = least
+    return marks
+
+
+def merge(keys: np.ndarray, shards: list[np.ndarray], at: np.ndarray, length: int) -> list[np.ndarray]:
+    """For each row (its units, with its anchor at ``at``), which of its windows begin elsewhere among the rows of its key too."""
+    n = len(keys)
+    if not n:
+        return []
+    sizes = np.array([len(x) for x in shards])
+    flat = np.concatenate(shards)
+    anchor = np.cumsum(sizes) - sizes + at
+    order = np.argsort(keys, kind="stable")  # of a key, the shards one after the other
+    begins = np.r_[True, keys[order][1:] != keys[order][:-1]]
+    order, common = refine(order, begins, flat, anchor, np.minimum(sizes - at, length), length)
+    marks = extend(order, common, flat, anchor, at, length)
+    return [m[a - np.arange(k)] for m, a, k in zip(marks, at.tolist(), (sizes - length + 1).tolist())]

@@ -6,11 +6,15 @@ import ctypes
 import gc
 import tempfile
 import uuid
-from collections.abc import Callable, Hashable
+from collections.abc import Callable, Hashable, Iterator
 from functools import reduce
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -59,6 +63,39 @@ def renamed(df: DataFrame, keep: tuple[str, ...] = ("doc_id", "text")) -> DataFr
     return df.toDF(*[c if c in keep and df.columns.index(c) == i else f"c{i}" for i, c in enumerate(df.columns)])
 
 
+def parts_of(batch: pa.RecordBatch, column: str, most_rows: int = 4096, most_bytes: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+    """A batch in slices of bounded rows and bytes of ``column`` (strings or binary); a longer value is a slice of its own."""
+    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_pylist()
+    lo = held = 0
+    for i, n in enumerate(sizes):
+        if i > lo and (held + n > most_bytes or i - lo >= most_rows):
+            yield batch.slice(lo, i - lo)
+            lo, held = i, 0
+        held += n
+    if lo < len(sizes):
+        yield batch.slice(lo)
+
+
+def map_values(rows: DataFrame, column: str, make: Callable[[], Callable[[list], list[list]]], added: str) -> DataFrame:
+    """The rows without ``column`` and with the columns ``added`` (DDL), which a function of the list of its values gives.
+
+    ``make`` runs once a task. All other columns pass through Arrow as they are, so that no id loses a digit.
+    """
+    new = to_arrow_schema(StructType.fromDDL(added))
+    others = [c for c in rows.columns if c != column]
+    schema = StructType([f for f in rows.schema if f.name != column] + StructType.fromDDL(added).fields)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        f = make()
+        for b in batches:
+            for part in parts_of(b, column):
+                made = f(part.column(column).to_pylist())
+                arrays = [part.column(c) for c in others] + [pa.array(list(v), t) for v, t in zip(made, new.types)]
+                yield pa.RecordBatch.from_arrays(arrays, names=others + new.names)
+
+    return rows.mapInArrow(run, schema)
+
+
 _KEPT: list[tuple[Hashable, object]] = []
 
 
@@ -73,6 +110,16 @@ def kept(key: Hashable, make: Callable[[], object]):
     return _KEPT[0][1]
 
 
+def fresh(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """The same function of batches, in a worker process that has given back what earlier stages kept."""
+
+    def begin(batches: Iterator) -> Iterator:
+        release()
+        yield from run(batches)
+
+    return begin
+
+
 def release() -> None:
     """Give back what this worker process keeps, to the system too where its C library can."""
     _KEPT.clear()

@@ -8,7 +8,7 @@ nodes hold the largest capacity below them, so that the first bin with room is f
 in logarithmic time.
 
 Edge cases: a null or empty text is one piece with the end id; a text of any length is cut; ties
-go by document, start and checksum; repeated rows are packed as documents of their own; an empty
+go by document (its id as text), start and checksum; repeated rows are packed as documents of their own; an empty
 table gives no rows; extra columns are ignored.
 """
 
@@ -21,11 +21,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StringType, StructField, StructType
 
-from avcurate.llm.common import spread, stage
+from avcurate.llm.common import parts_of, spread, stage
 from avcurate.llm.tokens import ids_of
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, salt long"
@@ -72,30 +75,28 @@ def first_fit_decreasing(sizes: list[int], capacity: int) -> list[tuple[int, int
 def token_pieces(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: int = 1, seed: int = 7, with_ids: bool = False) -> DataFrame:
     """The pieces of every document, rests with sequence_id -1; with_ids adds their ids as little-endian 32-bit integers."""
     end = struct.pack("<I", end_id)
+    names = [x.split()[0] for x in PIECES.split(", ")][1:] + ["ids"] * with_ids
+    schema = PIECES + ", ids binary" * with_ids
+    types = to_arrow_schema(StructType.fromDDL(schema)).types[1:]
 
-    def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode, part, row, full = ids_of(tokenizer), TaskContext.get().partitionId(), 0, 0
         for b in batches:
-            out = []
-            for doc, text in zip(b.doc_id.astype("Int64"), b.text):
-                ids = np.array(encode(text or ""), dtype="<u4").tobytes() + end
-                n, row = len(ids) // 4, row + 1
-                for start in range(0, n, length):
-                    piece = ids[4 * start : 4 * (start + length)]
-                    k = len(piece) // 4
-                    own, full = (FULL + (part << 40) + full, full + 1) if k == length else (-1, full)
-                    out.append((doc, start, k, zlib.crc32(piece), n, own, zlib.crc32(b"%d %d %d" % (seed, part, row))) + ((piece,) if with_ids else ()))
-                if len(out) >= 5000:
-                    yield _pieces(out, with_ids)
-                    out = []
-            yield _pieces(out, with_ids)
-
-    return spread(docs.select("doc_id", "text")).mapInPandas(cut, PIECES + ", ids binary" * with_ids)
-
-
-def _pieces(rows: list[tuple], with_ids: bool) -> pd.DataFrame:
-    df = pd.DataFrame(rows, columns=[x.split()[0] for x in PIECES.split(", ")] + ["ids"] * with_ids)
-    return df.astype({"doc_id": "Int64"})
+            for some in parts_of(b, "text"):
+                out, doc = [], []
+                for i, text in enumerate(some.column("text").to_pylist()):
+                    ids = np.array(encode(text or ""), dtype="<u4").tobytes() + end
+                    n, row = len(ids) // 4, row + 1
+                    for start in range(0, n, length):
+                        piece = ids[4 * start : 4 * (start + length)]
+                        k = len(piece) // 4
+                        own, full = (FULL + (part << 40) + full, full + 1) if k == length else (-1, full)
+                        out.append((start, k, zlib.crc32(piece), n, own, zlib.crc32(b"%d %d %d" % (seed, part, row))) + ((piece,) if with_ids else ()))
+                        doc.append(i)
+                arrays = [pa.array(v, t) for v, t in zip(zip(*out), types)]
+                yield pa.RecordBatch.from_arrays([some.column("doc_id").take(pa.array(doc)), *arrays], names=["doc_id", *names])
+
+    return spread(docs.select(F.col("doc_id").cast("long"), "text")).mapInArrow(cut, schema)
 
 
 def pack_pieces(pieces: DataFrame, capacity: int, groups: int) -> DataFrame:
@@ -104,14 +105,16 @@ def pack_pieces(pieces: DataFrame, capacity: int, groups: int) -> DataFrame:
     full = pieces.where("sequence_id >= 0").select(*names, "sequence_id", F.lit(0).cast("long").alias("offset"))
 
     def pack(g: pd.DataFrame) -> pd.DataFrame:
-        g = g.sort_values(["doc_id", "start", "ids_crc32", "doc_tokens"], kind="stable", ignore_index=True)
+        g = g.sort_values(["doc_text", "start", "ids_crc32", "doc_tokens"], kind="stable", ignore_index=True)
         placed = first_fit_decreasing(g.length.tolist(), capacity)
         g["sequence_id"] = [(int(g.grp[0]) << 32) + b for b, _ in placed]
         g["offset"] = [o for _, o in placed]
-        return g[[*names, "sequence_id", "offset"]].astype({"doc_id": "Int64"})
+        return g[["doc_text", *names[1:], "sequence_id", "offset"]]
 
-    rests = pieces.where("sequence_id < 0").select(*names, F.pmod(F.xxhash64("salt"), F.lit(groups)).alias("grp"))
-    return full.unionByName(rests.groupBy("grp").applyInPandas(pack, full.schema))
+    rests = pieces.where("sequence_id < 0").select(F.col("doc_id").cast("string").alias("doc_text"), *names[1:], F.pmod(F.xxhash64("salt"), F.lit(groups)).alias("grp"))
+    fields = StructType([StructField("doc_text", StringType()), *full.schema.fields[1:]])
+    packed = rests.groupBy("grp").applyInPandas(pack, fields)  # ids as text: pandas keeps no null next to a long
+    return full.unionByName(packed.select(F.col("doc_text").cast("long").alias("doc_id"), *full.columns[1:]))
 
 
 def pack_documents(docs: DataFrame, tokenizer: str, length: int = 2048, end_id: int = 1, group_rows: int = 1024, seed: int = 7) -> DataFrame:

@@ -38,7 +38,7 @@ def op4_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repeats.repeats(table(spark, sf_dir, "documents"))
+    return repeats.repeats(table(spark, sf_dir, "documents"), words=repeats.PASSAGE_WORDS)
 
 
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -46,7 +46,7 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return warc.read_archives(warc.archive_pages(table(spark, sf_dir, "pages"))).drop("url")
+    return warc.checked(warc.read_archives(warc.archive_pages(table(spark, sf_dir, "pages")))).drop("url")
 
 
 def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,8 +1,8 @@
 """Repeated substrings across a corpus: which bytes lie in a string of ``length`` bytes that starts elsewhere too.
 
 With ``words``, also those in a passage of so many words that starts elsewhere too, whatever white
-space (of ASCII) lies between its words. Below, a text is then a row of bytes and a row of word
-hashes; what is said of bytes holds for each of the two, and neither meets the other.
+space (of ASCII) lies between its words. Below, a text is then a row of bytes and a row of words;
+what is said of bytes holds for each of the two, and neither meets the other.
 
 Every window of ``length`` bytes has an anchor: the gram of ``gram`` bytes in it with the least
 hash, the first of equals. The choice depends on the window's bytes alone, so equal windows have
@@ -11,22 +11,18 @@ with one anchor each. A run is named by its anchor's hash and by the hashes of i
 window, which cover all its bytes.
 
 1. Runs meet by anchor. A run whose anchor occurs once in the corpus holds no repeated window. A
-   run with an equal twin is repeated whole. The others are contested, and so is one run of each
+   run with an equal twin is repeated whole (twins agree in two hashes of 64 bits: among n runs
+   n^2 / 2^129 are expected to do so by chance). The others are contested, and so is one run of each
    set of twins where other runs share the anchor. A batch decides what it can
    by itself and sends one row for each of its (anchor, run) pairs at most, so that an anchor or a
    run that a large part of all documents shares sends a row for each batch, not for each document.
-2. The windows of contested runs alone are hashed one by one and dealt by ranges of their hashes,
-   in packed blocks; equal hashes are repeated windows. Nothing is dealt by anchor or document, so
-   no common passage makes a large partition.
+2. Contested runs are shards whose Burrows-Wheeler transforms are merged (``bwt.py``): runs of one
+   anchor meet with their bytes, the interleave is refined, and common prefixes show the windows
+   that occur twice, exactly. An anchor with more than GROUP unlike runs is split: its windows are
+   dealt in blocks of BLOCK neighbours by the bytes that all windows of a block share, and blocks
+   that are still too many window by window, where equal rows alone can meet.
 3. Repeated windows and runs become removed intervals of their documents.
 
-Windows are compared by hashes of 64 bits, in step 1 by three of them (anchor, first and last
-window). Window hashes that agree by chance would remove bytes that don't repeat; among n distinct
-contested windows that is expected n^2 / 2^65 times.
-
-``bwt.py`` has the method by merged Burrows-Wheeler transforms, for corpora of the size that it
-can take; README.md says why this module serves the query.
-
 Edge cases: null texts are empty; documents below ``length`` bytes keep all; windows never cross
 documents; equal or null ids are told apart by row; a text of any length is read whole; an empty
 table gives no rows; extra columns are kept by ``remove_repeats`` and ignored by ``repeats``.
@@ -43,19 +39,23 @@ from itertools import repeat
 import numpy as np
 import pandas as pd
 import zstandard as zstd
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
 from avcurate.llm import bwt
-from avcurate.llm.common import n_parts, renamed, spread, stage
+from avcurate.llm.common import fresh, n_parts, renamed, spread, stage, union_all
 
 POSITION = 24  # bits of a position in a batch's buffer
 UNDECIDED, CONTESTED_SENT, FULL, CONTESTED = range(4)
 WHOLE = 8  # added to the kind of a run that stands for equal runs of its batch: it is repeated whole, whatever else it is
-RUNS = "pk long, h long, e long, kind byte, rid long, first int, n int, words boolean"
+RUNS = "pk long, h long, e long, kind byte, rid long, first int, n int, at int, words boolean"
+SPANS = "rid long, first int, n int, words boolean"
+ROWS = "key long, words boolean, rid long, first int, n int, at int, units binary, twin boolean"
 WORD_GRAM = 8
+GROUP, BLOCK = 512, 16  # rows of one key above which it is split; windows of a block
+PASSAGE_WORDS = 51  # of the shortest repeated passage that the query's text and the pipeline lose: more than 50
+MERGED = 4 << 20  # bytes of rows that are merged at once; keys are never cut
 
 
 @lru_cache(1)
@@ -64,8 +64,8 @@ def constants() -> tuple[np.ndarray, np.ndarray]:
     return rng.integers(0, 1 << 64, 256, dtype=np.uint64), rng.integers(0, 1 << 64, 80, dtype=np.uint64) | np.uint64(1)
 
 
-def gram_hashes(buf: np.ndarray, length: int, gram: int = 0) -> dict[int, np.ndarray]:
-    """Hashes of the grams of 2^k bytes (or words, whose hashes buf has) at every place: of ``gram`` bytes, and of the parts of a window of ``length``."""
+def gram_hashes(buf: np.ndarray, length: int, gram: int) -> dict[int, np.ndarray]:
+    """Hashes of the grams of 2^k bytes (or words, whose hashes buf has) at every place: of ``gram`` of them, and of the parts of a window of ``length``."""
     table, odd = constants()
     top = top_gram(length)
     parts = {gram, top, *(1 << k for k in range(top.bit_length()) if length % top >> k & 1)}
@@ -103,12 +103,12 @@ def units_of(raw: bytes, words: bool) -> np.ndarray:
 
 
 def runs_of(docs: list[np.ndarray], length: int, gram: int):
-    """(doc, first, n, anchor, e) arrays for the runs of windows of some documents."""
+    """(doc, first, n, anchor, e, at) arrays for the runs of windows of some documents; at is the anchor's place from first on."""
     lens = np.array([len(d) for d in docs], dtype=np.int64)
     empty = np.empty(0, np.int64)
     buf = np.concatenate(docs)
     if len(buf) < length:
-        return empty, empty, empty, empty.astype(np.uint64), empty.astype(np.uint64)
+        return empty, empty, empty, empty.astype(np.uint64), empty.astype(np.uint64), empty
     grams = gram_hashes(buf, length, gram)
     h = grams[gram]
     low = np.uint64((1 << POSITION) - 1)
@@ -123,7 +123,7 @@ def runs_of(docs: list[np.ndarray], length: int, gram: int):
     starts = ends - lens
     first_last = [(s, e - length) for s, e in zip(starts.tolist(), ends.tolist()) if e - s >= length]
     if not first_last:
-        return empty, empty, empty, empty.astype(np.uint64), empty.astype(np.uint64)
+        return empty, empty, empty, empty.astype(np.uint64), empty.astype(np.uint64), empty
     change = np.empty(len(least), bool)
     change[0], change[1:] = True, least[1:] != least[:-1]
     ok = np.zeros(len(least) + 1, np.int8)
@@ -135,10 +135,11 @@ def runs_of(docs: list[np.ndarray], length: int, gram: int):
     lo = np.flatnonzero(change & ok)
     doc = np.searchsorted(ends, lo, side="right")
     hi = np.minimum(np.r_[lo[1:], len(least)] - 1, ends[doc] - length)
-    anchor = h[(least[lo] & low).astype(np.int64)]
+    place = (least[lo] & low).astype(np.int64)
+    anchor = h[place]
     _, odd = constants()
     e = (window_hashes(grams, lo, length) * odd[70] ^ window_hashes(grams, hi, length) * odd[71]) + (hi - lo).astype(np.uint64) * odd[72]
-    return doc, lo - starts[doc], hi - lo + 1, anchor, e ^ e >> np.uint64(30)
+    return doc, lo - starts[doc], hi - lo + 1, anchor, e ^ e >> np.uint64(30), place - lo
 
 
 def batches_of(rids: np.ndarray, texts, most: int = 3 << 19):
@@ -195,14 +196,14 @@ def find_runs(docs: DataFrame, length: int, gram: int, words: int | None = None)
         step = len(parts) if len(parts) == len(texts) else 1  # the parts of a very long text go one by one
         for lo in range(0, len(parts), step):
             some = parts[lo : lo + step]
-            doc, first, n, anchor, e = runs_of([p for *_, p in some], length, gram)
+            doc, first, n, anchor, e, at = runs_of([p for *_, p in some], length, gram)
             if not len(doc):
                 continue
-            rid, base = np.array([r for r, *_ in some]), np.array([at for _, at, _ in some])
+            rid, base = np.array([r for r, *_ in some]), np.array([x for _, x, _ in some])
             kind = decide_locally(anchor, e)
             h = anchor.view(np.int64)
             pk = np.where(kind % WHOLE >= FULL, e.view(np.int64) ^ rid[doc], h)
-            yield pd.DataFrame({"pk": pk, "h": h, "e": e.view(np.int64), "kind": kind, "rid": rid[doc], "first": (base[doc] + first).astype(np.int32), "n": n.astype(np.int32), "words": of_words})
+            yield pd.DataFrame({"pk": pk, "h": h, "e": e.view(np.int64), "kind": kind, "rid": rid[doc], "first": (base[doc] + first).astype(np.int32), "n": n.astype(np.int32), "at": at.astype(np.int32), "words": of_words})
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -211,11 +212,11 @@ def find_runs(docs: DataFrame, length: int, gram: int, words: int | None = None)
                 if words:
                     yield from some_runs(rids, texts, words, min(WORD_GRAM, top_gram(words)), True)
 
-    return docs.mapInPandas(run, RUNS)
+    return docs.mapInPandas(fresh(run), RUNS)
 
 
 def settle_runs(runs: DataFrame) -> DataFrame:
-    """(rid, first, n, words, contested): runs repeated whole, and those whose windows must be compared; a run may be both."""
+    """(rid, first, n, words, h, at, contested): runs repeated whole, and those whose windows must be compared; a run may be both."""
     dealt = runs.repartition(n_parts(runs), "pk").sortWithinPartitions("pk")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -237,7 +238,7 @@ def settle_runs(runs: DataFrame) -> DataFrame:
                 contested[open_[varied]] = True
                 full[open_[~varied & twins]] = True
             take = np.r_[np.flatnonzero(full), np.flatnonzero(contested)]  # a run may be both
-            return g[["rid", "first", "n", "words"]].iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
+            return g[["rid", "first", "n", "words", "h", "at"]].iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
 
         for b in batches:
             if not len(b):
@@ -251,136 +252,144 @@ def settle_runs(runs: DataFrame) -> DataFrame:
         if left is not None and len(left):
             yield solve(left)
 
-    return dealt.mapInPandas(run, "rid long, first int, n int, words boolean, contested boolean")
+    return dealt.mapInPandas(fresh(run), SPANS + ", h long, at int, contested boolean")
 
 
 def packed(texts: DataFrame) -> DataFrame:
-    """(rid, z): texts compressed before they are dealt."""
+    """(rid, z): texts compressed before they are dealt; null stays null."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         c = zstd.ZstdCompressor(level=1)
         for b in batches:
-            yield pd.DataFrame({"rid": b.rid, "z": [c.compress((t or "").encode("utf-8")) for t in b.text]})
+            yield pd.DataFrame({"rid": b.rid, "z": [None if t is None else c.compress(t.encode("utf-8")) for t in b.text]})
 
-    return texts.mapInPandas(run, "rid long, z binary")
+    return texts.mapInPandas(fresh(run), "rid long, z binary")
 
 
-def with_lists(texts: DataFrame, spans: DataFrame, how: str) -> DataFrame:
-    """Packed texts with the lists of their spans (first, n, words)."""
-    lists = spans.groupBy("rid").agg(F.sort_array(F.collect_list(F.struct("first", "n", "words"))).alias("s"))
-    lists = lists.select("rid", F.col("s.first").alias("first"), F.col("s.n").alias("n"), F.col("s.words").alias("words"))
+def with_lists(texts: DataFrame, spans: DataFrame, how: str, columns: tuple[str, ...] = ("first", "n", "words")) -> DataFrame:
+    """Packed texts with the lists of the ``columns`` of their spans."""
+    lists = spans.groupBy("rid").agg(F.sort_array(F.collect_list(F.struct(*columns))).alias("s"))
+    lists = lists.select("rid", *[F.col(f"s.{c}").alias(c) for c in columns])
     return packed(texts).join(lists.hint("shuffle_merge"), "rid", how)
 
 
-def contested_windows(texts: DataFrame, contested: DataFrame, lengths: tuple[int, int | None], cells: int) -> DataFrame:
-    """Blocks (cell, batch, w, at) of window hashes, and for each batch the runs that they index (cell -1); odd batches are of words."""
-    schema = "cell int, batch long, w binary, at binary, rid binary"
+def blocks_of(first: int, n: int, at: int, h: int, block: int | None) -> Iterator[tuple[int, int, int, int | None]]:
+    """(first, n, at, block number) of the parts of a run whose windows have their anchor in one block of places; the run whole without ``block``."""
+    if not block:
+        yield first, n, at, None
+        return
+    j = 0
+    while j < n:
+        q = (at - j) // block
+        k = min(n, at - q * block + 1) - j
+        yield first + j, k, at - j, q
+        j += k
+
+
+def deal_runs(texts: DataFrame, runs: DataFrame, lengths: tuple[int, int | None], block: int | None) -> DataFrame:
+    """ROWS: contested runs (rid, first, n, words, h, at), or their blocks, with their units, by anchor or by what the windows of a block share.
+
+    Of equal rows of a batch the first has its units and is a ``twin``; the others, without units, are decided.
+    """
+
+    def rows(raw: bytes, rid: int, lists) -> Iterator[tuple]:
+        split = None
+        for first, n, of_words, h, at in zip(*lists):
+            length = lengths[1] if of_words else lengths[0]
+            if of_words and split is None:
+                split = raw.split()
+            for f, k, a, q in blocks_of(int(first), int(n), int(at), int(h), block):
+                units = split[f : f + k + length - 1] if of_words else raw[f : f + k + length - 1]
+                key = int(h)
+                if q is not None:  # the windows of block q hold so many units before the anchor, and up to there after it
+                    core = units[max(0, a - q * block) : a + length - (q + 1) * block + 1]
+                    key = xxh64_intdigest(b" ".join(core) if of_words else core, q) - (1 << 63)
+                yield key, bool(of_words), rid, f, k, a, b" ".join(units) if of_words else units
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        d, part, serial = zstd.ZstdDecompressor(), TaskContext.get().partitionId(), 0
-        for b in batches:
-            held, size = ([], []), [0, 0]
-            for z, rid, first, n, words in zip(b.z, b.rid, b["first"], b.n, b.words):
-                raw = d.decompress(z)
-                units = [units_of(raw, bool(k)) if (words == bool(k)).any() else None for k in range(2)]
-                for f, k, of_words in zip(first, n, words):
-                    i = int(of_words)
-                    held[i].append((rid, int(f), int(k), units[i][f : f + k + lengths[i] - 1]))
-                    size[i] += k + lengths[i]
-                    if size[i] > 1 << 20:
-                        yield blocks(held[i], (part << 32) + 2 * serial + i, lengths[i])
-                        held[i].clear()
-                        size[i], serial = 0, serial + 1
-            for i in range(2):
-                if held[i]:
-                    yield blocks(held[i], (part << 32) + 2 * serial + i, lengths[i])
-                    serial += 1
-
-    def blocks(held: list, batch: int, length: int) -> pd.DataFrame:
-        grams = gram_hashes(np.concatenate([x[3] for x in held]), length)
-        n = np.array([x[2] for x in held])
-        size = n + length - 1
-        starts, base = np.cumsum(size) - size, np.cumsum(n) - n
-        inner = np.arange(n.sum()) - np.repeat(base, n)
-        w = window_hashes(grams, np.repeat(starts, n) + inner, length)
-        order = np.argsort(w)
-        w, at = w[order], order.astype(np.int32)
-        cell = ((w >> np.uint64(32)) * np.uint64(cells) >> np.uint64(32)).astype(np.int64)
-        cut = np.searchsorted(cell, np.arange(cells + 1))
-        out = [(c, batch, w[a:z].tobytes(), at[a:z].tobytes(), None) for c, (a, z) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist())) if z > a]
-        out.append((-1, batch, np.array([x[1] for x in held], np.int32).tobytes(), n.astype(np.int32).tobytes(), np.array([x[0] for x in held], np.int64).tobytes()))
-        return pd.DataFrame(out, columns=["cell", "batch", "w", "at", "rid"])
-
-    return with_lists(texts, contested.select("rid", "first", "n", "words"), "inner").mapInPandas(run, schema)
-
-
-def repeated_windows(blocks: DataFrame) -> DataFrame:
-    """(rid, first, n, words) intervals of contested windows whose hash occurs more than once."""
-    spread_key = F.when(F.col("cell") < 0, F.xxhash64("batch")).otherwise(F.col("cell").cast("long"))
-    schema = "batch long, at binary, first binary, n binary, rid binary"
-
-    def match(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: list[tuple[int, bytes, bytes]] = []
-        cell = None
-
-        def close() -> pd.DataFrame:
-            w = np.frombuffer(b"".join(x[1] for x in held), np.uint64)
-            at = np.frombuffer(b"".join(x[2] for x in held), np.int32)
-            of = np.repeat(np.arange(len(held)), [len(x[1]) // 8 for x in held])
-            order = np.argsort(w, kind="stable")
-            s = w[order]
-            same = s[1:] == s[:-1]
-            twice = np.zeros(len(s), bool)
-            twice[1:] |= same
-            twice[:-1] |= same
-            found = np.sort(order[twice])  # back in the order of the blocks
-            at, of = at[found], of[found]
-            cut = np.searchsorted(of, np.arange(len(held) + 1))
-            rows = [(held[i][0], at[a:z].tobytes()) for i, (a, z) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist())) if z > a]
-            return pd.DataFrame(rows, columns=["batch", "at"]).assign(first=None, n=None, rid=None)[["batch", "at", "first", "n", "rid"]]
+        d = zstd.ZstdDecompressor()
+        names = [x.split()[0] for x in ROWS.split(", ")]
 
-        for b in batches:
-            for c, batch, w, at, rid in zip(b.cell, b.batch, b.w, b["at"], b.rid):
-                if c < 0:
-                    yield pd.DataFrame([(batch, None, w, at, rid)], columns=["batch", "at", "first", "n", "rid"])
-                    continue
-                if c != cell and held:
-                    yield close()
-                    held.clear()
-                cell = c
-                held.append((batch, bytes(w), bytes(at)))
-        if held:
-            yield close()
-
-    parts = n_parts(blocks)
-    matched = blocks.withColumn("k", spread_key).repartition(parts, "k").sortWithinPartitions("cell").drop("k").mapInPandas(match, schema)
-
-    def gather(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        batch, at, runs = None, [], None
-
-        def close() -> pd.DataFrame:
-            first, n, rid = runs
-            base = np.cumsum(n) - n
-            i = np.sort(np.frombuffer(b"".join(at), np.int32)).astype(np.int64)
-            run = np.searchsorted(base, i, side="right") - 1
-            cut = np.r_[True, (i[1:] != i[:-1] + 1) | (run[1:] != run[:-1])]
-            lo = np.flatnonzero(cut)
-            return pd.DataFrame({"rid": rid[run[lo]], "first": (first[run[lo]] + i[lo] - base[run[lo]]).astype(np.int32), "n": np.diff(np.r_[lo, len(i)]).astype(np.int32), "words": bool(batch & 1)})
+        def send(held: list[tuple], seen: dict[tuple, int]) -> pd.DataFrame:
+            return pd.DataFrame([(*r, r[6] is not None and seen[r[1], r[0], r[5], r[4], r[6]] > 1) for r in held], columns=names).astype({"twin": bool, "words": bool})
 
         for b in batches:
-            for k, a, f, n, r in zip(b.batch, b["at"], b["first"], b.n, b.rid):
-                if k != batch:
-                    if at:
-                        yield close()
-                    batch, at, runs = k, [], None
-                if a is None:
-                    runs = np.frombuffer(bytes(f), np.int32), np.frombuffer(bytes(n), np.int32).astype(np.int64), np.frombuffer(bytes(r), np.int64)
-                else:
-                    at.append(bytes(a))
-        if at:
-            yield close()
+            held, seen, size = [], {}, 0
+            for z, rid, *lists in zip(b.z, b.rid, b["first"], b.n, b.words, b.h, b["at"]):
+                for r in rows(d.decompress(z), rid, lists):
+                    same = r[1], r[0], r[5], r[4], r[6]
+                    seen[same] = seen.get(same, 0) + 1
+                    if seen[same] > 1:
+                        held.append((r[0] ^ rid, *r[1:6], None))
+                    else:
+                        held.append(r)
+                        size += len(r[6])
+                if size > 8 << 20:
+                    yield send(held, seen)
+                    held, seen, size = [], {}, 0
+            if held:
+                yield send(held, seen)
+
+    return with_lists(texts, runs, "inner", ("first", "n", "words", "h", "at")).mapInPandas(fresh(run), ROWS)
+
+
+def merged_runs(rows: DataFrame, lengths: tuple[int, int | None]) -> DataFrame:
+    """SPANS of the windows of ROWS that begin elsewhere too: transforms of the rows of a key are merged."""
+    dealt = rows.repartition(n_parts(rows), "words", "key").sortWithinPartitions("words", "key")
 
-    return matched.repartition(parts, "batch").sortWithinPartitions("batch").mapInPandas(gather, "rid long, first int, n int, words boolean")
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def solve(g: pd.DataFrame) -> Iterator[pd.DataFrame]:
+            open_ = g.units.notna()
+            yield g.loc[~open_ | g.twin, ["rid", "first", "n", "words"]]
+            for of_words, part in g[open_].groupby("words"):
+                if of_words:
+                    ids: dict[bytes, int] = {}
+                    units = [np.array([ids.setdefault(w, len(ids)) for w in bytes(u).split()], np.int32) for u in part.units]
+                else:
+                    units = [np.frombuffer(u, np.uint8) for u in part.units]
+                marks = bwt.merge(part.key.to_numpy(), units, part["at"].to_numpy(np.int64), lengths[of_words])
+                flat = np.concatenate([np.r_[m, False] for m in marks]).astype(np.int8)
+                edge = np.diff(np.r_[np.int8(0), flat])
+                lo, hi = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+                size = np.array([len(m) + 1 for m in marks])
+                starts = np.cumsum(size) - size
+                row = np.searchsorted(starts, lo, side="right") - 1
+                yield pd.DataFrame({"rid": part.rid.to_numpy()[row], "first": (part["first"].to_numpy()[row] + lo - starts[row]).astype(np.int32), "n": (hi - lo).astype(np.int32), "words": of_words})
+
+        ready, size, tail = [], 0, None
+        for b in batches:
+            if not len(b):
+                continue
+            g = b if tail is None else pd.concat([tail, b], ignore_index=True)
+            whole = int(((g.key != g.key.iloc[-1]) | (g.words != g.words.iloc[-1])).sum())
+            ready, tail = [*ready, g.iloc[:whole]], g.iloc[whole:]
+            size += sum(len(u) for u in ready[-1].units if u is not None)
+            if size > MERGED:
+                yield from solve(pd.concat(ready, ignore_index=True))
+                ready, size = [], 0
+        if tail is not None:
+            yield from solve(pd.concat([*ready, tail], ignore_index=True))
+
+    return dealt.mapInPandas(fresh(run), SPANS)
+
+
+def contested_windows(texts: DataFrame, contested: DataFrame, lengths: tuple[int, int | None]) -> list[DataFrame]:
+    """SPANS of the windows of contested runs that begin elsewhere too; keys that many rows share are split."""
+    spans = [x.split()[0] for x in SPANS.split(", ")]
+
+    def crowded(rows: DataFrame, key: str) -> DataFrame:
+        return stage(rows.groupBy("words", key).agg(F.count("*").alias("rows")).where(F.col("rows") > GROUP).select("words", key), "repeat-crowded")
+
+    many = crowded(contested, "h")
+    if many.isEmpty():
+        return [merged_runs(deal_runs(texts, contested, lengths, None), lengths)]
+    found = [merged_runs(deal_runs(texts, contested.join(many, ["words", "h"], "left_anti"), lengths, None), lengths)]
+    blocks = stage(deal_runs(texts, contested.join(many, ["words", "h"], "left_semi"), lengths, BLOCK), "repeat-blocks", "zstd")
+    many = crowded(blocks.where("units is not null"), "key")
+    found.append(merged_runs(blocks.join(many, ["words", "key"], "left_anti"), lengths))
+    rest = blocks.join(many, ["words", "key"], "left_semi")
+    windows = rest.where("units is not null").select(*spans, F.col("key").alias("h"), "at")
+    return [*found, rest.where("units is null or twin").select(*spans), merged_runs(deal_runs(texts, windows, lengths, 1), lengths)]
 
 
 def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
@@ -393,12 +402,12 @@ def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
     return docs, spread(docs.select("rid", "text")), not odd
 
 
-def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, cells: int | None = None, words: int | None = None) -> DataFrame:
+def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, words: int | None = None) -> DataFrame:
     """(rid, first, n, words): starts of repeated windows, as intervals that may touch or overlap."""
     gram = min(gram, top_gram(length))
     settled = stage(settle_runs(find_runs(texts, length, gram, words)), "repeat-runs")
-    blocks = contested_windows(texts, settled.where("contested"), (length, words), cells or 4 * n_parts(texts))
-    return settled.where("not contested").select("rid", "first", "n", "words").unionByName(repeated_windows(blocks))
+    whole = settled.where("not contested").select("rid", "first", "n", "words")
+    return union_all([whole, *contested_windows(texts, settled.where("contested"), (length, words))])
 
 
 def intervals(raw: bytes, first, n, words, length: int, n_words: int | None) -> tuple[np.ndarray, np.ndarray]:
@@ -415,37 +424,49 @@ def intervals(raw: bytes, first, n, words, length: int, n_words: int | None) ->
     return lo[new], hi[np.r_[np.flatnonzero(new)[1:] - 1, len(hi) - 1]]
 
 
-def cleaned(texts: DataFrame, spans: DataFrame, length: int, with_text: bool, n_words: int | None = None) -> DataFrame:
-    """rid, n_bytes, n_removed, n_spans, kept_sha256 of every text; with_text adds what is left."""
-    schema = "rid long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", text string" * with_text
+def cleaned(texts: DataFrame, spans: DataFrame, length: int, n_words: int | None = None, with_text: bool = False) -> DataFrame:
+    """rid, n_bytes, n_removed, n_spans, kept_sha256 of every text, by repeated strings alone; with_text adds what is left without repeated passages too, and whether something was cut."""
+    schema = "rid long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", left string, cut boolean" * with_text
+
+    def without(raw: bytes, first, n, words) -> tuple[bytes, int, int]:
+        if first is None or not len(first):
+            return raw, 0, 0
+        lo, hi = intervals(raw, first, n, words, length, n_words)
+        return b"".join([raw[a:z] for a, z in zip([0, *hi.tolist()], [*lo.tolist(), len(raw)])]), int((hi - lo).sum()), len(lo)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         d = zstd.ZstdDecompressor()
         for b in batches:
-            for at in range(0, len(b), 2000):
-                out = []
-                for rid, z, first, n, words in zip(*(b[c].iloc[at : at + 2000] for c in ("rid", "z", "first", "n", "words"))):
-                    raw, removed, spans_ = d.decompress(z), 0, 0
-                    kept = raw
-                    if first is not None and len(first):
-                        lo, hi = intervals(raw, first, n, words, length, n_words)
-                        removed, spans_ = int((hi - lo).sum()), len(lo)
-                        kept = b"".join([raw[a:z_] for a, z_ in zip([0, *hi.tolist()], [*lo.tolist(), len(raw)])])
-                    row = (rid, len(raw), removed, spans_, hashlib.sha256(kept).hexdigest())
-                    out.append(row + ((kept.decode("utf-8", "ignore"),) if with_text else ()))
+            out, size = [], 0
+            for rid, z, first, n, words in zip(b.rid, b.z, b["first"], b.n, b.words):
+                raw, of_bytes = b"" if z is None else d.decompress(z), None if first is None else ~np.asarray(words, bool)
+                kept, removed, parts = without(raw, *((None,) * 3 if first is None else (x[of_bytes] for x in (first, n, words))))
+                row = (rid, len(raw), removed, parts, hashlib.sha256(kept).hexdigest())
+                if with_text:
+                    left = kept if first is None or of_bytes.all() else without(raw, first, n, words)[0]
+                    row += (None if z is None else left.decode("utf-8", "ignore"), len(left) < len(raw))
+                    size += len(left)
+                out.append(row)
+                if len(out) >= 2000 or size > 4 << 20:
+                    yield pd.DataFrame(out, columns=[x.split()[0] for x in schema.split(", ")])
+                    out, size = [], 0
+            if out:
                 yield pd.DataFrame(out, columns=[x.split()[0] for x in schema.split(", ")])
 
-    return with_lists(texts, spans, "left").mapInPandas(run, schema)
+    return with_lists(texts, spans, "left").mapInPandas(fresh(run), schema)
 
 
-def repeats(docs: DataFrame, length: int = 400, method: str = "anchors", **options) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document; method ``bwt`` merges transforms."""
+def repeats(docs: DataFrame, length: int = 400, words: int | None = None, **options) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document, by repeated strings of ``length`` bytes.
+
+    With ``words``, also text: what is left when repeated passages of so many words go too (null texts stay null).
+    """
     rows, texts, same = rows_by_id(docs.select("doc_id", "text"))
-    spans = bwt.repeated_spans(texts, length, **options).withColumn("words", F.lit(False)) if method == "bwt" else repeated_spans(texts, length, **options)
-    out = cleaned(texts, spans, length, False, options.get("words"))
+    out = cleaned(texts, repeated_spans(texts, length, words=words, **options), length, words, words is not None)
+    columns = ["n_bytes", "n_removed", "n_spans", "kept_sha256", *[F.col("left").alias("text")] * bool(words)]
     if same:
-        return out.select(F.col("rid").alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
-    return rows.select("rid", "doc_id").join(out, "rid").drop("rid")
+        return out.select(F.col("rid").alias("doc_id"), *columns)
+    return rows.select("rid", "doc_id").join(out, "rid").select("doc_id", *columns)
 
 
 def remove_repeats(docs: DataFrame, length: int = 400, words: int | None = None, **options) -> DataFrame:
@@ -456,7 +477,7 @@ def remove_repeats(docs: DataFrame, length: int = 400, words: int | None = None,
     """
     own = renamed(docs, ("doc_id", "text", "n_chars"))
     rows, texts, _ = rows_by_id(own)
-    out = cleaned(texts, repeated_spans(texts, length, words=words, **options), length, True, words).where("n_removed > 0").select("rid", F.col("text").alias("left"))
+    out = cleaned(texts, repeated_spans(texts, length, words=words, **options), length, words, True).where("cut").select("rid", "left")
     joined = rows.join(stage(out, "repeat-texts"), "rid", "left")
     new = {"text": F.coalesce("left", "text"), "n_chars": F.when(F.col("left").isNotNull(), F.length("left").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in own.columns else None}
     return joined.select(*[new.get(c, F.col(c)) for c in own.columns]).toDF(*docs.columns)

@@ -1,12 +1,13 @@
 """SimHash near-duplicates with pigeonring filtering.
 
-A fingerprint has 64 bits in a ring of four segments. If two differ in at most t bits, some start
-on the ring has a chain of consecutive segments whose cumulative differences never exceed their
-share of t: for t = 3 no bit in the first segment, at most one in the first two, two in the first
-three. Candidates are met by such chains, not by one segment: a key holds the first segment whole
-and one half of the second (one of its halves must be equal, as at most one bit differs), that is
-24 of 64 bits, under eight (start, half) tables. Within a key's rows the longer chain conditions
-prune before the full Hamming check.
+A fingerprint has 64 bits in a ring of t + 1 segments, where links differ in at most t bits. Then
+some start on the ring has a chain of consecutive segments whose cumulative differences never
+exceed their share of t: for t = 3 no bit in the first segment, at most one in the first two, two in
+the first three. Candidates are met by such chains, not by one segment: a key holds the first
+segment whole and one half of the second (one of its halves must be equal, as at most one bit
+differs), for t = 3 that is 24 of 64 bits, under eight (start, half) tables. Within a key's rows the
+longer chain conditions prune before the full Hamming check. t may be 0 to MOST_BITS; a large one
+has short keys, which meet many rows.
 
 Equal fingerprints are one vertex. Rows of a key never leave as pairs: they are linked to the
 least vertex of their component within the key, found by growing a component against rows that no
@@ -31,11 +32,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from avcurate.llm.common import n_parts, spread, stage
+from avcurate.llm.common import fresh, map_values, n_parts, release, spread, stage
 from avcurate.llm.components import connected_components
 from avcurate.llm.repeats import packed
 
-SEGMENTS, BITS = 4, 16
+MOST_BITS = 15
 
 
 # --- fingerprints --------------------------------------------------------------------------------
@@ -62,40 +63,50 @@ def fingerprint(text: str, k: int = 3, seed: int = 42, block: int = 1 << 16) ->
 def fingerprints(docs: DataFrame, k: int = 3, seed: int = 42) -> DataFrame:
     """doc_id, fp (the 64 bits as a signed long)."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            fps = np.array([fingerprint(t or "", k, seed) for t in b.text], dtype=np.uint64).view(np.int64)
-            yield pd.DataFrame({"doc_id": b.doc_id.astype("Int64"), "fp": fps})
+    def make():
+        release()
+        return lambda texts: [np.array([fingerprint(t or "", k, seed) for t in texts], dtype=np.uint64).view(np.int64)]
 
-    return spread(docs.select("doc_id", "text")).mapInPandas(run, "doc_id long, fp long")
+    return map_values(spread(docs.select(F.col("doc_id").cast("long"), "text")), "text", make, "fp long")
 
 
 # --- candidates ------------------------------------------------------------------------------------
 
 
-def chain_keys() -> list:
-    """For each start and half: start, half and their 24 bits, in one long."""
-    out = []
-    for start in range(SEGMENTS):
-        ring = F.shiftrightunsigned("fp", BITS * start)
+def segments(limit: int) -> list[int]:
+    """Where the segments of the ring begin, and its end."""
+    if not 0 <= limit <= MOST_BITS:
+        raise ValueError(f"links differ in 0 to {MOST_BITS} bits, not in {limit}")
+    return [round(64 * i / (limit + 1)) for i in range(limit + 2)]
+
+
+def chain_keys(limit: int) -> list:
+    """For each start and half: their bits, and start and half above them, in one long; none where links are equal fingerprints."""
+    cut, out = segments(limit), []
+    sizes = np.diff(cut).tolist()
+    for start in range(limit + 1 if limit else 0):
+        ring = F.shiftrightunsigned("fp", cut[start])
         if start:
-            ring = ring.bitwiseOR(F.shiftleft("fp", 64 - BITS * start))
-        for half in range(2):
-            second = F.shiftrightunsigned(ring, BITS + 8 * half).bitwiseAND(F.lit(255))
-            key = F.shiftleft(ring.bitwiseAND(F.lit(65535)), 8).bitwiseOR(second)
-            out.append(key + F.lit((2 * start + half) << 24))
+            ring = ring.bitwiseOR(F.shiftleft("fp", 64 - cut[start]))
+        first, second = sizes[start], sizes[(start + 1) % (limit + 1)]
+        for half, (lo, n) in enumerate(((0, second // 2), (second // 2, second - second // 2))):
+            part = F.shiftrightunsigned(ring, first + lo).bitwiseAND(F.lit((1 << n) - 1))
+            key = F.shiftleft(part, first).bitwiseOR(ring.bitwiseAND(F.lit((1 << first) - 1)))
+            out.append(key + F.lit((2 * start + half) << 52))
     return out
 
 
 def linked(fps: np.ndarray, one: np.uint64, start: int, limit: int) -> np.ndarray:
     """Which of fps differ from ``one`` in at most ``limit`` bits, by the chain that begins at ``start``."""
+    cut = segments(limit)
     diff = fps ^ one
     if start:
-        diff = (diff >> np.uint64(BITS * start)) | (diff << np.uint64(64 - BITS * start))
+        diff = (diff >> np.uint64(cut[start])) | (diff << np.uint64(64 - cut[start]))
     at = np.arange(len(fps))
-    for j in range(1, SEGMENTS):  # the first j + 1 segments may differ by their share
-        part = diff[at] & np.uint64((1 << (BITS * (j + 1))) - 1)
-        at = at[np.bitwise_count(part) <= limit * (j + 1) // SEGMENTS]
+    ends = np.cumsum(np.roll(np.diff(cut), -start))
+    for j in range(1, limit + 1):  # the first j + 1 segments may differ by their share
+        part = diff[at] & np.uint64((1 << int(ends[j])) - 1)
+        at = at[np.bitwise_count(part) <= limit * (j + 1) // (limit + 1)]
     return at
 
 
@@ -118,7 +129,8 @@ def stars(fps: np.ndarray, start: int, limit: int) -> list[tuple[int, int]]:
 
 def links(distinct: DataFrame, limit: int = 3) -> DataFrame:
     """distinct (fp) -> (u, v): enough links for the components of pairs within ``limit`` bits."""
-    keyed = distinct.select("fp", F.explode(F.array(*chain_keys())).alias("key"))
+    keys = chain_keys(limit) or [F.lit(None).cast("long")]
+    keyed = distinct.select("fp", F.explode(F.array(*keys)).alias("key")).where("key is not null")
     dealt = keyed.repartition(n_parts(distinct), "key").sortWithinPartitions("key")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -130,7 +142,7 @@ def links(distinct: DataFrame, limit: int = 3) -> DataFrame:
             many = hi - lo > 1
             out = []
             for a, b in zip(lo[many], hi[many]):
-                out += stars(fps[a:b], int(keys[a] >> 25), limit)
+                out += stars(fps[a:b], int(keys[a] >> 53), limit)
             uv = np.array(out, dtype=np.uint64).reshape(-1, 2).view(np.int64)
             return pd.DataFrame({"u": uv[:, 0], "v": uv[:, 1]})
 
@@ -145,7 +157,7 @@ def links(distinct: DataFrame, limit: int = 3) -> DataFrame:
         if len(kept_k):
             yield solve(kept_k, kept_f)
 
-    return dealt.mapInPandas(run, "u long, v long")
+    return dealt.mapInPandas(fresh(run), "u long, v long")
 
 
 def fingerprint_components(fps: DataFrame, limit: int = 3) -> DataFrame:
@@ -203,14 +215,11 @@ def sketches(docs: DataFrame, k: int, seed: int = 42) -> DataFrame:
             keys.append(int((np.partition(x, few - 1)[:few].sum(dtype=np.uint64) * m + np.uint64(i)).view(np.int64)))
         return int(fp), keys, h[:SKETCH].tobytes(), len(h) <= SKETCH, int(h.sum(dtype=np.uint64).view(np.int64)), len(h)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            for at in range(0, len(b), 2000):
-                part = b.iloc[at : at + 2000]
-                rows = [one(t or "") for t in part.text]
-                yield pd.DataFrame({"doc_id": part.doc_id.astype("Int64"), "fp": [r[0] for r in rows], "keys": [r[1] for r in rows], "sketch": [r[2] for r in rows], "full": [r[3] for r in rows], "digest": [r[4] for r in rows], "size": [r[5] for r in rows]})
+    def make():
+        release()
+        return lambda texts: list(zip(*[one(t or "") for t in texts]))
 
-    return spread(docs.select("doc_id", "text")).mapInPandas(run, "doc_id long, fp long, keys array<long>, sketch binary, full boolean, digest long, size long")
+    return map_values(spread(docs.select(F.col("doc_id").cast("long"), "text")), "text", make, "fp long, keys array<long>, sketch binary, full boolean, digest long, size long")
 
 
 def resemblance(a: np.ndarray, b: np.ndarray, whole: bool) -> float:
@@ -299,7 +308,7 @@ def verified_links(docs: DataFrame, candidates: DataFrame, rep: DataFrame, membe
             for at in range(0, len(b), 500):
                 out = []
                 for rid, z, gs in zip(*(b[c].iloc[at : at + 500] for c in ("rid", "z", "gs"))):
-                    grams = shingles(d.decompress(z).decode("utf-8"), k)
+                    grams = shingles(d.decompress(z).decode("utf-8") if z else "", k)
                     h = np.unique(np.fromiter(map(xxh64_intdigest, grams, repeat(seed)), np.uint64, len(grams))).tobytes()
                     out += [(g, rid, h) for g in gs]
                 yield pd.DataFrame(out, columns=["g", "id", "h"])
