@@ -8,14 +8,13 @@ from __future__ import annotations
 
 import hashlib
 import zlib
-from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from avcurate.llm import webp
-from avcurate.llm.common import spread, stage
+from avcurate.llm.common import map_values, spread, stage
 
 UNIT, PAD = 192, b" "
 
@@ -38,28 +37,27 @@ def feature(samples: bytes) -> str:
 def store_texts(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, media: one media value for each document, staged in the shared folder."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            for at in range(0, len(b), 500):
-                part = b.iloc[at : at + 500]
-                made = [payload_of(t) for t in part.text]
-                yield pd.DataFrame({"doc_id": part.doc_id.astype("Int64"), "n_bytes": [n for _, n in made], "media": [webp.encode_payload(p) for p, _ in made]})
+    def make():
+        def some(texts: list[str | None]) -> list[list]:
+            made = [payload_of(t) for t in texts]
+            return [[n for _, n in made], webp.encode_payloads([p for p, _ in made])]
 
-    return stage(spread(docs.select("doc_id", "text")).mapInPandas(run, "doc_id long, n_bytes long, media binary"), "media")
+        return some
+
+    return stage(map_values(spread(docs.select(F.col("doc_id").cast("long"), "text")), "text", make, "n_bytes long, media binary"), "media")
 
 
 def read_media(stored: DataFrame, samples: bool = False) -> DataFrame:
     """What the stored bytes hold; samples adds the pixel arrays as bytes."""
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", samples binary" * samples
+    added = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string" + ", samples binary" * samples
     sha = hashlib.sha256
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            rows = []
-            for doc, n, media in zip(b.doc_id.astype("Int64"), b.n_bytes, b.media):
-                media = bytes(media)
-                p = webp.decode_payload(media)
-                rows.append((doc, n, len(p), sha(p).hexdigest(), zlib.crc32(p[-16:]), len(media), sha(media).hexdigest(), feature(p)) + ((p,) if samples else ()))
-            yield pd.DataFrame(rows, columns=[x.split()[0] for x in schema.split(", ")]).astype({"doc_id": "Int64"})
+    def make():
+        def some(media: list[bytes]) -> list[list]:
+            found = webp.decode_payloads(media)
+            rows = [(len(p), sha(p).hexdigest(), zlib.crc32(p[-16:]), len(m), sha(m).hexdigest(), feature(p)) + ((p,) if samples else ()) for m, p in zip(media, found)]
+            return list(zip(*rows))
+
+        return some
 
-    return stored.mapInPandas(run, schema)
+    return map_values(stored.select("doc_id", "n_bytes", "media"), "media", make, added)

@@ -2,28 +2,38 @@
 
 The decoder reads prefix codes (simple, normal, and several groups of them), back-references with
 the two-dimensional distance codes, the colour cache, and inverts the predictor, cross-colour,
-subtract-green and palette transforms. Where no code of an image has more than one length and no
-back-reference or cache symbol can occur, all pixels are read at once by numpy; every other image
-goes through the general loop.
-
-The encoder stores bytes as the green channel of images ``WIDTH`` pixels wide, with a palette of
-the bytes that occur (several pixels in one where the palette is small) and equally long prefix
-codes, so that stored texts are read back at numpy's speed. Payloads beyond the format's greatest
-height go on in further images, one container after another.
+subtract-green and palette transforms. ``decode_payloads`` reads many images in step: those that
+have one group of codes, no transform and no cache take one prefix code each at a time, by tables,
+and their back-references are resolved together at the end. Where no code of an image has more than
+one length and no back-reference or cache symbol can occur, all pixels are read at once; every
+other image goes through the general loop.
+
+The encoder stores bytes as the green channel of images ``WIDTH`` pixels wide. Of few different
+bytes it makes a palette, with several pixels in one, and equally long codes. Any other payload gets
+back-references for repeats of ``GRAM`` bytes or more and the cheapest of a few prefix codes
+(``stock_codes``). Payloads of more than ``ROWS`` rows go on in further images, one container after
+another, so that images in step are of like sizes. What is stored depends on the payload alone.
+
+Edge cases: an empty payload is no image; a payload that is no multiple of WIDTH is refused; a
+truncated or malformed image raises ValueError.
 """
 
 from __future__ import annotations
 
+import heapq
 import struct
 from functools import lru_cache
 
 import numpy as np
 
-WIDTH, MAX_HEIGHT = 192, 16384
+WIDTH, ROWS = 192, 32
+GRAM, TABLE_BITS = 16, 13
 #: Fixed values of the format: alphabet sizes, the order of code length codes, and the cache's multiplier.
 LITERALS, LENGTH_CODES, DISTANCE_CODES = 256, 24, 40
 CODE_LENGTH_ORDER = (17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15)
 CACHE_MULTIPLIER = 0x1E35A7BD
+#: Letters from the most to the least frequent, for the stock of prefix codes.
+FREQUENT = b" etaoinsrhldcumfpgwybvkxjqz"
 BLACK = 0xFF000000
 
 
@@ -51,6 +61,10 @@ class Bits:
 # --- prefix codes ----------------------------------------------------------------------------------
 
 
+def reverse(code: int, n: int) -> int:
+    return int(f"{code:0{n}b}"[::-1], 2) if n else 0
+
+
 class Code:
     """A canonical prefix code; ``single`` is its only symbol, which takes no bits."""
 
@@ -73,6 +87,18 @@ class Code:
             if used[0][0] == before == min(used)[0]:
                 self.width = before
 
+    def table(self) -> np.ndarray | None:
+        """For each next TABLE_BITS bits the symbol times 16, plus its length; None where a length is above."""
+        out = np.zeros(1 << TABLE_BITS, np.int32)
+        if self.single is not None:
+            out[:] = self.single << 4
+            return out
+        for (n, code), s in self.lookup.items():
+            if n > TABLE_BITS:
+                return None
+            out[reverse(code, n) :: 1 << n] = s << 4 | n
+        return out
+
     def read(self, bits: Bits) -> int:
         if self.single is not None:
             return self.single
@@ -375,6 +401,35 @@ class BitWriter:
         self.put(1, 1)
         self.put(s, 8)
 
+    def lengths(self, lengths: list[int]) -> None:
+        """A code by its lengths, of up to 15 bits: each by a flat code of 4 bits, and runs of zeros by one of 5."""
+        said, at = [], 0
+        while at < len(lengths):
+            run = next((k for k, n in enumerate(lengths[at : at + 138]) if n != lengths[at]), len(lengths[at : at + 138]))
+            if lengths[at] == 0 and run >= 11:
+                said.append((18, run - 11, 7))
+                at += run
+            elif at and run >= 3 and lengths[at] == lengths[at - 1] and lengths[at]:
+                k = min(run, 6)
+                said.append((16, k - 3, 2))
+                at += k
+            else:
+                said.append((lengths[at], 0, 0))
+                at += 1
+        flat = {n: 4 if n < 13 else 5 for n in (*range(16), 16, 17, 18)}  # 13 codes of 4 bits and 6 of 5
+        code_bits, code = {}, 0
+        for n in sorted(flat, key=lambda x: (flat[x], x)):
+            code_bits[n] = code if flat[n] == 4 else 2 * 13 + (n - 13)
+            code += 1
+        self.put(0, 1)
+        self.put(15, 4)
+        for n in CODE_LENGTH_ORDER:
+            self.put(flat[n], 3)
+        self.put(0, 1)
+        for n, extra, bits in said:
+            self.put(reverse(code_bits[n], flat[n]), flat[n])
+            self.put(extra, bits)
+
     def equal_lengths(self, n: int) -> None:
         """A code whose first 2^n symbols have n bits each: all code lengths are n, which takes no bits to say."""
         self.put(0, 1)
@@ -388,7 +443,7 @@ class BitWriter:
 
 
 def encode_bytes(payload: bytes) -> bytes:
-    """A container with ``payload``, of a multiple of WIDTH bytes, as an image of green samples."""
+    """A container with ``payload``, of a multiple of WIDTH bytes, as an image of green samples with a palette."""
     values = np.frombuffer(payload, np.uint8)
     colours = np.flatnonzero(np.bincount(values, minlength=256))
     w, height = BitWriter(), len(values) // WIDTH
@@ -426,14 +481,307 @@ def encode_bytes(payload: bytes) -> bytes:
     flat = np.unpackbits(index[:, None], axis=1)[:, 8 - n :].ravel()
     head = np.unpackbits(np.frombuffer(w.value.to_bytes(w.n // 8 + 1, "little"), np.uint8), bitorder="little")[: w.n]
     data = np.packbits(np.concatenate([head, flat]), bitorder="little").tobytes()
+    return container(data)
+
+
+# --- many images in step -----------------------------------------------------------------------------------
+
+
+class Plain:
+    """The codes of images with one group of codes, no transform and no cache; ``bits`` is the length of what says them."""
+
+    def __init__(self, bits: int, green: Code, distance: Code):
+        self.bits, self.green, self.distance = bits, green.table(), distance.table()
+
+
+_SEEN: dict[int, dict[int, Plain]] = {}  # by the number of bits that say the codes, and by these bits
+
+
+def plain_codes(stream: bytes) -> Plain | None:
+    """The codes of a stream that can be read in step; streams that say their codes alike share them."""
+    head = int.from_bytes(stream[5:261], "little")
+    for bits, known in _SEEN.items():
+        if (found := known.get(head & (1 << bits) - 1)) is not None:
+            return found
+    if stream[:1] != b"\x2f" or stream[4] >> 5 or head & 0b111:  # a version, a transform, a cache or several groups
+        return None
+    bits = Bits(stream)
+    bits.at = 43
+    green, red, blue, alpha, distance = (read_code(bits, n) for n in (LITERALS + LENGTH_CODES, 256, 256, 256, DISTANCE_CODES))
+    found = Plain(bits.at - 40, green, distance)
+    if red.single is None or blue.single is None or alpha.single is None or found.green is None or found.distance is None or found.bits > 2048:
+        return None
+    if sum(map(len, _SEEN.values())) < 256:
+        _SEEN.setdefault(found.bits, {})[head & (1 << found.bits) - 1] = found
+    return found
+
+
+def _prefixed(window: np.ndarray, prefix: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Value and number of extra bits of length or distance prefixes, from the bits that follow."""
+    n = np.maximum(prefix - 2, 0) >> 1
+    return np.where(prefix < 4, prefix + 1, ((2 + (prefix & 1)) << n) + (window & (1 << n) - 1) + 1), n
+
+
+def greens_in_step(streams: list[bytes], codes: list[Plain]) -> list[np.ndarray]:
+    """Green samples of each stream's image."""
+    size = np.array([len(x) for x in streams])
+    raw = np.frombuffer(b"".join(streams) + b"\0" * 8, np.uint8).astype(np.uint32)
+    window = raw[:-3] | raw[1:-2] << np.uint32(8) | raw[2:-1] << np.uint32(16) | raw[3:] << np.uint32(24)
+    del raw
+    first = np.cumsum(size) - size
+    head = window[first + 1].astype(np.int64)
+    wide, high = (head & 0x3FFF) + 1, (head >> 14 & 0x3FFF) + 1
+    total = wide * high
+    own = {id(c): c for c in codes}
+    place = {k: i for i, k in enumerate(own)}
+    green, distance = (np.concatenate([getattr(c, name) for c in own.values()]) for name in ("green", "distance"))
+    base = np.array([place[id(c)] for c in codes]) << TABLE_BITS
+    at, end = 8 * first + 40 + np.array([c.bits for c in codes]), 8 * (first + size)
+    out = np.zeros(int(total.sum()), np.uint8)
+    stop = np.cumsum(total)
+    start = stop - total
+    to, near = start.copy(), np.array(near_offsets())
+    mask, lanes = np.uint32((1 << TABLE_BITS) - 1), np.arange(len(streams))
+    copies: list[tuple[np.ndarray, ...]] = []
+    look = lambda p: window[np.minimum(p >> 3, len(window) - 1)] >> (p & 7).astype(np.uint32)
+    while len(lanes):
+        found = green[base + (look(at) & mask)]
+        s = found >> 4
+        at += found & 15
+        c = np.flatnonzero(s >= LITERALS)
+        if len(c):
+            n, bits = _prefixed(look(at[c]).astype(np.int64), s[c].astype(np.int64) - LITERALS)
+            p = at[c] + bits
+            found = distance[base[c] + (look(p) & mask)]
+            p += found & 15
+            d, bits = _prefixed(look(p).astype(np.int64), (found >> 4).astype(np.int64))
+            at[c] = p + bits
+            by_place = near[np.minimum(d, 120) - 1]
+            d = np.where(d <= 120, np.maximum(1, by_place[:, 0] + by_place[:, 1] * wide[c]), d - 120)
+            if (d > to[c] - start[c]).any() or (to[c] + n > stop[c]).any():
+                raise ValueError("a back-reference leaves the image")
+            copies.append((to[c], n, d))
+            out[to] = s
+            to += 1
+            to[c] += n - 1
+        else:
+            out[to] = s
+            to += 1
+        open_ = to < stop
+        if not open_.all():
+            if (at > end).any():
+                raise ValueError("the image's bits end too early")
+            lanes, at, to, base, stop, start, wide, end = (x[open_] for x in (lanes, at, to, base, stop, start, wide, end))
+    if copies:
+        o, n, d = (np.concatenate(x) for x in zip(*copies))
+        copied = np.repeat(o - np.cumsum(n) + n, n) + np.arange(n.sum())
+        source = np.arange(len(out))
+        follow = copied - np.repeat(d, n)
+        while True:  # where a sample comes from, and where that comes from, ...
+            source[copied] = follow
+            further = source[follow]
+            if np.array_equal(further, follow):
+                break
+            follow = further
+        out[copied] = out[follow]
+    return np.split(out, np.cumsum(total)[:-1])
+
+
+def decode_payloads(media: list[bytes]) -> list[bytes]:
+    """What ``encode_payloads`` stored, of many at once."""
+    found: list[list[bytes]] = [[] for _ in media]
+    plain: list[tuple[int, int, bytes, Plain]] = []
+    for i, m in enumerate(media):
+        for stream in containers(m):
+            if len(stream) > 5 and (codes := plain_codes(stream)) is not None:
+                plain.append((i, len(found[i]), stream, codes))
+                found[i].append(b"")
+            else:
+                found[i].append((decode_vp8l(stream) >> np.uint32(8)).astype(np.uint8).tobytes())
+    if plain:
+        for (i, j, *_), px in zip(plain, greens_in_step([x[2] for x in plain], [x[3] for x in plain])):
+            found[i][j] = px.tobytes()
+    return [b"".join(x) for x in found]
+
+
+def decode_payload(media: bytes) -> bytes:
+    return decode_payloads([media])[0]
+
+
+# --- the encoder ---------------------------------------------------------------------------------------------
+
+
+def lengths_of(weights: dict[int, float], size: int, rare: float) -> list[int]:
+    """Lengths of a complete prefix code: symbols with weights by Huffman's rule, all others as leaves of one subtree of weight ``rare``."""
+    others = [s for s in range(size) if s not in weights]
+    deep = max(1, (len(others) - 1).bit_length())
+    heap = [(w, s, [s]) for s, w in weights.items()] + ([(rare, size, [size])] if others else [])
+    heapq.heapify(heap)
+    lengths = [0] * (size + 1)
+    while len(heap) > 1:
+        (a, i, x), (b, _, y) = heapq.heappop(heap), heapq.heappop(heap)
+        for s in x + y:
+            lengths[s] += 1
+        heapq.heappush(heap, (a + b, i, x + y))
+    short = (1 << deep) - len(others)  # so many leaves are one bit shorter
+    for k, s in enumerate(others):
+        lengths[s] = lengths[size] + deep - (k < short)
+    return lengths[:size]
+
+
+@lru_cache(1)
+def stock_codes() -> list[tuple[list[int], list[int], int, int]]:
+    """Code lengths of green and of distances, and the bits that say them (value, number), for prose, for texts beyond ASCII, for names and numbers, and for any bytes."""
+    copies = {LITERALS + p: 0.4 for p in range(5, 16)}
+    prose = {c: 100 / (i + 4) for i, c in enumerate(FREQUENT)} | {c: 1.2 for c in b".,\n"} | {c: 0.25 for c in b"'-:;?!()0123456789" + FREQUENT[1:16].upper()} | copies
+    wide = {c: 6.0 for c in range(0x80, 0xC0)} | {c: 5.0 for c in (*range(0xC3, 0xC6), 0xD0, 0xD1, *range(0xE3, 0xEA))} | {0x20: 40.0} | copies
+    names = {c: 3.0 for c in b"abcdefghijklmnopqrstuvwxyz0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZ-_./= \n"} | copies
+    found = []
+    for weights in (prose, prose | {c: 4.0 for c in range(0x80, 0xC0)} | {c: 30.0 for c in (0xC3, 0xD0, 0xD1)}, wide, names, copies):
+        rare = max(2.0, 0.04 * sum(weights.values())) if weights is not copies else 200.0
+        green = lengths_of(weights, LITERALS + LENGTH_CODES, rare)
+        distance = lengths_of({p: 1.0 for p in range(14, 26)}, DISTANCE_CODES, 1.0)
+        w = BitWriter()
+        w.put(0, 3)  # no transform, no cache, one group of codes
+        w.lengths(green)
+        for s in (0, 0, 255):
+            w.one_symbol(s)
+        w.lengths(distance)
+        found.append((green, distance, w.value, w.n))
+    return found
+
+
+@lru_cache(1)
+def stock_bits() -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """For each code of the stock and symbol: bits and their number, of green and of distances."""
+
+    def canonical(lengths: list[int]) -> tuple[list[int], list[int]]:
+        values, code, before = [0] * len(lengths), 0, 0
+        for n, s in sorted((n, s) for s, n in enumerate(lengths) if n):
+            code <<= n - before
+            values[s] = reverse(code, n)
+            code, before = code + 1, n
+        return values, lengths
+
+    both = [(canonical(g), canonical(d)) for g, d, *_ in stock_codes()]
+    return tuple(np.array([x[i][j] for x in both], np.int64) for i in range(2) for j in range(2))
+
+
+def repeats_in(values: np.ndarray, image: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(place, length, distance) of repeats, of GRAM bytes or more, of earlier bytes of the same image; they don't overlap."""
+    none = np.empty(0, np.int64)
+    if len(values) <= GRAM:
+        return none, none, none
+    h, size = values.astype(np.uint64) + np.uint64(1), 1
+    while size < GRAM:
+        h = h[:-size] * np.uint64(0x9E3779B97F4A7C15) + h[size:]
+        h ^= h >> np.uint64(29)
+        size *= 2
+    key = np.sort((h & np.uint64(0xFFFFFFFF00000000)) | np.arange(len(h), dtype=np.uint64))
+    same = np.flatnonzero(key[1:] >> np.uint64(32) == key[:-1] >> np.uint64(32))
+    here, before = ((key[same + k] & np.uint64(0xFFFFFFFF)).astype(np.int64) for k in (1, 0))
+    fits = (h[here] == h[before]) & (image[here + GRAM - 1] == image[before])
+    distance = np.zeros(len(h), np.int64)
+    distance[here[fits]] = (here - before)[fits]
+    edge = np.flatnonzero(np.diff(distance, prepend=0))
+    ends = np.r_[edge[1:], len(h)]
+    some = distance[edge] > 0
+    out, free = [], 0
+    for a, z, d in zip(edge[some].tolist(), (ends[some] + GRAM - 1).tolist(), distance[edge[some]].tolist()):
+        a = max(a, free)
+        while z - a >= GRAM:
+            n = min(z - a, 4096)
+            out.append((a, n, d))
+            a += n
+            free = a
+    place, n, d = np.array(out, np.int64).reshape(-1, 3).T
+    if len(place):  # hashes may agree by chance, and a run may reach into the next image
+        at = np.repeat(place - np.cumsum(n) + n, n) + np.arange(n.sum())
+        wrong = (values[at] != values[at - np.repeat(d, n)]) | (image[at] != image[np.repeat(place - d, n)])
+        good = np.add.reduceat(wrong, np.cumsum(n) - n) == 0
+        place, n, d = place[good], n[good], d[good]
+    return place, n, d
+
+
+def _prefix_of(value: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Prefix, extra bits and their number for lengths or distances."""
+    v = value - 1
+    top = np.frexp(np.maximum(v, 1).astype(np.float64))[1] - 1
+    n = np.where(v < 4, 0, top - 1)
+    return np.where(v < 4, v, 2 * top + (v >> np.maximum(n, 0) & 1)), np.where(v < 4, 0, v & (1 << n) - 1), n
+
+
+def encode_images(payloads: list[bytes]) -> list[bytes]:
+    """A container for each payload, of a multiple of WIDTH bytes and of many different ones."""
+    size = np.array([len(p) for p in payloads])
+    values, image = np.frombuffer(b"".join(payloads), np.uint8), np.repeat(np.arange(len(payloads)), size)
+    place, n, d = repeats_in(values, image)
+    symbol, begins = values.astype(np.int64), np.ones(len(values), bool)
+    inner = np.repeat(place - np.cumsum(n - 1) + n, n - 1) + np.arange((n - 1).sum())
+    begins[inner] = False
+    length, extra, extra_n = _prefix_of(n)
+    symbol[place] = LITERALS + length
+    prefix, more, more_n = _prefix_of(d + 120)
+    at = np.flatnonzero(begins)
+    symbol, of = symbol[at], image[at]
+    used = np.bincount(of * (LITERALS + LENGTH_CODES) + symbol, minlength=len(payloads) * (LITERALS + LENGTH_CODES)).reshape(len(payloads), -1)
+    values_g, n_g, values_d, n_d = stock_bits()
+    heads = stock_codes()
+    code = (used @ n_g.T + np.array([x[3] for x in heads])).argmin(axis=1)
+    both = (values_g << 4 | n_g).ravel()[(code * (LITERALS + LENGTH_CODES))[of] + symbol]
+    bits, count = both >> 4, both & 15
+    # a copy's bits are its length, the distance's prefix and what follows either
+    copy, c = np.searchsorted(at, place), code[image[place]]
+    bits[copy] |= extra << count[copy]
+    count[copy] += extra_n
+    bits[copy] |= values_d[c, prefix] << count[copy]
+    count[copy] += n_d[c, prefix]
+    bits[copy] |= more << count[copy]
+    count[copy] += more_n
+    begin = np.searchsorted(of, np.arange(len(payloads)))
+    ends = np.cumsum(count)
+    own = np.diff(np.r_[ends[begin] - count[begin], ends[-1]])
+    head_n = np.array([40 + heads[k][3] for k in code])
+    words = -(-(head_n + own) // 32)  # an image begins at a word
+    first = np.cumsum(words) - words
+    to = (32 * first + head_n - ends[begin] + count[begin])[of] + ends - count
+    flat = np.zeros(int(words.sum()) + 3, np.int64)
+    word, shift = to >> 5, to & 31
+    low = bits << shift  # the sign is a bit like any other
+    new = np.flatnonzero(np.diff(word, prepend=-1))
+    flat[word[new]] += np.add.reduceat(low & 0xFFFFFFFF, new)  # bits don't meet, so sums join them
+    flat[word[new] + 1] += np.add.reduceat(low >> 32 & 0xFFFFFFFF, new)
+    np.add.at(flat, word[copy] + 2, bits[copy] >> (63 - shift[copy]) >> 1)
+    data = flat.astype("<u4").tobytes()
+    out = []
+    for p, k, a, w, m in zip(payloads, code.tolist(), first.tolist(), words.tolist(), (head_n + own).tolist()):
+        _, _, head, bits_ = heads[k]
+        front = (0x2F | (WIDTH - 1) << 8 | (len(p) // WIDTH - 1) << 22 | head << 40).to_bytes(4 * (bits_ // 32 + 3), "little")
+        body = bytearray(data[4 * a : 4 * (a + w)])
+        whole = (40 + bits_) >> 3
+        body[:whole], body[whole] = front[:whole], body[whole] | front[whole]
+        out.append(container(bytes(body[: -(-m // 8)])))
+    return out
+
+
+def container(data: bytes) -> bytes:
     body = b"WEBPVP8L" + struct.pack("<I", len(data)) + data + b"\0" * (len(data) & 1)
     return b"RIFF" + struct.pack("<I", len(body)) + body
 
 
-def encode_payload(payload: bytes) -> bytes:
-    most = WIDTH * MAX_HEIGHT
-    return b"".join(encode_bytes(payload[i : i + most]) for i in range(0, len(payload), most))
+def encode_payloads(payloads: list[bytes]) -> list[bytes]:
+    """For each payload, of a multiple of WIDTH bytes, its containers one after another."""
+    if any(len(p) % WIDTH for p in payloads):
+        raise ValueError(f"a payload is no multiple of {WIDTH} bytes")
+    most = WIDTH * ROWS
+    parts = [(i, p[at : at + most]) for i, p in enumerate(payloads) for at in range(0, len(p), most)]
+    many = [len(set(p)) > 16 for _, p in parts]
+    images = iter(encode_images([p for (_, p), m in zip(parts, many) if m]) if any(many) else [])
+    out: list[list[bytes]] = [[] for _ in payloads]
+    for (i, p), m in zip(parts, many):
+        out[i].append(next(images) if m else encode_bytes(p))
+    return [b"".join(x) for x in out]
 
 
-def decode_payload(media: bytes) -> bytes:
-    return b"".join((decode_vp8l(x) >> np.uint32(8)).astype(np.uint8).tobytes() for x in containers(media))
+def encode_payload(payload: bytes) -> bytes:
+    return encode_payloads([payload])[0]
