@@ -7,9 +7,9 @@ for each switch, labels spans; a document has the language of most of its letter
 is that language's share of them.
 
 Training reads rows with text and lang whose crc32(doc_id as text) mod 5 is not 0, at most
-``fit_rows`` of them on average, chosen by a hash of the id; the model keeps the ``max_words`` and
-``max_grams`` most frequent words and trigrams, so its size is bounded and it goes to the tasks
-with the code.
+``fit_rows`` of them on average, chosen by a hash of the id; the model keeps all words and trigrams
+that these rows hold ``least`` times or more, at most 1 / ``least`` of the sample's words and letters,
+and it goes to the tasks with the code. Unseen words are scored by their trigrams.
 
 Edge cases: a null text, and one without letters, is ``und`` with score 0; letters of scripts that
 no training row has give the most frequent language with score 0; without training rows every
@@ -32,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from avcurate.llm.common import kept, renamed, spread
+from avcurate.llm.common import kept, map_values, renamed, spread
 
 #: First code points of ranges of scripts.
 SCRIPT_RANGES = (
@@ -208,7 +208,7 @@ def training_rows(docs: DataFrame, fit_rows: int, seed: int = 1) -> DataFrame:
     return rows.select("lang", "text")
 
 
-def fit(docs: DataFrame, fit_rows: int = 8000, max_words: int = 60_000, max_grams: int = 40_000) -> Model:
+def fit(docs: DataFrame, fit_rows: int = 8000, least: int = 3) -> Model:
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             found: Counter = Counter()
@@ -229,13 +229,9 @@ def fit(docs: DataFrame, fit_rows: int = 8000, max_words: int = 60_000, max_gram
         spread(training_rows(docs, fit_rows)).mapInPandas(count, "kind string, lang string, item string, n long")
         .groupBy("kind", "item", "lang").agg(F.sum("n").alias("n"))
         .groupBy("kind", "item").agg(F.sum("n").alias("all"), F.map_from_entries(F.collect_list(F.struct("lang", "n"))).alias("by"))
+        .where(F.col("kind").isin("script", "total") | (F.col("all") >= least))
     )
-    summed = summed.persist()
-    rows = []
-    for kind, most in (("word", max_words), ("gram", max_grams), ("script", 100), ("total", 100)):
-        rows += summed.where(F.col("kind") == kind).orderBy(F.desc("all"), "item").limit(most).collect()
-    summed.unpersist()
-    return Model([(r.kind, lang, r.item, n) for r in rows for lang, n in r.by.items()])
+    return Model([(r.kind, lang, r.item, n) for r in summed.collect() for lang, n in r.by.items()])
 
 
 # --- prediction -------------------------------------------------------------------------------------
@@ -273,25 +269,22 @@ def label(texts: list[str | None], scorer: Scorer, penalty: float) -> list[tuple
 def identify(docs: DataFrame, model: Model, penalty: float = 8.0, spans: bool = False, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """*keep, lang_pred, score, mixed (another language holds a span) of every row; spans adds the spans."""
     rows = docs.select(*keep, F.col("text").alias("_text"))
-    sent = docs.sparkSession.sparkContext.broadcast(model)  # of bounded size: max_words and max_grams
-    schema = rows.drop("_text").schema.simpleString()[7:-1] + ", lang_pred string, score double, mixed boolean" + ", spans array<struct<lang:string,first:int,words:int>>" * spans
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+    added = "lang_pred string, score double, mixed boolean" + ", spans array<struct<lang:string,first:int,words:int>>" * spans
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def make():
         scorer = scorer_of(sent)
-        for b in batches:
-            for at in range(0, len(b), 5000):
-                part = b.iloc[at : at + 5000]
-                if len(scorer.rows) > scorer.most:
-                    scorer.clear()
-                found = label(part._text.tolist(), scorer, penalty)
-                out = part.drop(columns="_text").reset_index(drop=True)
-                out["lang_pred"], out["score"] = [x[0] for x in found], [x[1] for x in found]
-                out["mixed"] = [len(x[2]) > 1 for x in found]
-                if spans:
-                    out["spans"] = [[{"lang": a, "first": i, "words": n} for a, i, n in x[2]] for x in found]
-                yield out
-
-    return spread(rows).mapInPandas(run, schema)
+
+        def some(texts: list[str | None]) -> list[list]:
+            if len(scorer.rows) > scorer.most:
+                scorer.clear()
+            found = label(texts, scorer, penalty)
+            out = [[x[0] for x in found], [x[1] for x in found], [len(x[2]) > 1 for x in found]]
+            return out + [[[{"lang": a, "first": i, "words": n} for a, i, n in x[2]] for x in found]] * spans
+
+        return some
+
+    return map_values(spread(rows), "_text", make, added)
 
 
 def identify_documents(docs: DataFrame, **options) -> DataFrame:

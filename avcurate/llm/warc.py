@@ -14,7 +14,7 @@ Edge cases: null html is an empty payload; null url has no target header; a null
 written as an empty id and read back as null (as a referred page it counts last); repeated rows of
 one page_id: each revisits that id, but for one row, chosen by url; an empty table gives no
 archives; extra columns are ignored. The reader raises ValueError on a frame, header, length or
-digest that doesn't hold.
+digest that doesn't hold; ``checked`` also on a revisit whose response isn't there.
 """
 
 from __future__ import annotations
@@ -24,13 +24,15 @@ import re
 import struct
 from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
 import zstandard as zstd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
-from avcurate.llm.common import stage
+from avcurate.llm.common import parts_of, stage
 
 #: Fixed values of the format: the skippable frame that may hold a dictionary, a dictionary's and a frame's first bytes.
 DICT_FRAME, DICT_MAGIC, FRAME_MAGIC = 0x184D2A5D, b"\x37\xa4\x30\xec", b"\x28\xb5\x2f\xfd"
@@ -189,55 +191,65 @@ def with_record_types(pages: DataFrame, revisit_bytes: int = 100) -> DataFrame:
 def write_archives(typed: DataFrame, dictionary: bytes, archive_bytes: int = 16 << 20, level: int = 3) -> DataFrame:
     """(archive_id, records, warc): written per task while rows stream by, so no shuffle is needed."""
 
-    def write(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = zstd.ZstdCompressor(level=level, dict_data=zstd.ZstdCompressionDict(dictionary), write_checksum=True) if dictionary else zstd.ZstdCompressor(level=level, write_checksum=True)
         part, serial = TaskContext.get().partitionId(), 0
         out, size = [], 0
 
-        def flush() -> pd.DataFrame:
+        def flush() -> pa.RecordBatch:
             nonlocal out, size, serial
-            done = pd.DataFrame({"archive_id": [(part << 24) + serial], "records": [len(out)], "warc": [dictionary_frame(dictionary) + b"".join(out)]})
+            done = pa.RecordBatch.from_pydict({"archive_id": [(part << 24) + serial], "records": [len(out)], "warc": [dictionary_frame(dictionary) + b"".join(out)]})
             out, size, serial = [], 0, serial + 1
             return done
 
         for b in batches:
-            ids = b.page_id.astype("Int64")
-            refs = b.refers_to.astype("Int64")
-            for pid, url, html, digest, kind, ref in zip(ids, b.url, b.html, b.payload_digest, b.record_type, refs):
-                raw = record(None if pd.isna(pid) else int(pid), url, html.encode(), digest, kind, "" if pd.isna(ref) else int(ref))
-                out.append(f := c.compress(raw))
-                size += len(f)
-                if size >= archive_bytes:
-                    yield flush()
+            for some in parts_of(b, "html"):
+                for pid, url, html, digest, kind, ref in zip(*(some.column(c).to_pylist() for c in ("page_id", "url", "html", "payload_digest", "record_type", "refers_to"))):
+                    raw = record(pid, url, html.encode(), digest, kind, "" if ref is None else ref)
+                    out.append(f := c.compress(raw))
+                    size += len(f)
+                    if size >= archive_bytes:
+                        yield flush()
         if out:
             yield flush()
 
-    return typed.mapInPandas(write, "archive_id long, records long, warc binary")
+    return typed.mapInArrow(write, "archive_id long, records long, warc binary")
 
 
 def read_archives(archives: DataFrame, column: str = "warc", payloads: bool = False) -> DataFrame:
     """One row for each record: page_id, payload_bytes, payload_digest, record_type, refers_to, url (and payload)."""
-    names = [x.split()[0] for x in READ_SCHEMA.split(", ")] + ["payload"] * payloads
+    ddl = READ_SCHEMA + ", payload binary" * payloads
+    schema = to_arrow_schema(StructType.fromDDL(ddl))
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def send(rows: list[tuple]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(zip(*rows), schema.types)], schema=schema)
 
-    def read(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            for raw in b[column]:
+            for raw in b.column(column):
                 rows, held = [], 0
-                for f in frames(bytes(raw)):
+                for f in frames(raw.as_py()):
                     rows.append(parse_record(f, payloads))
                     held += len(f)
                     if len(rows) >= 5000 or payloads and held > 8 << 20:
-                        yield _frame(rows, names)
+                        yield send(rows)
                         rows, held = [], 0
                 if rows:
-                    yield _frame(rows, names)
+                    yield send(rows)
 
-    return archives.select(column).mapInPandas(read, READ_SCHEMA + ", payload binary" * payloads)
+    return archives.select(column).mapInArrow(read, ddl)
 
 
-def _frame(rows: list[tuple], names: list[str]) -> pd.DataFrame:
-    columns = dict(zip(names, zip(*rows)))
-    return pd.DataFrame({c: pd.array(list(v), dtype="Int64") if c in ("page_id", "refers_to") else list(v) for c, v in columns.items()})
+def checked(records: DataFrame) -> DataFrame:
+    """The records, staged, after each revisit has met the response that it names, with its length and digest; ValueError where one has not."""
+    records = stage(records, "warc-records")
+    of = ["payload_bytes", "payload_digest"]
+    said = records.where("record_type = 'revisit'").select(F.col("refers_to").alias("page"), *of).distinct().alias("a")
+    there = records.where("record_type = 'response'").select(F.col("page_id").alias("page"), *of).distinct().alias("b")
+    same = F.col("a.page").eqNullSafe(F.col("b.page")) & (F.col("a.payload_bytes") == F.col("b.payload_bytes")) & (F.col("a.payload_digest") == F.col("b.payload_digest"))
+    if not said.join(there, same, "left_anti").isEmpty():
+        raise ValueError("a revisit names no response of its payload")
+    return records
 
 
 def archive_pages(pages: DataFrame, **dictionary_options) -> DataFrame:
