@@ -15,7 +15,7 @@ from avcurate.llm.queries import table, tokenizer
 #: Words of a shingle, and the similarity, of the near-duplicate stage.
 SHINGLE_WORDS, SIMILARITY = 5, 0.8
 #: Words of the shortest repeated passage that the repeats stage removes: more than 50.
-PASSAGE_WORDS = 51
+PASSAGE_WORDS = repeats.PASSAGE_WORDS
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
