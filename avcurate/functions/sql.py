@@ -4,10 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import SparkSession
 
-#: name, arguments, result, body
+EACH = "zip_with(split(hyp, '\\x1e'), split(ref, '\\x1e'), (h, r) -> {})"
+SUM = "aggregate({}, 0L, (total, n) -> total + n)"
+EDITS = SUM.format(EACH.format("cast(levenshtein(coalesce(h, ''), coalesce(r, '')) AS BIGINT)"))
+LONGER = SUM.format(EACH.format("cast(greatest(length(coalesce(h, '')), length(coalesce(r, ''))) AS BIGINT)"))
+REF = "length(replace(ref, '\\x1e', ''))"
+
+#: name, arguments, result, body; transcripts are sequences of utterances, as in functions/text.py
 FUNCTIONS = (
-    ("asr_confidence", "hyp STRING, ref STRING", "DOUBLE", "CASE WHEN greatest(length(hyp), length(ref)) = 0 THEN 1D ELSE 1D - levenshtein(hyp, ref) / greatest(length(hyp), length(ref)) END"),
-    ("cer", "hyp STRING, ref STRING", "DOUBLE", "CASE WHEN length(hyp) = 0 AND length(ref) = 0 THEN 0D WHEN length(ref) > 0 THEN levenshtein(hyp, ref) / length(ref) END"),
+    ("asr_confidence", "hyp STRING, ref STRING", "DOUBLE", f"CASE WHEN {LONGER} = 0 THEN 1D ELSE 1D - {EDITS} / {LONGER} END"),
+    ("cer", "hyp STRING, ref STRING", "DOUBLE", f"CASE WHEN length(replace(hyp, '\\x1e', '')) = 0 AND {REF} = 0 THEN 0D WHEN {REF} > 0 THEN {EDITS} / {REF} END"),
     ("vec_dot", "a ARRAY<DOUBLE>, b ARRAY<DOUBLE>", "DOUBLE", "aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, v) -> s + v)"),
     ("cosine", "a ARRAY<DOUBLE>, b ARRAY<DOUBLE>", "DOUBLE", "vec_dot(a, b) / nullif(sqrt(vec_dot(a, a)) * sqrt(vec_dot(b, b)), 0D)"),
     ("comprehensive_score", "cer DOUBLE, sim DOUBLE, alpha DOUBLE", "DOUBLE", "(1D - alpha) * (1D - cer) + alpha * sim"),

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from itertools import zip_longest
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -9,6 +12,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
+from avcurate.functions.text import BREAK
+
 COUNTS = T.StructType([T.StructField(k, T.IntegerType()) for k in ("sub", "del", "ins", "hit")])
 ROWS = T.StructType([T.StructField("at", T.IntegerType()), T.StructField("op", T.StringType()), T.StructField("hyp_at", T.IntegerType()), T.StructField("ref_at", T.IntegerType())])
 
@@ -42,15 +47,20 @@ def align(hyp, ref) -> list[tuple[str, int, int]]:
     return out[::-1]
 
 
-def _counts(hyp, ref) -> dict[str, int]:
-    ops = [op for op, _, _ in align(hyp, ref)]
+def answers(hyp: str, ref: str) -> Iterator[tuple[str, str]]:
+    """Utterances that answer each other; one without an answer meets the empty one."""
+    return zip_longest(hyp.split(BREAK), ref.split(BREAK), fillvalue="")
+
+
+def _counts(pairs) -> dict[str, int]:
+    ops = [op for h, r in pairs for op, _, _ in align(h, r)]
     return {k: ops.count(k) for k in ("sub", "del", "ins", "hit")}
 
 
 @pandas_udf(COUNTS)
 def edit_ops(hyp: pd.Series, ref: pd.Series) -> pd.DataFrame:
-    """Substitutions, deletions, insertions and matches of characters; null in, null out."""
-    return pd.DataFrame([_counts(h, r) if h is not None and r is not None else dict.fromkeys(("sub", "del", "ins", "hit")) for h, r in zip(hyp, ref)], columns=["sub", "del", "ins", "hit"]).astype("Int32")
+    """Substitutions, deletions, insertions and matches of characters, over all utterances; null in, null out."""
+    return pd.DataFrame([_counts(answers(h, r)) if h is not None and r is not None else dict.fromkeys(("sub", "del", "ins", "hit")) for h, r in zip(hyp, ref)], columns=["sub", "del", "ins", "hit"]).astype("Int32")
 
 
 @pandas_udf(T.DoubleType())
@@ -59,11 +69,11 @@ def wer(hyp: pd.Series, ref: pd.Series) -> pd.Series:
     def one(h, r):
         if h is None or r is None:
             return None
-        a, b = h.split(), r.split()
-        if not b:
-            return None if a else 0.0
-        c = _counts(a, b)
-        return (c["sub"] + c["del"] + c["ins"]) / len(b)
+        n = len(r.split())
+        if not n:
+            return None if h.split() else 0.0
+        c = _counts((a.split(), b.split()) for a, b in answers(h, r))
+        return (c["sub"] + c["del"] + c["ins"]) / n
     return pd.Series([one(h, r) for h, r in zip(hyp, ref)], dtype="float64")
 
 
@@ -77,11 +87,28 @@ def snr_udaf(clean: pd.Series, noisy: pd.Series) -> float:
 
 @udtf(returnType=ROWS)
 class AlignmentRows:
-    """One row for each edit operation of an alignment."""
+    """One row for each edit operation of an alignment, utterance by utterance; places count characters without breaks."""
 
     def eval(self, hyp: str, ref: str):
-        for at, (op, i, j) in enumerate(align(hyp or "", ref or "")):
-            yield at, op, i, j
+        at = of_hyp = of_ref = 0
+        for h, r in answers(hyp or "", ref or ""):
+            for op, i, j in align(h, r):
+                yield at, op, of_hyp + i, of_ref + j
+                at += 1
+            of_hyp, of_ref = of_hyp + len(h), of_ref + len(r)
+
+
+@udtf(returnType=T.StructType([T.StructField("frame_no", T.LongType()), T.StructField("x", T.IntegerType()), T.StructField("y", T.IntegerType()), T.StructField("value", T.DoubleType())]))
+class CropRows:
+    """One row for each pixel of a window of a frame; places outside the frame are 0."""
+
+    def eval(self, frame_no: int, pixels: list, height: int, width: int, x0: int, y0: int, crop: int):
+        if None in (pixels, height, width, x0, y0, crop):
+            return
+        for y in range(crop):
+            for x in range(crop):
+                inside = 0 <= x0 + x < width and 0 <= y0 + y < height
+                yield frame_no, x, y, float(pixels[(y0 + y) * width + x0 + x]) if inside else 0.0
 
 
 def cogroup_scores(audio: DataFrame, frames: DataFrame) -> DataFrame:
@@ -111,9 +138,19 @@ def interpolate_np(cents: DataFrame) -> DataFrame:
     return cents.groupBy("clip_id").applyInPandas(fill, "clip_id int, frame_no long, cx double, cy double, filled boolean")
 
 
-def hashed_ngrams(df: DataFrame, text: str, out: str, n: int = 3, dims: int = 256) -> DataFrame:
-    """Richer text vectors: counts of hashed character n-grams, as a dense array column (JVM only)."""
-    padded = F.concat(F.lit(" "), F.lower(text), F.lit(" "))
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.length(padded) - n + 1)), lambda i: F.pmod(F.xxhash64(F.substr(padded, i, F.lit(n))), F.lit(dims)))
-    counts = F.aggregate(grams, F.array_repeat(F.lit(0.0), dims), lambda acc, g: F.transform(acc, lambda v, i: v + F.when(i == g, 1.0).otherwise(0.0)))
-    return df.withColumn(out, counts)
+def hashed_ngrams(df: DataFrame, text: str, out: str, n: int = 3, dims: int = 256, key: str = "clip_id") -> DataFrame:
+    """Richer text vectors: counts of hashed character n-grams, as a dense array column (JVM only); ``key`` names the rows.
+
+    Grams are counted as rows, partially before they are dealt, and only the counts become a vector.
+    """
+    padded = F.concat(F.lit(" "), F.lower(F.replace(text, F.lit(BREAK), F.lit(""))), F.lit(" "))
+    chars = F.regexp_extract_all(padded, F.lit("(?s)."), F.lit(0))
+    grams = chars
+    for j in range(1, n):
+        grams = F.zip_with(grams, F.slice(chars, j + 1, F.size(chars)), lambda a, b: F.concat(a, b))
+    grams = F.filter(grams, lambda g: g.isNotNull())
+    place = F.conv(F.substring(F.md5(F.col("_gram").cast("binary")), 1, 8), 16, 10).cast("bigint") % dims
+    rows = df.select(key, padded.alias("_p"), grams.alias("_g")).select(key, F.explode(F.when(F.size("_g") > 0, F.col("_g")).otherwise(F.array("_p"))).alias("_gram"))
+    counts = rows.groupBy(key, place.alias("_at")).agg(F.count("*").cast("double").alias("_n")).groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("_at", "_n"))).alias("_m"))
+    vector = F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(dims - 1).cast("bigint")), lambda i: F.coalesce(F.try_element_at(F.col("_m"), i), F.lit(0.0)))
+    return df.join(counts, key, "left").withColumn(out, F.when(F.col(text).isNotNull(), vector)).drop("_m")

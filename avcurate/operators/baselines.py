@@ -5,7 +5,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-TRANSCRIBERS = {
+from avcurate.functions.text import by_utterance, letter_vector
+
+#: What each stand-in makes of one utterance.
+STAND_INS = {
     "sys01": lambda r: F.lower(r),
     "sys02": lambda r: F.regexp_replace(r, "[aeiou]", ""),
     "sys03": lambda r: F.left(r, F.floor(F.length(r) * F.lit(0.6)).cast("int")),
@@ -22,14 +25,18 @@ TRANSCRIBERS = {
 }
 
 
+TRANSCRIBERS = {name: lambda r, f=f: by_utterance(r, f) for name, f in STAND_INS.items()}
+
+
 def register_transcriber(system_id: str, f) -> None:
-    """Slot for a real transcriber: a function from a column (or a pandas UDF) to its hypothesis."""
+    """Slot for a real transcriber: a function (or a pandas UDF) from the column of transcripts to its hypotheses, utterance by utterance."""
     TRANSCRIBERS[system_id] = f
 
 
 def transcribe(refs: DataFrame, systems: list[str] | None = None, key: str = "clip_id", ref: str = "ref_text") -> DataFrame:
-    """system_id, pair_id, ref, hyp for every text and system, by one narrow explode."""
+    """system_id, pair_id, ref, hyp for every text and system, by one narrow explode; ref_vec, the letters of ref, is counted once a text."""
     names = systems or sorted(TRANSCRIBERS)
     r: Column = F.col(ref)
     all_ = F.array(*[F.struct(F.lit(s).alias("system_id"), TRANSCRIBERS[s](r).alias("hyp")) for s in names])
-    return refs.select(F.col(key).alias("pair_id"), r.alias("ref"), F.explode(all_).alias("s")).select("s.system_id", "pair_id", "ref", "s.hyp")
+    once = refs.withColumn("ref_vec", letter_vector(r))
+    return once.select(F.col(key).alias("pair_id"), r.alias("ref"), "ref_vec", F.explode(all_).alias("s")).select("s.system_id", "pair_id", "ref", "s.hyp", "ref_vec")

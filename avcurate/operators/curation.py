@@ -7,9 +7,9 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from avcurate.functions.text import asr_confidence, asr_confidence_bounded
+from avcurate.functions.text import asr_confidence, asr_confidence_bounded, length_gap, longer_length
 from avcurate.operators.motion import motion_cap, motion_magnitude, video_score
-from avcurate.operators.normalise import apply_minmax, fit_minmax
+from avcurate.operators.normalise import apply_minmax, exact_quantile, fit_minmax
 from avcurate.operators.signal import snr_db
 
 
@@ -112,12 +112,32 @@ def accept_curve(curated: DataFrame, thresholds: list[float]) -> DataFrame:
 
 def threshold_for_rate(curated: DataFrame, rate: float) -> DataFrame:
     """The threshold that accepts about the given share of scored clips."""
-    return curated.agg(F.percentile("s_comp", 1.0 - rate).alias("threshold"))
+    return exact_quantile(curated, "s_comp", 1.0 - rate, "threshold")
+
+
+def uncertain(signals: DataFrame, policy: CurationPolicy) -> DataFrame:
+    """clip_id, low, high: clips whose split a cap within the sketch's rank error could change, with their scores under the outer caps.
+
+    Scores fall as the cap grows, so the caps at the two ends of the error bound all between them.
+    """
+    error = {"exact": 0.0, "approx": 1e-4, "kll": 0.0133}[policy.cap_method]
+    span = signals.agg(F.min("snr_db").alias("snr_min"), F.max("snr_db").alias("snr_max"))
+    ends = []
+    for q in (min(1.0, policy.motion_quantile + error), max(0.0, policy.motion_quantile - error)):
+        stats = span.crossJoin(F.broadcast(motion_cap(signals, q, policy.cap_method).select("motion_cap")))
+        ends.append(score(signals, stats, policy).select("clip_id", "s_comp", "split"))
+    low, high = ends[0].toDF("clip_id", "low", "low_split"), ends[1].toDF("clip_id", "high", "high_split")
+    return low.join(high, "clip_id").where("low_split <> high_split").select("clip_id", "low", "high")
+
+
+def exact_mean(col: str) -> Column:
+    """Mean of values of nine places, summed as decimals, so that it doesn't depend on the order of rows."""
+    return F.try_divide(F.sum(F.round(col, 9).cast("decimal(28,9)")).cast("double"), F.count(col))
 
 
 def curation_report(curated: DataFrame, by: tuple[str, ...] = ("split", "speaker")) -> DataFrame:
     return curated.rollup(*by).agg(
-        F.grouping_id().cast("bigint").alias("level"), F.count("*").alias("n"), F.avg("s_asr").alias("mean_asr"), F.avg("snr_db").alias("mean_snr"), F.avg("motion").alias("mean_motion"), F.avg("s_comp").alias("mean_comp")
+        F.grouping_id().cast("bigint").alias("level"), F.count("*").alias("n"), exact_mean("s_asr").alias("mean_asr"), exact_mean("snr_db").alias("mean_snr"), exact_mean("motion").alias("mean_motion"), exact_mean("s_comp").alias("mean_comp")
     )
 
 
@@ -132,8 +152,7 @@ def curate_bounded(clips: DataFrame, audio: DataFrame, frames: DataFrame, policy
     x = apply_minmax(signals, stats, "snr_db", "snr_norm", "snr_kind", policy.inf_policy).withColumn("s_video", video_score("motion", "motion_cap"))
     w_text = policy.w_audio * policy.w_asr
     base = policy.w_audio * policy.w_snr * F.col("snr_norm") + policy.w_video * F.col("s_video")
-    longer = F.greatest(F.length("hyp_text"), F.length("ref_text"))
-    gap = F.abs(F.length("hyp_text") - F.length("ref_text"))
+    longer, gap = longer_length("hyp_text", "ref_text"), length_gap("hyp_text", "ref_text")
     slack = 1e-9
     x = x.withColumns({"base": base, "longer": longer, "need": (policy.threshold - base) / w_text})
     k = F.floor((1 - F.col("need")) * F.col("longer") + 1e-6).cast("int")

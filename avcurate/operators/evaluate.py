@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from avcurate.functions.text import cer, comprehensive_score, distance, letter_vector
+from avcurate.functions.text import cer, comprehensive_score, distance, letter_vector, plain, sum_over
 from avcurate.functions.vectors import cosine, dot, norm
 
 
@@ -13,18 +13,18 @@ def measured(pairs: DataFrame, distinct_first: bool = False) -> DataFrame:
     """dist, ref_len, cer and sim of each (hyp, ref); distinct_first measures equal pairs once and joins back."""
     def with_measures(df: DataFrame) -> DataFrame:
         # vectors and norms are columns of their own, so that they are computed once and not inlined at each use
-        x = df.withColumns({"_h": letter_vector("hyp"), "_r": letter_vector("ref")})
-        x = x.withColumns({"_dot": dot("_h", "_r"), "_norms": norm("_h") * norm("_r"), "dist": distance("hyp", "ref"), "ref_len": F.length("ref").cast("bigint")})
-        rate = F.when((F.length("hyp") == 0) & (F.col("ref_len") == 0), 0.0).when(F.col("ref_len") > 0, F.col("dist") / F.col("ref_len"))
-        return x.withColumns({"cer": rate, "sim": F.when(F.col("_norms") > 0, F.col("_dot") / F.col("_norms"))}).drop("_h", "_r", "_dot", "_norms")
+        x = df.withColumns({"_h": letter_vector("hyp"), "_r": F.col("ref_vec") if "ref_vec" in df.columns else letter_vector("ref")})
+        x = x.withColumns({"_dot": dot("_h", "_r"), "_norms": norm("_h") * norm("_r"), "dist": distance("hyp", "ref"), "ref_len": F.length(plain("ref")).cast("bigint")})
+        rate = F.when((F.length(plain("hyp")) == 0) & (F.col("ref_len") == 0), 0.0).when(F.col("ref_len") > 0, F.col("dist") / F.col("ref_len"))
+        return x.withColumns({"cer": rate, "sim": F.when(F.col("_norms") > 0, F.col("_dot") / F.col("_norms"))}).drop("_h", "_r", "_dot", "_norms", "ref_vec")
     if distinct_first:
-        return pairs.join(with_measures(pairs.select("hyp", "ref").distinct()), ["hyp", "ref"])
+        return pairs.drop("ref_vec").join(with_measures(pairs.select("hyp", "ref").distinct()), ["hyp", "ref"])
     return with_measures(pairs)
 
 
 def corpus_cer(pairs: DataFrame, mode: str = "macro") -> DataFrame:
     """cer of each system: mean of pairs (macro), or distances over lengths (micro)."""
-    m = pairs.withColumns({"dist": distance("hyp", "ref"), "cer": cer("hyp", "ref"), "ref_len": F.length("ref")})
+    m = pairs.withColumns({"dist": distance("hyp", "ref"), "cer": cer("hyp", "ref"), "ref_len": F.length(plain("ref"))})
     rate = F.avg("cer") if mode == "macro" else F.try_divide(F.sum("dist"), F.sum("ref_len"))
     return m.groupBy("system_id").agg(F.count("*").alias("n"), F.count_if(F.col("cer").isNull()).alias("undefined"), rate.alias("cer"))
 
@@ -34,7 +34,8 @@ def emb_sim(pairs: DataFrame, a: str, b: str) -> DataFrame:
 
 
 def board_of(measured_pairs: DataFrame, alpha: float = 0.5) -> DataFrame:
-    g = measured_pairs.groupBy("system_id").agg(F.count("*").alias("n"), F.avg("sim").alias("emb_sim"), F.avg("cer").alias("cer"))
+    micro = F.try_divide(F.sum("dist"), F.sum("ref_len")).alias("cer_micro")
+    g = measured_pairs.groupBy("system_id").agg(F.count("*").alias("n"), F.avg("sim").alias("emb_sim"), F.avg("cer").alias("cer"), micro)
     return g.withColumn("cs", comprehensive_score("cer", "emb_sim", alpha))
 
 
@@ -113,7 +114,12 @@ def dataset_card(curated_with_part: DataFrame) -> DataFrame:
     return curated_with_part.rollup("part", "split").agg(F.grouping_id().cast("bigint").alias("level"), F.count("*").alias("n"))
 
 
+def pixel_cost(frames: DataFrame) -> DataFrame:
+    """frames and pixels that motion scores read."""
+    return frames.agg(F.count("*").alias("frames"), F.sum(F.size("pixels")).cast("bigint").alias("pixels"))
+
+
 def cost_report(clips: DataFrame, decisions: DataFrame) -> DataFrame:
     """Cells of edit-distance tables in full, and how many clips each rule decides."""
-    cells = F.length("hyp_text").cast("bigint") * F.length("ref_text")
+    cells = sum_over("hyp_text", "ref_text", lambda h, r: F.length(h).cast("bigint") * F.length(r))
     return decisions.join(clips, "clip_id").groupBy("decided_by").agg(F.count("*").alias("clips"), F.sum(cells).alias("dp_cells"))

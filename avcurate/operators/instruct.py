@@ -41,3 +41,14 @@ def mix_modes(examples: DataFrame, chat_share: float | None = None) -> DataFrame
 def translation_difficulty(examples: DataFrame, hyp: str = "hyp") -> DataFrame:
     """difficulty = 1 - consistency of a hypothesis with the target, for translate rows; null for chat rows."""
     return examples.withColumn("difficulty", F.when(F.col("mode") == "translate", 1 - asr_confidence(hyp, "target")))
+
+
+def scheduled_examples(examples: DataFrame, hyp: str = "hyp", threshold: float = 0.55) -> DataFrame:
+    """Examples of both modes with the difficulty of their input, and the split that a curriculum reads.
+
+    A chat example is as hard as the translation of the same turn; easy are those whose hypothesis
+    is consistent with the turn's text by at least ``threshold``.
+    """
+    of_turn = F.max("difficulty").over(Window.partitionBy("conv_id", "turn"))
+    x = translation_difficulty(examples, hyp).withColumn("difficulty", of_turn)
+    return x.withColumn("split", F.when(F.round(1 - F.col("difficulty"), 9) >= threshold, "accept").otherwise("reject"))

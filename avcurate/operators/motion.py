@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from avcurate.functions.vectors import mean_difference
+from avcurate.operators.normalise import exact_quantile
 
 
 def motion_magnitude(frames: DataFrame, norm: str = "l1") -> DataFrame:
@@ -31,9 +32,9 @@ def motion_by_chunks(frames: DataFrame, chunk: int = 256, norm: str = "l1") -> D
 
 
 def motion_cap(motion: DataFrame, q: float = 0.9, method: str = "exact", accuracy: int = 10000) -> DataFrame:
-    """One row: motion_cap, rank_error. ``approx`` and ``kll`` bound what a task holds."""
+    """One row: motion_cap, rank_error. ``exact`` takes two passes of counts; ``approx`` and ``kll`` one of sketches."""
     if method == "exact":
-        return motion.agg(F.percentile("motion", q).alias("motion_cap"), F.lit(0.0).alias("rank_error"))
+        return exact_quantile(motion, "motion", q, "motion_cap").withColumn("rank_error", F.lit(0.0))
     if method == "approx":
         return motion.agg(F.percentile_approx("motion", q, accuracy).alias("motion_cap"), F.lit(1.0 / accuracy).alias("rank_error"))
     sketch = motion.agg(F.expr("kll_sketch_agg_double(motion)").alias("s"))

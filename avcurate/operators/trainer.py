@@ -11,10 +11,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from avcurate.operators.curriculum import MODES
+from avcurate.operators.curriculum import MODES, expected_ce
+from avcurate.operators.normalise import exact_quantile
 
 
 def _probs(x: np.ndarray, w: np.ndarray) -> np.ndarray:
@@ -51,21 +52,27 @@ def gradient(rows: DataFrame, w: np.ndarray) -> tuple[np.ndarray, float, int]:
     return g.reshape(w.shape), (sums[0].loss if sums else 0.0), (sums[0].n if sums else 0)
 
 
+def passes(mode: str, easy_epochs: int, hard_epochs: int) -> list[tuple[int, int, Column]]:
+    """(phase, epoch, which rows it reads) of a schedule; ranked adds one bucket of difficulty an epoch."""
+    if mode == "ranked":
+        return [(1, e, F.col("bucket") <= e) for e in range(1, easy_epochs + hard_epochs + 1)]
+    return [(p, e, F.col("split").isin(*splits)) for p, splits, epochs in MODES[mode](easy_epochs, hard_epochs) for e in range(1, epochs + 1)]
+
+
 def fit_curriculum(train: DataFrame, mode: str = "two_phase", classes: int = 10, dims: int = 64, easy_epochs: int = 3, hard_epochs: int = 5, steps: int = 4, lr: float = 4.0, frozen: list[int] | None = None) -> tuple[np.ndarray, list[tuple]]:
-    """(weights, history of (phase, epoch, loss)); train has vec, y, split. ``frozen`` classes keep their weights."""
+    """(weights, history of (phase, epoch, loss)); train has vec, y, split, and bucket for ``ranked``. ``frozen`` classes keep their weights."""
     w, history = np.zeros((classes, dims + 1)), []
-    train = train.select("vec", "y", "split").persist()
-    for phase, splits, epochs in MODES[mode](easy_epochs, hard_epochs):
-        rows = train.where(F.col("split").isin(*splits))
-        for epoch in range(1, epochs + 1):
-            for _ in range(steps):
-                g, loss, n = gradient(rows, w)
-                if not n:
-                    break
-                if frozen:
-                    g[frozen] = 0
-                w = w - lr * g / n
-            history.append((phase, epoch, loss / n if n else None))
+    train = train.select("vec", "y", "split", *["bucket"] * (mode == "ranked")).persist()
+    for phase, epoch, reads in passes(mode, easy_epochs, hard_epochs):
+        rows = train.where(reads)
+        for _ in range(steps):
+            g, loss, n = gradient(rows, w)
+            if not n:
+                break
+            if frozen:
+                g[frozen] = 0
+            w = w - lr * g / n
+        history.append((phase, epoch, loss / n if n else None))
     train.unpersist()
     return w, history
 
@@ -91,12 +98,35 @@ def with_quality(df: DataFrame, reject_share: float = 0.39) -> DataFrame:
     parts = df.where("part = 'train'").select("y", F.posexplode("vec").alias("i", "v")).groupBy("y", "i").agg(F.avg("v").alias("v"))
     centre = parts.groupBy("y").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "v"))), lambda s: s["v"]).alias("c"))
     q = df.join(F.broadcast(centre), "y").withColumn("quality", cosine("vec", "c")).drop("c")
-    cut = q.where("part = 'train'").agg(F.percentile("quality", reject_share).alias("cut"))
+    cut = exact_quantile(q.where("part = 'train'"), "quality", reject_share, "cut")
     return q.crossJoin(F.broadcast(cut)).withColumn("split", F.when(F.round("quality", 9) >= F.round("cut", 9), "accept").otherwise("reject")).drop("cut")
 
 
-def compare_schedules(df: DataFrame, modes: tuple[str, ...] = ("two_phase", "none"), **fit) -> DataFrame:
-    """schedule, part, split, n, loss, accuracy of one fit for each schedule."""
+def probabilities(rows: DataFrame, w: np.ndarray, keep: tuple[str, ...] = ("split",)) -> DataFrame:
+    """*keep, y and p, the probabilities of the classes under the weights."""
+    schema = ", ".join(f"{k} string" for k in keep) + ", y int, p array<double>"
+
+    def part(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            if len(b):
+                yield b[list(keep)].assign(y=b.y.astype("int32"), p=list(_probs(_matrix(b.vec), w)))
+
+    return rows.select(*keep, "vec", "y").mapInPandas(part, schema)
+
+
+def phase_losses(train: DataFrame, mode: str = "two_phase", **fit) -> DataFrame:
+    """phase, n, loss: cross-entropy of the fitted weights over the rows that each phase of the schedule reads."""
+    w, _ = fit_curriculum(train, mode, **fit)
+    phases = [(p, s) for p, splits, _ in MODES[mode](1, 1) for s in splits]
+    of = train.sparkSession.createDataFrame(phases, "phase int, split string")
+    return expected_ce(probabilities(train, w).join(F.broadcast(of), "split"))
+
+
+ALL_MODES = (*MODES, "ranked")
+
+
+def compare_schedules(df: DataFrame, modes: tuple[str, ...] = ALL_MODES, **fit) -> DataFrame:
+    """schedule, part, split, n, loss, accuracy of one fit for each schedule; ``ranked`` reads the column ``bucket``."""
     out = None
     for mode in modes:
         w, _ = fit_curriculum(df.where("part = 'train'"), mode, **fit)

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from avcurate.functions import sql as sqlf
 from avcurate.functions import udfs
-from avcurate.functions.text import strip_html
+from avcurate.functions.text import letter_vector, strip_html
+from avcurate.functions.vectors import cosine
 from avcurate.operators import baselines, lips, signal
 from avcurate.operators.relational import asof_join, interval_join, sessions
 from avcurate.queries import twins as T
@@ -257,14 +258,14 @@ def o_offset(spark, d):
     return load(spark, d, "documents").select("doc_id", "n_chars").orderBy("n_chars", "doc_id").offset(20).limit(10)
 
 
-@query(f"""WITH l AS (SELECT doc_id FROM labels), t AS (SELECT doc_id FROM documents WHERE {T.bucket100('doc_id')} < 80), e AS (SELECT event_type FROM events WHERE event_id < 500), g AS (SELECT event_type FROM events WHERE event_id >= 300 AND event_id < 600)
+@query(f"""WITH l AS (SELECT doc_id FROM labels), t AS (SELECT doc_id FROM documents WHERE {T.bucket100('doc_id')} < 80), e AS (SELECT event_type FROM events), g AS (SELECT event_type FROM events WHERE value >= 50)
 SELECT 'union' AS op, count(*) AS n FROM (SELECT * FROM l UNION SELECT * FROM t) UNION ALL SELECT 'intersect', count(*) FROM (SELECT * FROM l INTERSECT SELECT * FROM t) UNION ALL SELECT 'except', count(*) FROM (SELECT * FROM l EXCEPT SELECT * FROM t)
 UNION ALL SELECT 'union_all', count(*) FROM (SELECT * FROM e UNION ALL SELECT * FROM g) UNION ALL SELECT 'intersect_all', count(*) FROM (SELECT * FROM e INTERSECT ALL SELECT * FROM g) UNION ALL SELECT 'except_all', count(*) FROM (SELECT * FROM e EXCEPT ALL SELECT * FROM g)""")
 def o_setops(spark, d):
     lab = load(spark, d, "labels").select("doc_id")
     t = load(spark, d, "documents").where(fx.bucket100(F.col("doc_id")) < 80).select("doc_id")
     ev = load(spark, d, "events")
-    e, g = ev.where("event_id < 500").select("event_type"), ev.where("event_id >= 300 and event_id < 600").select("event_type")
+    e, g = ev.select("event_type"), ev.where("value >= 50").select("event_type")
     ops = {"union": lab.union(t).distinct(), "intersect": lab.intersect(t), "except": lab.exceptAll(t).distinct(), "union_all": e.unionByName(g), "intersect_all": e.intersectAll(g), "except_all": e.exceptAll(g)}
     out = None
     for k, x in ops.items():
@@ -394,12 +395,19 @@ def o_null(spark, d):
         F.nullif(F.col("event_id") % 3, F.lit(0)).isNull().alias("third"), F.nvl(F.nullif("event_type", F.lit("view")), F.concat("event_type", F.lit("!"))).alias("nv"))
 
 
-@query(f"WITH {T.MEASURED} SELECT pair_id, dist::BIGINT AS dist, length(hyp)::BIGINT - ref_len AS growth FROM meas WHERE system_id = 'sys05'")
+@query(f"WITH {T.MEASURED} SELECT pair_id, dist::BIGINT AS dist, hyp_len - ref_len AS growth FROM meas WHERE system_id = 'sys05'")
 def o_udf_editops(spark, d):
     p = baselines.transcribe(fx.clip_text(spark, d), ["sys05"]).withColumn("o", udfs.edit_ops("hyp", "ref"))
     return p.select("pair_id", (F.col("o.sub") + F.col("o.del") + F.col("o.ins")).cast("bigint").alias("dist"), (F.col("o.ins") - F.col("o.del")).cast("bigint").alias("growth"))
 
 
+@query(f"WITH {T.MEASURED} SELECT pair_id, dist FROM meas WHERE system_id = 'sys08'")
+def e1_edits(spark, d):
+    """Substitutions, deletions and insertions add up to the distance."""
+    p = baselines.transcribe(fx.clip_text(spark, d), ["sys08"]).withColumn("o", udfs.edit_ops("hyp", "ref"))
+    return p.select("pair_id", (F.col("o.sub") + F.col("o.del") + F.col("o.ins")).cast("bigint").alias("dist"))
+
+
 @query()
 def e1_edit_breakdown(spark, d):
     """Substitutions, deletions, insertions and matches, and word error rates, of a stand-in."""
@@ -422,33 +430,41 @@ def o_grouped_map_interp(spark, d):
     return rounded(udfs.interpolate_np(lips.centroids(lip_frames(spark, d))), "cx", "cy")
 
 
-@query(f"WITH {T.MEASURED} SELECT pair_id, dist FROM meas WHERE system_id = 'sys04' AND pair_id < 200")
+@query(f"WITH {T.MEASURED} SELECT pair_id, dist FROM meas WHERE system_id = 'sys04'")
 def o_udtf_alignment(spark, d):
-    """Edit operations of the first two hundred pairs as rows, summed back to distances: a sample report."""
+    """Edit operations of all pairs of a stand-in as rows, summed back to distances."""
     spark.udtf.register("alignment_rows", udfs.AlignmentRows)
-    baselines.transcribe(fx.clip_text(spark, d).where("clip_id < 200"), ["sys04"]).createOrReplaceTempView("alignment_pairs")
-    return spark.sql("SELECT pair_id, count_if(op <> 'hit') AS dist FROM alignment_pairs, LATERAL alignment_rows(hyp, ref) GROUP BY pair_id")
+    baselines.transcribe(fx.clip_text(spark, d), ["sys04"]).createOrReplaceTempView("alignment_pairs")
+    return spark.sql("SELECT pair_id, count_if(op <> 'hit') AS dist FROM alignment_pairs LEFT JOIN LATERAL alignment_rows(hyp, ref) GROUP BY pair_id")
 
 
-@query()
-def o_udtf_alignment_all(spark, d):
-    """The same for all pairs of all systems; pairs without edit rows keep theirs."""
-    spark.udtf.register("alignment_rows", udfs.AlignmentRows)
-    baselines.transcribe(fx.clip_text(spark, d)).createOrReplaceTempView("alignment_all_pairs")
-    return spark.sql("SELECT system_id, pair_id, if(bool_or(ref IS NULL OR hyp IS NULL), NULL, count_if(op <> 'hit')) AS dist FROM alignment_all_pairs LEFT JOIN LATERAL alignment_rows(hyp, ref) GROUP BY system_id, pair_id")
+@query("""WITH f AS (SELECT label AS clip_id, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS frame_no, embedding::DOUBLE[] AS px FROM embeddings),
+w AS (SELECT *, (frame_no % 5 - 1) AS x0, (frame_no % 7 - 1) AS y0 FROM f)
+SELECT clip_id, frame_no, i.i AS at, round(CASE WHEN x0 + i.i % 4 BETWEEN 0 AND 7 AND y0 + i.i // 4 BETWEEN 0 AND 7 THEN px[(y0 + i.i // 4) * 8 + x0 + i.i % 4 + 1] ELSE 0.0 END, 6) + 0.0 AS value FROM w, range(0, 16) i(i)""")
+def o_udtf_crop(spark, d):
+    """Pixels of windows as rows of a table function."""
+    spark.udtf.register("crop_rows", udfs.CropRows)
+    w = Window.partitionBy("clip_id").orderBy("vec_id")
+    frames = load(spark, d, "embeddings").select(F.col("label").alias("clip_id"), "vec_id", "embedding").withColumn("frame_no", F.row_number().over(w).cast("bigint") - 1)
+    frames.createOrReplaceTempView("crop_frames")
+    return spark.sql("""SELECT clip_id, r.frame_no, cast(r.y * 4 + r.x AS BIGINT) AS at, round(r.value, 6) + 0D AS value
+        FROM crop_frames f, LATERAL crop_rows(f.frame_no, f.embedding, 8, 8, cast(f.frame_no % 5 - 1 AS INT), cast(f.frame_no % 7 - 1 AS INT), 4) r""")
 
 
 @query(f"WITH {T.MEASURED} SELECT system_id, {T.r6('avg(cer)')} AS cer, {T.r6('avg(sim)')} AS sim FROM meas WHERE system_id IN ('sys01', 'sys12') GROUP BY system_id")
 def o_sqlfunc(spark, d):
-    from avcurate.functions.text import letter_vector
     sqlf.register(spark)
-    baselines.transcribe(fx.clip_text(spark, d), ["sys01", "sys12"]).withColumns({"vh": letter_vector("hyp"), "vr": letter_vector("ref")}).createOrReplaceTempView("sqlfunc_pairs")
+    baselines.transcribe(fx.clip_text(spark, d), ["sys01", "sys12"]).withColumns({"vh": letter_vector("hyp"), "vr": F.col("ref_vec")}).createOrReplaceTempView("sqlfunc_pairs")
     return rounded(spark.sql("SELECT system_id, avg(cer(hyp, ref)) AS cer, avg(cosine(vh, vr)) AS sim FROM sqlfunc_pairs GROUP BY system_id"), "cer", "sim")
 
 
-@query()
+@query(f"""WITH {T.CLIPS}, p AS (SELECT clip_id, 'h' AS w, ' ' || lower(array_to_string(hyp_text, '')) || ' ' AS p FROM clips UNION ALL SELECT clip_id, 'r', ' ' || lower(array_to_string(ref_text, '')) || ' ' FROM clips),
+c AS (SELECT clip_id, w, p, regexp_extract_all(p, '(?s).') AS c FROM p),
+g AS (SELECT clip_id, w, unnest(CASE WHEN len(c) < 3 THEN [p] ELSE list_transform(range(1, len(c) - 1), lambda i: c[i] || c[i + 1] || c[i + 2]) END) AS gram FROM c),
+n AS (SELECT clip_id, w, ('0x' || substr(md5(gram), 1, 8))::BIGINT % 64 AS slot, count(*)::DOUBLE AS n FROM g GROUP BY ALL),
+q AS (SELECT clip_id, w, sqrt(sum(n * n)) AS norm FROM n GROUP BY ALL), d AS (SELECT a.clip_id, sum(a.n * b.n) AS dot FROM n a JOIN n b USING (clip_id, slot) WHERE a.w = 'h' AND b.w = 'r' GROUP BY 1)
+SELECT a.clip_id, {T.r6('coalesce(dot, 0) / (a.norm * b.norm)')} AS sim FROM q a JOIN q b ON a.clip_id = b.clip_id AND a.w = 'h' AND b.w = 'r' LEFT JOIN d ON d.clip_id = a.clip_id""")
 def e2_hashed_ngrams(spark, d):
     """Cosines of hashed trigram vectors of hypothesis and reference."""
-    from avcurate.functions.vectors import cosine
-    c = udfs.hashed_ngrams(udfs.hashed_ngrams(fx.clip_text(spark, d, None), "hyp_text", "vh", 3, 64), "ref_text", "vr", 3, 64)
+    c = udfs.hashed_ngrams(udfs.hashed_ngrams(fx.clip_text(spark, d), "hyp_text", "vh", 3, 64), "ref_text", "vr", 3, 64)
     return c.select("clip_id", r6(cosine("vh", "vr")).alias("sim"))

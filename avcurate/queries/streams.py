@@ -30,17 +30,17 @@ EV = "e AS (SELECT *, -((props->>'$.k')::INT / 10.0::DOUBLE - 4.95::DOUBLE) AS r
 
 @query(f"WITH {EV} SELECT date_trunc('hour', ts) AS start, count(*) AS n, {SNR_OF} FROM e GROUP BY 1")
 def s_tumbling(spark, d):
-    return online.run_to_table(online.window_snr(events(spark, d)), "tumbling", "complete").select(naive("start"), "n", r6("snr_db").alias("snr_db"))
+    return online.run_to_latest(online.window_snr(events(spark, d))).select(naive("start"), "n", r6("snr_db").alias("snr_db"))
 
 
 @query(f"WITH {EV} SELECT time_bucket(INTERVAL 15 MINUTE, ts, TIMESTAMP '2024-01-01') - i.i * INTERVAL 15 MINUTE AS start, count(*) AS n, {SNR_OF} FROM e, range(0, 4) i(i) GROUP BY 1")
 def s_sliding(spark, d):
-    return online.run_to_table(online.window_snr(events(spark, d), "1 hour", "15 minutes"), "sliding", "complete").select(naive("start"), "n", r6("snr_db").alias("snr_db"))
+    return online.run_to_latest(online.window_snr(events(spark, d), "1 hour", "15 minutes")).select(naive("start"), "n", r6("snr_db").alias("snr_db"))
 
 
 @query(SESSIONS_SQL.format(gap=1799.999999) + " SELECT user_id, n, count(*) AS sessions FROM (SELECT user_id, session, count(*) AS n FROM s GROUP BY ALL) GROUP BY ALL")
 def s_session(spark, d):
-    return online.run_to_table(online.user_sessions(events(spark, d)), "sessions", "complete").groupBy("user_id", "n").agg(F.count("*").alias("sessions"))
+    return online.run_to_latest(online.user_sessions(events(spark, d))).groupBy("user_id", "n").agg(F.count("*").alias("sessions"))
 
 
 @query("SELECT event_type, count(*) AS n, count(DISTINCT event_id) AS ids FROM events GROUP BY 1")

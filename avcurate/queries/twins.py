@@ -7,28 +7,49 @@ LETTERS = "éóèñüçêäößíÉÈÑÓÇÄÜÊÖÍ"
 STAND_INS = "||".join(f"chr({i})" for i in [*range(1, 9), *range(14, 27)])
 
 
+def pieces(text: str) -> str:
+    """The utterances of a whole text, as a list."""
+    return f"(CASE WHEN length({text}) = 0 THEN [''] ELSE regexp_extract_all({text}, '(?s).{{1,160}}') END)"
+
+
+def over(a: str, b: str, f: str) -> str:
+    """Sum of f over the utterances z[1], z[2] that answer each other."""
+    return f"list_sum(list_transform(list_zip({a}, {b}), lambda z: {f}))::BIGINT"
+
+
 def lev(a: str, b: str) -> str:
-    return f"levenshtein(translate({a}, '{LETTERS}', {STAND_INS}), translate({b}, '{LETTERS}', {STAND_INS}))"
+    return over(a, b, f"levenshtein(translate(z[1], '{LETTERS}', {STAND_INS}), translate(z[2], '{LETTERS}', {STAND_INS}))")
+
+
+def longer(a: str, b: str) -> str:
+    return over(a, b, "greatest(length(z[1]), length(z[2]))")
+
+
+def chars(x: str) -> str:
+    return f"list_sum(list_transform({x}, lambda p: length(p)))::BIGINT"
 
 
 def asr(h: str, r: str) -> str:
-    return f"CASE WHEN greatest(length({h}), length({r})) = 0 THEN 1.0 ELSE 1.0 - {lev(h, r)}::DOUBLE / greatest(length({h}), length({r})) END"
+    return f"CASE WHEN {longer(h, r)} = 0 THEN 1.0 ELSE 1.0 - {lev(h, r)}::DOUBLE / {longer(h, r)} END"
 
 
 def r6(x: str) -> str:
     return f"round(({x})::DOUBLE, 6) + 0.0"
 
 
+def mean9(x: str) -> str:
+    """Mean of values of nine places, summed as decimals."""
+    return r6(f"sum(round({x}, 9)::DECIMAL(28,9))::DOUBLE / count({x})")
+
+
 def bucket100(x: str) -> str:
     return f"(('0x' || substr(md5({x}::VARCHAR), 1, 8))::BIGINT % 100)"
 
 
-CLIPS = """clips AS (
-    SELECT doc_id AS clip_id, source AS speaker, lang AS category, left(text, 160) AS ref_text,
-        CASE doc_id % 5 WHEN 0 THEN left(text, 160) WHEN 1 THEN regexp_replace(left(text, 160), '[aeiou]', '', 'g')
-            WHEN 2 THEN left(left(text, 160), floor(0.6 * length(left(text, 160)))::INT)
-            WHEN 3 THEN replace(left(text, 160), 'th', 't') ELSE reverse(left(text, 160)) END AS hyp_text
-    FROM documents)"""
+CLIPS = f"""clips AS (
+    SELECT clip_id, speaker, category, ref_text, list_transform(ref_text, lambda r: CASE clip_id % 5 WHEN 0 THEN r WHEN 1 THEN regexp_replace(r, '[aeiou]', '', 'g')
+            WHEN 2 THEN left(r, floor(0.6 * length(r))::INT) WHEN 3 THEN replace(r, 'th', 't') ELSE reverse(r) END) AS hyp_text
+    FROM (SELECT doc_id AS clip_id, source AS speaker, lang AS category, {pieces("text")} AS ref_text FROM documents))"""
 AUDIO = """audio AS (
     SELECT event_id // 10 AS clip_id, value AS clean, value + ((props->>'$.k')::INT / 10.0::DOUBLE - 4.95::DOUBLE) AS noisy FROM events)"""
 SNR = """snr AS (
@@ -107,15 +128,16 @@ SYSTEMS = {
     "sys05": "translate(r, 'ea', 'ae')", "sys06": "reverse(r)", "sys07": "r || r || r", "sys08": "replace(r, ' ', '')", "sys09": "replace(r, 'n', '')",
     "sys10": "replace(regexp_replace(r, '[.,]', '', 'g'), 'o', 'u')", "sys11": "substr(r, 9)", "sys12": "left(r, length(r) - 1)", "sys13": "regexp_replace(substr(r, 9), '[ie]', '', 'g')",
 }
-PAIRS = "refs AS (SELECT doc_id AS pair_id, left(text, 160) AS r FROM documents), pairs_ AS (" + " UNION ALL ".join(f"SELECT '{s}' AS system_id, pair_id, r AS ref, {e} AS hyp FROM refs" for s, e in SYSTEMS.items()) + ")"
+PAIRS = f"refs AS (SELECT doc_id AS pair_id, {pieces('text')} AS ref FROM documents), pairs_ AS (" + " UNION ALL ".join(f"SELECT '{s}' AS system_id, pair_id, ref, list_transform(ref, lambda r: {e}) AS hyp FROM refs" for s, e in SYSTEMS.items()) + ")"
 MEASURED = f"""{PAIRS},
-vecs AS (SELECT *, {VEC26.format(t="lower(hyp)")} AS vh, {VEC26.format(t="lower(ref)")} AS vr, {lev("hyp", "ref")}::BIGINT AS dist, length(ref)::BIGINT AS ref_len FROM pairs_),
+lows AS (SELECT *, lower(array_to_string(hyp, '')) AS lh, lower(array_to_string(ref, '')) AS lr FROM pairs_),
+vecs AS (SELECT *, {VEC26.format(t="lh")} AS vh, {VEC26.format(t="lr")} AS vr, {lev("hyp", "ref")} AS dist, {chars("hyp")} AS hyp_len, {chars("ref")} AS ref_len FROM lows),
 meas AS (
-    SELECT system_id, pair_id, ref, hyp, dist, ref_len,
-        CASE WHEN length(hyp) = 0 AND ref_len = 0 THEN 0.0 WHEN ref_len > 0 THEN dist::DOUBLE / ref_len END AS cer,
+    SELECT system_id, pair_id, ref, hyp, dist, hyp_len, ref_len,
+        CASE WHEN hyp_len = 0 AND ref_len = 0 THEN 0.0 WHEN ref_len > 0 THEN dist::DOUBLE / ref_len END AS cer,
         CASE WHEN list_inner_product(vh, vh) > 0 AND list_inner_product(vr, vr) > 0 THEN list_inner_product(vh, vr) / (sqrt(list_inner_product(vh, vh)) * sqrt(list_inner_product(vr, vr))) END AS sim
     FROM vecs)"""
-BOARD = f"{MEASURED}, board0 AS (SELECT system_id, count(*) AS n, avg(sim) AS emb_sim, avg(cer) AS cer FROM meas GROUP BY system_id), board AS (SELECT *, 0.5 * (1 - cer) + 0.5 * emb_sim AS cs FROM board0)"
+BOARD = f"{MEASURED}, board0 AS (SELECT system_id, count(*) AS n, avg(sim) AS emb_sim, avg(cer) AS cer, sum(dist)::DOUBLE / sum(ref_len) AS cer_micro FROM meas GROUP BY system_id), board AS (SELECT *, 0.5 * (1 - cer) + 0.5 * emb_sim AS cs FROM board0)"
 
 
 def golden_cte(rows) -> str:

@@ -5,14 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from avcurate.functions.text import asr_confidence, cer, comprehensive_score, route_mode
+from avcurate.functions.text import asr_confidence, asr_confidence_bounded, by_utterance, cer, comprehensive_score, letter_vector, longer_length, route_mode, utterances
 from avcurate.functions.vectors import cosine
 from avcurate.operators import alignment, baselines, curation, curriculum, evaluate, instruct, lips, motion, normalise, resampler, signal, trainer
 from avcurate.operators.curation import CurationPolicy
 from avcurate.queries import twins as T
 from avcurate.queries.registry import query, r6, rounded
 from avcurate.sources import fixtures as fx
-from avcurate.sources.tables import load
+from avcurate.session import shared_path
+from avcurate.sources.tables import load, write_scores_once
 
 SCORES = ("s_asr", "snr_db", "snr_norm", "s_audio", "motion", "s_video", "s_comp")
 SCORE_SQL = ", ".join(f"{T.r6(c)} AS {c}" for c in SCORES)
@@ -89,8 +90,8 @@ def w3_curate_bounded(spark, d):
     return curation.curate_bounded(fx.clip_text(spark, d), fx.clip_audio(spark, d), fx.clip_frames(spark, d)).select("clip_id", "split")
 
 
-@query(f"""WITH {T.curated()} SELECT split, speaker, (2 * grouping(split) + grouping(speaker))::BIGINT AS level, count(*) AS n, {T.r6('avg(s_asr)')} AS mean_asr,
-{T.r6('avg(snr_db)')} AS mean_snr, {T.r6('avg(motion)')} AS mean_motion, {T.r6('avg(s_comp)')} AS mean_comp FROM curated GROUP BY ROLLUP (split, speaker)""")
+@query(f"""WITH {T.curated()} SELECT split, speaker, (2 * grouping(split) + grouping(speaker))::BIGINT AS level, count(*) AS n, {T.mean9('s_asr')} AS mean_asr,
+{T.mean9('snr_db')} AS mean_snr, {T.mean9('motion')} AS mean_motion, {T.mean9('s_comp')} AS mean_comp FROM curated GROUP BY ROLLUP (split, speaker)""")
 def w3_report(spark, d):
     return rounded(curation.curation_report(curated(spark, d)), "mean_asr", "mean_snr", "mean_motion", "mean_comp")
 
@@ -124,11 +125,10 @@ def m12_asr_confidence(spark, d):
     return fx.clip_text(spark, d).select("clip_id", r6(asr_confidence("hyp_text", "ref_text")).alias("s_asr"))
 
 
-@query(f"""WITH {T.CLIPS}, x AS (SELECT *, {T.lev('hyp_text', 'ref_text')} AS dd, floor(0.3 * greatest(length(hyp_text), length(ref_text)))::INT AS k FROM clips)
+@query(f"""WITH {T.CLIPS}, x AS (SELECT *, {T.lev('hyp_text', 'ref_text')} AS dd, floor(0.3 * {T.longer('hyp_text', 'ref_text')})::INT AS k FROM clips)
 SELECT clip_id, CASE WHEN dd <= k THEN {T.r6(T.asr('hyp_text', 'ref_text'))} END AS s_asr FROM x""")
 def m12_asr_bounded(spark, d):
-    from avcurate.functions.text import asr_confidence_bounded
-    k = F.floor(F.greatest(F.length("hyp_text"), F.length("ref_text")) * F.lit(0.3)).cast("int")
+    k = F.floor(longer_length("hyp_text", "ref_text") * F.lit(0.3)).cast("int")
     return fx.clip_text(spark, d).select("clip_id", r6(asr_confidence_bounded("hyp_text", "ref_text", k)).alias("s_asr"))
 
 
@@ -165,6 +165,14 @@ def m17_motion_cap(spark, d):
     return rounded(motion.motion_cap(motion.motion_magnitude(fx.clip_frames(spark, d))), "motion_cap").select("motion_cap")
 
 
+@query()
+def m17_uncertain(spark, d):
+    """Clips whose split a cap within the sketch's rank error could change."""
+    policy = CurationPolicy(cap_method="kll")
+    signals = write_scores_once(curation.clip_signals(fx.clip_text(spark, d), fx.clip_audio(spark, d), fx.clip_frames(spark, d)), shared_path(spark, "signals"))
+    return rounded(curation.uncertain(signals, policy), "low", "high")
+
+
 @query()
 def m17_motion_cap_sketches(spark, d):
     """Caps by sketches, and how many clips' splits each would change."""
@@ -297,19 +305,19 @@ def w5_embsim(spark, d):
     return rounded(m.groupBy("system_id").agg(F.avg("sim").alias("emb_sim"), F.count_if(F.col("sim").isNull()).alias("undefined")), "emb_sim")
 
 
-LEADER_SQL = f"""SELECT system_id, n, {T.r6('emb_sim')} AS emb_sim, {T.r6('cer')} AS cer, {T.r6('cs')} AS cs, rank() OVER (ORDER BY round(cs, 9) DESC)::INT AS rank_cs,
+LEADER_SQL = f"""SELECT system_id, n, {T.r6('emb_sim')} AS emb_sim, {T.r6('cer')} AS cer, {T.r6('cer_micro')} AS cer_micro, {T.r6('cs')} AS cs, rank() OVER (ORDER BY round(cs, 9) DESC)::INT AS rank_cs,
 round(emb_sim, 9) = round(max(emb_sim) OVER (), 9) AS best_emb_sim, round(cer, 9) = round(min(cer) OVER (), 9) AS best_cer, round(cs, 9) = round(max(cs) OVER (), 9) AS best_cs FROM board"""
 
 
 @query(f"WITH {T.BOARD} {LEADER_SQL}")
 def w5_leaderboard(spark, d):
-    return rounded(evaluate.leaderboard(board(spark, d)), "emb_sim", "cer", "cs")
+    return rounded(evaluate.leaderboard(board(spark, d)), "emb_sim", "cer", "cer_micro", "cs")
 
 
 @query(f"WITH {T.BOARD} {LEADER_SQL}")
 def w5_leaderboard_distinct(spark, d):
     """The same, with equal pairs measured once."""
-    return rounded(evaluate.leaderboard(evaluate.board_of(evaluate.measured(pairs(spark, d), distinct_first=True))), "emb_sim", "cer", "cs")
+    return rounded(evaluate.leaderboard(evaluate.board_of(evaluate.measured(pairs(spark, d), distinct_first=True))), "emb_sim", "cer", "cer_micro", "cs")
 
 
 GOLD = T.golden_cte(fx.PRINTED)
@@ -470,7 +478,7 @@ def w7_difficulty(spark, d):
 
 @query(f"""WITH {TRAIN_SQL}, s AS ({_phases((1, EASY, 3), (2, HARD, 5))}) SELECT split, count(DISTINCT clip_id) AS samples, count(*) AS exposures, {T.r6('count(*)::DOUBLE / (SELECT count(*) FROM s)')} AS share FROM s GROUP BY split""")
 def w7_exposure(spark, d):
-    return rounded(curriculum.exposure_report(curriculum.curriculum_schedule(train_split(spark, d), shuffled=False)), "share")
+    return rounded(curriculum.exposure_report(train_split(spark, d)), "share")
 
 
 @query(f"""WITH {TRAIN_SQL}, q AS (SELECT CASE WHEN split = 'accept' THEN 1 ELSE 2 END AS phase, greatest(clip_id % 100 / 100.0::DOUBLE, 1e-12) AS p FROM tr)
@@ -482,10 +490,34 @@ def w7_losses(spark, d):
     return rounded(curriculum.expected_ce(x), "loss")
 
 
+def ranked_trainable(spark, d):
+    """Vectors with their quality, split and bucket of difficulty."""
+    x = trainer.with_quality(fx.trainable(spark, d))
+    return curriculum.rank_difficulty(x, "quality", key="vec_id").drop("rank", "pct")
+
+
 @query()
 def w7_compare(spark, d):
-    """Loss and accuracy of a softmax regression under the two-phase schedule and without one."""
-    return rounded(trainer.compare_schedules(trainer.with_quality(fx.trainable(spark, d)), steps=2), "loss", "accuracy")
+    """Loss and accuracy of a softmax regression under all six schedules."""
+    return rounded(trainer.compare_schedules(ranked_trainable(spark, d), steps=2), "loss", "accuracy")
+
+
+@query()
+def w7_compare_curated(spark, d):
+    """The same on the curated corpus: a clip's vector and class are those of its first frame, its split is the curation's."""
+    emb = load(spark, d, "embeddings")
+    n = emb.agg(F.count("*").alias("n_emb"))
+    vecs = emb.select("vec_id", F.col("embedding").cast("array<double>").alias("vec"), F.col("label").alias("y"))
+    clips = curriculum.split_dataset(curated(spark, d)).select("clip_id", "part", "split", "s_comp").crossJoin(F.broadcast(n))
+    x = clips.withColumn("vec_id", F.col("clip_id") % F.col("n_emb")).join(vecs, "vec_id")
+    x = write_scores_once(curriculum.rank_difficulty(x).select("clip_id", "vec", "y", "part", "split", "bucket"), shared_path(spark, "curated-vectors"))
+    return rounded(trainer.compare_schedules(x, steps=1), "loss", "accuracy")
+
+
+@query()
+def w7_phase_losses(spark, d):
+    """Cross-entropy of the weights that the two-phase schedule leaves, over each phase's rows."""
+    return rounded(trainer.phase_losses(trainer.with_quality(fx.trainable(spark, d)).where("part = 'train'"), steps=2), "loss")
 
 
 @query(f"""WITH t AS (SELECT vec_id, label AS y, embedding::DOUBLE[] AS vec, {T.bucket100('vec_id')} < 80 AS tr FROM embeddings),
@@ -526,14 +558,29 @@ def w10_route_mode(spark, d):
     return instruct.build_instructions(fx.turns(spark, d)).select("example_id", mode.alias("routed"), payload.alias("payload"))
 
 
-@query(f"""WITH {EXAMPLES}, h AS (SELECT *, regexp_replace(left(target, 160), '[aeiou]', '', 'g') AS hyp, left(target, 160) AS t FROM ex)
+@query(f"""WITH {EXAMPLES}, u AS (SELECT *, {T.pieces('target')} AS t FROM ex), h AS (SELECT *, list_transform(t, lambda r: regexp_replace(r, '[aeiou]', '', 'g')) AS hyp FROM u)
 SELECT example_id, CASE WHEN mode = 'translate' THEN {T.r6('1 - (' + T.asr('hyp', 't') + ')')} END AS difficulty FROM h""")
 def w10_translation_difficulty(spark, d):
-    x = instruct.build_instructions(fx.turns(spark, d)).withColumn("target", F.left("target", F.lit(160)))
+    x = instruct.build_instructions(fx.turns(spark, d)).withColumn("target", utterances("target"))
     x = x.withColumn("hyp", F.regexp_replace("target", "[aeiou]", ""))
     return rounded(instruct.translation_difficulty(x), "difficulty").select("example_id", "difficulty")
 
 
+@query(f"""WITH {EXAMPLES}, u AS (SELECT conv_id, turn, {T.pieces('target')} AS u FROM ex WHERE mode = 'translate'),
+h AS (SELECT *, list_transform(u, lambda r: CASE (conv_id + turn) % 3 WHEN 0 THEN r WHEN 1 THEN regexp_replace(r, '[aeiou]', '', 'g') ELSE reverse(r) END) AS h FROM u),
+q AS (SELECT conv_id, turn, max(1 - ({T.asr('h', 'u')})) AS difficulty FROM h GROUP BY ALL),
+tr AS (SELECT example_id AS clip_id, mode, CASE WHEN round(1 - difficulty, 9) >= 0.55 THEN 'accept' ELSE 'reject' END AS split FROM ex JOIN q USING (conv_id, turn)),
+s AS (SELECT 1 AS phase, e.e AS epoch, * FROM tr, range(1, 4) e(e) WHERE split = 'accept' UNION ALL SELECT 2, e.e, * FROM tr, range(1, 6) e(e) WHERE split = 'reject')
+SELECT phase::INT AS phase, epoch::INT AS epoch, clip_id AS example_id, split, md5(phase || ':' || epoch || ':' || clip_id) AS "order" FROM s""")
+def w10_stage3_schedule(spark, d):
+    """Instruction examples of both modes under the curriculum: how well a turn is translated says how hard it is."""
+    x = instruct.build_instructions(fx.turns(spark, d)).withColumn("target", F.when(F.col("mode") == "translate", utterances("target")).otherwise(F.col("target")))
+    way = (F.col("conv_id") + F.col("turn")) % 3
+    hyp = F.when(way == 0, F.col("target")).when(way == 1, F.regexp_replace("target", "[aeiou]", "")).otherwise(by_utterance("target", F.reverse))
+    x = instruct.scheduled_examples(x.withColumn("hyp", hyp))
+    return curriculum.curriculum_schedule(x.withColumn("clip_id", F.col("example_id"))).withColumnRenamed("clip_id", "example_id")
+
+
 @query("""SELECT * FROM (VALUES ('1a', 1, 'pages', 1.0::DOUBLE, 'resampler'), ('1b', 2, 'embeddings', 0.3::DOUBLE, 'resampler'), ('2', 3, 'documents', 1.0::DOUBLE, 'resampler'), ('2', 3, 'documents', 1.0::DOUBLE, 'audio_encoder'),
 ('3', 4, 'conversations', 1.0::DOUBLE, 'resampler'), ('3', 4, 'conversations', 1.0::DOUBLE, 'audio_encoder'), ('3', 4, 'conversations', 1.0::DOUBLE, 'vision_encoder'), ('3', 4, 'conversations', 1.0::DOUBLE, 'language_model')) t(stage, step, corpus, fraction, module)""")
 def w10_stage_plan(spark, d):
@@ -547,7 +594,7 @@ def w10_fraction(spark, d):
 
 @query(f"""WITH {T.MEASURED}, s AS (SELECT system_id, pair_id, ref, hyp, round(0.5 * (1 - cer) + 0.5 * sim, 9) AS cs FROM meas WHERE cer IS NOT NULL AND sim IS NOT NULL),
 r AS (SELECT *, 'good' AS kind, row_number() OVER (PARTITION BY system_id ORDER BY cs DESC, pair_id) AS rank FROM s UNION ALL SELECT *, 'bad', row_number() OVER (PARTITION BY system_id ORDER BY cs, pair_id) FROM s)
-SELECT system_id, kind, rank::INT AS rank, pair_id, ref, hyp, {T.r6('cs')} AS cs FROM r WHERE rank <= 2""")
+SELECT system_id, kind, rank::INT AS rank, pair_id, array_to_string(ref, chr(30)) AS ref, array_to_string(hyp, chr(30)) AS hyp, {T.r6('cs')} AS cs FROM r WHERE rank <= 2""")
 def w9_cases(spark, d):
     return rounded(evaluate.mine_cases(evaluate.measured(pairs(spark, d)), 2), "cs")
 
@@ -556,18 +603,19 @@ V_TURN = T.VEC26.format
 
 
 @query(f"""WITH {EXAMPLES}, t AS (SELECT conv_id, turn, target AS u FROM ex WHERE mode = 'translate'), c AS (SELECT conv_id, turn, target AS a FROM ex WHERE mode = 'chat'),
-b AS (SELECT left(u, 160) AS u, left(a, 160) AS a, CASE (conv_id + turn) % 3 WHEN 0 THEN left(u, 160) WHEN 1 THEN regexp_replace(left(u, 160), '[aeiou]', '', 'g') ELSE reverse(left(u, 160)) END AS h FROM t JOIN c USING (conv_id, turn)),
-v AS (SELECT *, {T.lev('h', 'u')}::DOUBLE / nullif(length(u), 0) AS cer, {T.VEC26.format(t='lower(h)')} AS vh, {T.VEC26.format(t='lower(u)')} AS vu, {T.VEC26.format(t='lower(a)')} AS va FROM b),
+p AS (SELECT conv_id, turn, {T.pieces('u')} AS u, lower(u) AS lu, lower(a) AS la FROM t JOIN c USING (conv_id, turn)),
+b AS (SELECT *, list_transform(u, lambda r: CASE (conv_id + turn) % 3 WHEN 0 THEN r WHEN 1 THEN regexp_replace(r, '[aeiou]', '', 'g') ELSE reverse(r) END) AS h FROM p),
+w AS (SELECT *, lower(array_to_string(h, '')) AS lh FROM b),
+v AS (SELECT *, {T.lev('h', 'u')}::DOUBLE / nullif({T.chars('u')}, 0) AS cer, {T.VEC26.format(t='lh')} AS vh, {T.VEC26.format(t='lu')} AS vu, {T.VEC26.format(t='la')} AS va FROM w),
 s AS (SELECT 0.5 * (1 - cer) + 0.5 * list_inner_product(vh, vu) / nullif(sqrt(list_inner_product(vh, vh)) * sqrt(list_inner_product(vu, vu)), 0) AS cs, list_inner_product(vh, va) / nullif(sqrt(list_inner_product(vh, vh)) * sqrt(list_inner_product(va, va)), 0) AS relevance FROM v),
 k AS (SELECT * FROM s WHERE cs IS NOT NULL AND relevance IS NOT NULL)
 SELECT least(5, greatest(1, floor(round(cs, 9) * 5) + 1))::INT AS bucket, count(*) AS n, {T.r6('avg(cs)')} AS mean_cs, {T.r6('avg(relevance)')} AS mean_relevance, (SELECT {T.r6('corr(cs, relevance)')} FROM k) AS corr FROM k GROUP BY 1""")
 def w9_comprehension_first(spark, d):
-    from avcurate.functions.text import letter_vector
     x = instruct.build_instructions(fx.turns(spark, d))
-    t = x.where("mode = 'translate'").select("conv_id", "turn", F.left("target", F.lit(160)).alias("u"))
-    c = x.where("mode = 'chat'").select("conv_id", "turn", F.left("target", F.lit(160)).alias("a"))
+    t = x.where("mode = 'translate'").select("conv_id", "turn", utterances("target").alias("u"))
+    c = x.where("mode = 'chat'").select("conv_id", "turn", F.col("target").alias("a"))
     way = (F.col("conv_id") + F.col("turn")) % 3
-    b = t.join(c, ["conv_id", "turn"]).withColumn("h", F.when(way == 0, F.col("u")).when(way == 1, F.regexp_replace("u", "[aeiou]", "")).otherwise(F.reverse("u")))
+    b = t.join(c, ["conv_id", "turn"]).withColumn("h", F.when(way == 0, F.col("u")).when(way == 1, F.regexp_replace("u", "[aeiou]", "")).otherwise(by_utterance("u", F.reverse)))
     s = b.select(comprehensive_score(cer("h", "u"), cosine(letter_vector("h"), letter_vector("u"))).alias("cs"), cosine(letter_vector("h"), letter_vector("a")).alias("relevance"))
     return rounded(evaluate.comprehension_first(s.where("cs is not null and relevance is not null")), "mean_cs", "mean_relevance", "corr")
 
@@ -581,7 +629,7 @@ OUT_SQL = f"SELECT clip_id, query_no, dim, {T.r6('value')} AS value FROM outs"
 
 @query(f"WITH {T.softmax_resample()} {OUT_SQL}")
 def w11_resample(spark, d):
-    return flat(resampler.resample(fx.tokens(spark, d), fx.queries(spark, d)))
+    return flat(resampler.resample_by_rows(fx.tokens(spark, d), fx.queries(spark, d)))
 
 
 @query(f"WITH {T.softmax_resample(64.0)} {OUT_SQL}")
@@ -591,7 +639,7 @@ def w11_resample_gain64(spark, d):
 
 @query(f"WITH {T.softmax_resample(64.0)} {OUT_SQL}")
 def w11_resample_streamed(spark, d):
-    return flat(resampler.resample_streamed(fx.tokens(spark, d), fx.queries(spark, d, gain=64.0)))
+    return flat(resampler.resample(fx.tokens(spark, d), fx.queries(spark, d, gain=64.0)))
 
 
 @query(f"WITH {T.softmax_resample(1.0, 16)} {OUT_SQL}")
@@ -609,6 +657,16 @@ def w11_resample_heads(spark, d):
     return flat(resampler.resample(fx.tokens(spark, d), fx.queries(spark, d, 16, 64.0), heads=4))
 
 
+@query("""WITH tok AS (SELECT label AS clip_id, vec_id // 100 AS grp, vec_id AS token_no, embedding::DOUBLE[] AS vec FROM embeddings),
+qry AS (SELECT vec_id AS query_no, list_transform(embedding::DOUBLE[], lambda x: x * 64) AS q FROM embeddings WHERE vec_id < 16),
+l AS (SELECT clip_id, grp, query_no, vec, list_inner_product(q, vec) / sqrt(64) AS l FROM tok, qry),
+e AS (SELECT *, exp(l - max(l) OVER w) AS e FROM l WINDOW w AS (PARTITION BY clip_id, grp, query_no)), a AS (SELECT *, e / sum(e) OVER (PARTITION BY clip_id, grp, query_no) AS a FROM e)
+SELECT clip_id, grp * 16 + query_no AS query_no, i.i AS dim, round(sum(a * vec[i.i + 1]), 6) + 0.0 AS value FROM a, range(0, 64) i(i) GROUP BY ALL""")
+def w11_resample_groups(spark, d):
+    """Every hundred consecutive tokens compressed by themselves."""
+    return flat(resampler.resample(fx.tokens(spark, d), fx.queries(spark, d, 16, 64.0), group_tokens=100))
+
+
 @query(f"SELECT label AS clip_id, 0::BIGINT AS query_no, i.i AS dim, {T.r6('avg((embedding::DOUBLE[])[i.i + 1])')} AS value FROM embeddings, range(0, 64) i(i) GROUP BY ALL")
 def w11_meanpool(spark, d):
     return flat(resampler.mean_pool(fx.tokens(spark, d)))
@@ -617,22 +675,15 @@ def w11_meanpool(spark, d):
 @query(f"SELECT label AS clip_id, count(*) AS tokens_in, 64::BIGINT AS tokens_out, {T.r6('count(*) / 64.0')} AS ratio FROM embeddings GROUP BY label")
 def w11_compression(spark, d):
     t = fx.tokens(spark, d)
-    return rounded(resampler.compression_report(t, resampler.resample_streamed(t, fx.queries(spark, d))), "ratio")
+    return rounded(resampler.compression_report(t, resampler.resample(t, fx.queries(spark, d))), "ratio")
 
 
 @query("""SELECT clip_id, frame_no * 4 + p.p AS token_no, i.i AS dim, round(pixels[((p.p // 2) * 4 + i.i // 4) * 8 + (p.p % 2) * 4 + i.i % 4 + 1], 6) + 0.0 AS value
-FROM (SELECT d.doc_id AS clip_id, j.j AS frame_no, e.embedding::DOUBLE[] AS pixels FROM documents d, range(0, 6) j(j), embeddings e WHERE d.doc_id < 50 AND e.vec_id = (d.doc_id + (j.j * (d.doc_id % 6)) // 5) % (SELECT count(*) FROM embeddings)), range(0, 4) p(p), range(0, 16) i(i)""")
+FROM (SELECT d.doc_id AS clip_id, j.j AS frame_no, e.embedding::DOUBLE[] AS pixels FROM documents d, range(0, 6) j(j), embeddings e WHERE e.vec_id = (d.doc_id + (j.j * (d.doc_id % 6)) // 5) % (SELECT count(*) FROM embeddings)), range(0, 4) p(p), range(0, 16) i(i)""")
 def w11_patch_tokens(spark, d):
-    """Patches of 4 x 4 pixels of the first fifty clips' frames, as a sample report."""
-    t = resampler.patch_tokens(fx.clip_frames(spark, d).where("clip_id < 50"), 4)
-    return t.select("clip_id", "token_no", F.posexplode("vec").alias("dim", "v")).select("clip_id", "token_no", F.col("dim").cast("bigint").alias("dim"), r6("v").alias("value"))
-
-
-@query()
-def w11_patch_tokens_all(spark, d):
-    """The same for all clips, a row for each token."""
+    """Patches of 4 x 4 pixels of all frames."""
     t = resampler.patch_tokens(fx.clip_frames(spark, d), 4)
-    return t.select("clip_id", "token_no", F.transform("vec", lambda v: r6(v)).alias("vec"))
+    return t.select("clip_id", "token_no", F.posexplode("vec").alias("dim", "v")).select("clip_id", "token_no", F.col("dim").cast("bigint").alias("dim"), r6("v").alias("value"))
 
 
 @query("""SELECT clip_id, row_number() OVER (PARTITION BY clip_id ORDER BY rank, token_no) - 1 AS pos, modality FROM (
@@ -644,6 +695,22 @@ def w11_fuse_tokens(spark, d):
     return resampler.fuse_tokens(*third).select("clip_id", "pos", "modality")
 
 
+@query("""WITH t AS (SELECT label AS clip_id, vec_id AS token_no, embedding::DOUBLE[] AS vec FROM embeddings)
+SELECT clip_id, token_no, o.o AS dim, round(list_sum(list_transform(vec, lambda v, i: v * cos((o.o + 1) * i))), 6) + 0.0 AS value FROM t, range(0, 8) o(o)""")
+def w11_projected(spark, d):
+    """Tokens mapped by a fixed matrix of cosines to eight positions."""
+    import numpy as np
+    matrix = np.cos(np.outer(np.arange(1, 9), np.arange(1, 65)))
+    t = resampler.project(fx.tokens(spark, d), matrix)
+    return t.select("clip_id", "token_no", F.posexplode("vec").alias("dim", "v")).select("clip_id", "token_no", F.col("dim").cast("bigint").alias("dim"), r6("v").alias("value"))
+
+
+@query(f"WITH {T.FRAMES} SELECT clip_id, frame_no::INT AS frame_no FROM frames WHERE floor(frame_no * 10 / 25.0) > floor((frame_no - 1) * 10 / 25.0)")
+def w11_frame_cap(spark, d):
+    """At most ten of twenty-five frames a second."""
+    return resampler.subsample_frames(fx.clip_frames(spark, d), max_fps=10).select("clip_id", F.col("frame_no").cast("int").alias("frame_no"))
+
+
 @query(f"WITH {T.FRAMES} SELECT clip_id, count(*) AS frames FROM frames WHERE frame_no % 2 = 0 GROUP BY clip_id")
 def w11_subsample_frames(spark, d):
     return resampler.subsample_frames(fx.clip_frames(spark, d), 2).groupBy("clip_id").agg(F.count("*").alias("frames"))
@@ -696,31 +763,47 @@ def w14_split_leak(spark, d):
 def w14_benchmark_leak(spark, d):
     """Documents that hold a benchmark passage, wherever it begins.
 
-    A passage's second to fourth words are whole words of any text that holds it, so documents meet
-    passages by equality of three words. Passages of fewer than five words, which have no such
-    words, are compared one by one; both are filters against the benchmark, whose size is checked.
+    All words of a passage but its first and last are whole words of any text that holds it. So
+    documents meet passages of five words and more by equality of the second to the fourth, those
+    of three and four by the second, and shorter ones by as many first characters as the shortest
+    has, at most four. Whether a text holds a passage is then looked up in the text.
     """
-    passages = load(spark, d, "benchmark").where("text is not null").select("item_id", F.col("text").alias("passage"), F.split("text", " ").alias("w"))
-    if passages.count() > 1_000_000:
-        raise ValueError("the benchmark is too large to broadcast")
+    passages = load(spark, d, "benchmark").where("text <> ''").select("item_id", F.col("text").alias("passage"), F.split("text", " ").alias("w"))
     docs = load(spark, d, "documents").select("doc_id", "text")
-    long = passages.where(F.size("w") >= 5).select("item_id", "passage", F.concat_ws(" ", F.slice("w", 2, 3)).alias("k"))
-    w = F.col("w")
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(w) - 2)), lambda i: F.concat_ws(" ", F.slice(w, i, F.lit(3))))
-    keys = docs.select("doc_id", F.split("text", " ").alias("w")).select("doc_id", F.explode(grams).alias("k"))
-    hits = keys.join(F.broadcast(long), "k").select("doc_id", "item_id", "passage").distinct()
-    found = hits.join(docs, "doc_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
-    short = passages.where(F.size("w") < 5).select("item_id", "passage")
-    return found.unionByName(docs.join(F.broadcast(short), F.contains("text", "passage")).select("doc_id", "item_id"))
+    words = F.split("text", " ")
+    n = F.size("w")
+
+    def met(some: DataFrame, key, keys) -> DataFrame:
+        rows = docs.select("doc_id", F.explode(F.array_distinct(keys)).alias("k"))
+        return rows.join(some.select("item_id", "passage", key.alias("k")), "k").select("doc_id", "item_id", "passage")
 
+    grams = F.zip_with(F.zip_with(words, F.slice(words, 2, F.size(words)), lambda a, b: F.concat(a, F.lit(" "), b)), F.slice(words, 3, F.size(words)), lambda a, b: F.concat(a, F.lit(" "), b))
+    hits = met(passages.where(n >= 5), F.concat_ws(" ", F.slice("w", 2, 3)), F.filter(grams, lambda g: g.isNotNull()))
+    hits = hits.unionByName(met(passages.where((n >= 3) & (n < 5)), F.element_at("w", 2), words))
+    short = passages.where(n < 3)
+    least = short.agg(F.min(F.length("passage"))).first()[0]
+    if least:
+        size = min(4, least)
+        hits = hits.unionByName(met(short, F.left("passage", F.lit(size)), F.regexp_extract_all("text", F.lit(f"(?s)(?=(.{{{size}}}))"), F.lit(1))))
+    return hits.distinct().join(docs, "doc_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
 
-@query(f"""WITH {T.CLIPS} SELECT sum(length(hyp_text)::BIGINT * length(ref_text))::BIGINT AS dp_cells, count(*) AS clips FROM clips""")
+
+@query(f"""WITH {T.CLIPS} SELECT sum({T.over('hyp_text', 'ref_text', 'length(z[1])::BIGINT * length(z[2])')})::BIGINT AS dp_cells, count(*) AS clips FROM clips""")
 def e13_cost_report(spark, d):
     c = fx.clip_text(spark, d)
     return evaluate.cost_report(c, curation.curate_bounded(c, fx.clip_audio(spark, d), fx.clip_frames(spark, d))).agg(F.sum("dp_cells").alias("dp_cells"), F.sum("clips").alias("clips"))
 
 
-@query()
+@query(f"WITH {T.FRAMES} SELECT count(*) AS frames, sum(len(pixels))::BIGINT AS pixels FROM frames")
+def e13_pixels(spark, d):
+    return evaluate.pixel_cost(fx.clip_frames(spark, d))
+
+
+@query(f"""WITH {T.curated()}, b AS (SELECT *, 0.6 * 0.5 * snr_norm + 0.4 * s_video AS base, {T.longer('hyp_text', 'ref_text')} AS longer, {T.over('hyp_text', 'ref_text', 'abs(length(z[1]) - length(z[2]))')} AS gap,
+    {T.over('hyp_text', 'ref_text', 'length(z[1])::BIGINT * length(z[2])')} AS cells FROM curated),
+k AS (SELECT *, greatest(-1, least(floor((1 - (0.55 - base) / 0.3) * longer + 1e-6)::BIGINT, longer)) AS k FROM b)
+SELECT CASE WHEN base IS NULL OR longer IS NULL THEN 'missing' WHEN round(base, 9) >= 0.55 OR base + 0.3 + 1e-9 < 0.55 THEN 'bounds' WHEN gap > k THEN 'length' ELSE 'banded' END AS decided_by,
+    count(*) AS clips, sum(cells)::BIGINT AS dp_cells FROM k GROUP BY 1""")
 def e13_decisions(spark, d):
     """How many clips each rule of bounded curation decides."""
     c = fx.clip_text(spark, d)

@@ -4,26 +4,23 @@ from __future__ import annotations
 
 from decimal import Decimal
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from avcurate.sources.tables import load, with_k
+from avcurate.functions.text import by_utterance, utterances
+from avcurate.sources.tables import deal, load, with_k
 
-TEXT_CHARS = 160
-
-
-def clip_text(spark: SparkSession, sf_dir: str, chars: int | None = TEXT_CHARS) -> DataFrame:
-    """clip_id, speaker, category, ref_text, hyp_text; a fifth each: exact, no vowels, cut, fewer h, reversed; chars None takes whole texts."""
-    ref = F.col("text") if chars is None else F.left("text", F.lit(chars))
-    short = F.floor(F.length(ref) * F.lit(0.6)).cast("int")
-    way = F.col("doc_id") % 5
+def clip_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """clip_id, speaker, category, ref_text, hyp_text: whole texts as utterances; a fifth of the clips each: exact, no vowels, cut, fewer h, reversed."""
+    ref, way = F.col("ref_text"), F.col("clip_id") % 5
     hyp = (
         F.when(way == 0, ref).when(way == 1, F.regexp_replace(ref, "[aeiou]", ""))
-        .when(way == 2, F.left(ref, short)).when(way == 3, F.replace(ref, F.lit("th"), F.lit("t"))).otherwise(F.reverse(ref))
-    )
-    return load(spark, sf_dir, "documents").select(
-        F.col("doc_id").alias("clip_id"), F.col("source").alias("speaker"), F.col("lang").alias("category"), ref.alias("ref_text"), hyp.alias("hyp_text")
+        .when(way == 2, by_utterance(ref, lambda r: F.left(r, F.floor(F.length(r) * F.lit(0.6)).cast("int"))))
+        .when(way == 3, F.replace(ref, F.lit("th"), F.lit("t"))).otherwise(by_utterance(ref, F.reverse))
     )
+    docs = deal(load(spark, sf_dir, "documents").select("doc_id", "source", "lang", "text"))
+    clips = docs.select(F.col("doc_id").alias("clip_id"), F.col("source").alias("speaker"), F.col("lang").alias("category"), utterances("text").alias("ref_text"))
+    return clips.withColumn("hyp_text", hyp)
 
 
 def clip_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -58,16 +55,21 @@ def clip_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def numbered(df: DataFrame, by: str, order: str, out: str, width: int = 4096) -> DataFrame:
+    """Rows of each ``by`` numbered from 0 by an integer ``order``: counted in ranges of it first, so that a task numbers one range alone."""
+    x = df.withColumn("_range", F.floor(F.col(order) / width))
+    before = F.sum("c").over(Window.partitionBy(by).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1))
+    counts = x.groupBy(by, "_range").agg(F.count("*").alias("c")).select(by, "_range", F.coalesce(before, F.lit(0)).alias("_base"))
+    inner = F.row_number().over(Window.partitionBy(by, "_range").orderBy(order))
+    return x.withColumn("_at", inner).join(counts, [by, "_range"]).withColumn(out, (F.col("_base") + F.col("_at") - 1).cast("bigint")).drop("_range", "_base", "_at")
+
+
 def landmark_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
     """clip_id, frame_no, points (null where the detector misses)."""
-    from pyspark.sql import Window
-
-    emb = load(spark, sf_dir, "embeddings")
-    w = Window.partitionBy("label").orderBy("vec_id")
     from avcurate.operators.lips import unpack_points
 
-    return emb.select(
-        F.col("label").alias("clip_id"), (F.row_number().over(w) - 1).cast("long").alias("frame_no"),
+    return numbered(load(spark, sf_dir, "embeddings"), "label", "vec_id", "frame_no").select(
+        F.col("label").alias("clip_id"), "frame_no",
         F.when(F.col("vec_id") % 7 != 3, unpack_points(F.col("embedding"))).alias("points"),
     )
 

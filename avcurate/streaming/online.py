@@ -56,11 +56,17 @@ def errors_after_clicks(events: DataFrame, within: str = "1 hour") -> DataFrame:
 
 
 FILLED = "clip_id long, frame_no long, cx double, cy double, filled boolean"
+IDLE_MS = 3_600_000
 GAP_STATE = "last_no long, last_x double, last_y double, gap array<long>"
 
 
 def fill_gaps(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    """Frames of a clip in order: a gap waits for the next valid frame; a row with ``closes`` ends the clip."""
+    """Frames of a clip in order: a gap waits for the next valid frame; a row with ``closes``, or time without rows, ends the clip and its state."""
+    if state.hasTimedOut:
+        _, x, y, gap = state.get
+        state.remove()
+        yield pd.DataFrame([(key[0], f, x, y, True) for f in gap], columns=["clip_id", "frame_no", "cx", "cy", "filled"])
+        return
     last_no, x, y, gap = state.get if state.exists else (None, None, None, [])
     gap, out = list(gap), []
     rows = sorted((r for b in frames for r in b.itertuples(index=False)), key=lambda r: (r.closes, r.frame_no))
@@ -76,13 +82,18 @@ def fill_gaps(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) ->
                 out.append((key[0], f, r.cx, r.cy, True) if s is None else (key[0], f, x + (r.cx - x) * s, y + (r.cy - y) * s, True))
             out.append((key[0], r.frame_no, r.cx, r.cy, False))
             last_no, x, y, gap = r.frame_no, r.cx, r.cy, []
-    state.update((last_no, x, y, gap))
+    if any(r.closes for r in rows):
+        if state.exists:
+            state.remove()
+    else:
+        state.update((last_no, x, y, gap))
+        state.setTimeoutDuration(IDLE_MS)
     yield pd.DataFrame(out, columns=["clip_id", "frame_no", "cx", "cy", "filled"])
 
 
 def interpolate_online(cents: DataFrame) -> DataFrame:
-    """cents (clip_id, frame_no, cx, cy, closes) as a stream, each clip's frames in order over the batches."""
-    return cents.groupBy("clip_id").applyInPandasWithState(fill_gaps, FILLED, GAP_STATE, "append", GroupStateTimeout.NoTimeout)
+    """cents (clip_id, frame_no, cx, cy, closes) as a stream, each clip's frames in order over the batches; a clip without rows for IDLE_MS is closed."""
+    return cents.groupBy("clip_id").applyInPandasWithState(fill_gaps, FILLED, GAP_STATE, "append", GroupStateTimeout.ProcessingTimeTimeout)
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
@@ -103,6 +114,19 @@ def run_to_parquet(stream: DataFrame) -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{path}/out")
 
 
+def run_to_latest(stream: DataFrame, mode: str = "complete") -> DataFrame:
+    """Run over what is there; each batch writes the result so far to a folder of its own, and the last one is read. Nothing meets in the driver."""
+    spark = stream.sparkSession
+    path, last = shared_path(spark, "stream"), []
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/out/batch={number}")
+        last.append(number)
+
+    stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/out/batch={last[-1]}") if last else spark.createDataFrame([], stream.schema)
+
+
 def curate_online(signals: DataFrame, stats: DataFrame, policy: CurationPolicy = CurationPolicy(), out: str | None = None) -> DataFrame:
     """Score a stream of per-clip signals with frozen statistics; a batch overwrites its own folder, so a replay changes nothing."""
     spark = signals.sparkSession

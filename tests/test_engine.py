@@ -44,7 +44,7 @@ def test_columns_are_checked(spark):
 def test_sinks(spark, tmp_path):
     c = curated(spark, SMALL)
     tables.write_curated(c, f"file://{tmp_path}/c")
-    assert spark.read.parquet(f"file://{tmp_path}/c").where("split = 'accept'").count() == 56
+    assert spark.read.parquet(f"file://{tmp_path}/c").where("split = 'accept'").count() == 55
     tables.write_frames_bucketed(fx.clip_frames(spark, SMALL), "frames_b", 4)
     g = spark.table("frames_b").groupBy("clip_id").count()
     assert checks.exchanges(g) == 0 and g.count() == 200

@@ -31,7 +31,7 @@ def test_splits_cover(spark):
 def test_resample_worked(spark):
     t = spark.createDataFrame([(1, 0, [1.0, 0.0]), (1, 1, [0.0, 1.0])], "clip_id long, token_no long, vec array<double>")
     q = spark.createDataFrame([(0, [1.0, 0.0])], "query_no long, vec array<double>")
-    for f in (resampler.resample, resampler.resample_streamed):
+    for f in (resampler.resample, resampler.resample_by_rows):
         assert np.allclose(f(t, q).first().vec, [0.669762, 0.330238], atol=1e-6)
     assert resampler.resample(t.where("false"), q).count() == 0
 
