@@ -76,7 +76,7 @@ def parts_of(batch: pa.RecordBatch, column: str, most_rows: int = 4096, most_byt
         yield batch.slice(lo)
 
 
-def map_values(rows: DataFrame, column: str, make: Callable[[], Callable[[list], list[list]]], added: str) -> DataFrame:
+def map_values(rows: DataFrame, column: str, make: Callable[[], Callable[[list], list[list]]], added: str, most_bytes: int = 8 << 20) -> DataFrame:
     """The rows without ``column`` and with the columns ``added`` (DDL), which a function of the list of its values gives.
 
     ``make`` runs once a task. All other columns pass through Arrow as they are, so that no id loses a digit.
@@ -88,7 +88,7 @@ def map_values(rows: DataFrame, column: str, make: Callable[[], Callable[[list],
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = make()
         for b in batches:
-            for part in parts_of(b, column):
+            for part in parts_of(b, column, most_bytes=most_bytes):
                 made = f(part.column(column).to_pylist())
                 arrays = [part.column(c) for c in others] + [pa.array(list(v), t) for v, t in zip(made, new.types)]
                 yield pa.RecordBatch.from_arrays(arrays, names=others + new.names)

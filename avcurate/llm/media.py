@@ -44,7 +44,7 @@ def store_texts(docs: DataFrame) -> DataFrame:
 
         return some
 
-    return stage(map_values(spread(docs.select(F.col("doc_id").cast("long"), "text")), "text", make, "n_bytes long, media binary"), "media")
+    return stage(map_values(spread(docs.select(F.col("doc_id").cast("long"), "text")), "text", make, "n_bytes long, media binary", 2 << 20), "media")
 
 
 def read_media(stored: DataFrame, samples: bool = False) -> DataFrame:
@@ -60,4 +60,4 @@ def read_media(stored: DataFrame, samples: bool = False) -> DataFrame:
 
         return some
 
-    return map_values(stored.select("doc_id", "n_bytes", "media"), "media", make, added)
+    return map_values(stored.select("doc_id", "n_bytes", "media"), "media", make, added, 2 << 20)

@@ -22,11 +22,13 @@ from __future__ import annotations
 
 import heapq
 import struct
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
 
-WIDTH, ROWS = 192, 32
+WIDTH, ROWS = 192, 16
+AT_ONCE = 1 << 20  # samples of the images that are made or read in step
 GRAM, TABLE_BITS = 16, 13
 #: Fixed values of the format: alphabet sizes, the order of code length codes, and the cache's multiplier.
 LITERALS, LENGTH_CODES, DISTANCE_CODES = 256, 24, 40
@@ -587,6 +589,19 @@ def greens_in_step(streams: list[bytes], codes: list[Plain]) -> list[np.ndarray]
     return np.split(out, np.cumsum(total)[:-1])
 
 
+def in_lots(items: list, size: Callable[[object], int]) -> Iterator[list]:
+    """The items in lists of about AT_ONCE in size, so that what a task holds doesn't follow its rows."""
+    lot, held = [], 0
+    for x in items:
+        if lot and held + size(x) > AT_ONCE:
+            yield lot
+            lot, held = [], 0
+        lot.append(x)
+        held += size(x)
+    if lot:
+        yield lot
+
+
 def decode_payloads(media: list[bytes]) -> list[bytes]:
     """What ``encode_payloads`` stored, of many at once."""
     found: list[list[bytes]] = [[] for _ in media]
@@ -598,8 +613,8 @@ def decode_payloads(media: list[bytes]) -> list[bytes]:
                 found[i].append(b"")
             else:
                 found[i].append((decode_vp8l(stream) >> np.uint32(8)).astype(np.uint8).tobytes())
-    if plain:
-        for (i, j, *_), px in zip(plain, greens_in_step([x[2] for x in plain], [x[3] for x in plain])):
+    for some in in_lots(plain, lambda x: 2 * len(x[2])):
+        for (i, j, *_), px in zip(some, greens_in_step([x[2] for x in some], [x[3] for x in some])):
             found[i][j] = px.tobytes()
     return [b"".join(x) for x in found]
 
@@ -776,7 +791,7 @@ def encode_payloads(payloads: list[bytes]) -> list[bytes]:
     most = WIDTH * ROWS
     parts = [(i, p[at : at + most]) for i, p in enumerate(payloads) for at in range(0, len(p), most)]
     many = [len(set(p)) > 16 for _, p in parts]
-    images = iter(encode_images([p for (_, p), m in zip(parts, many) if m]) if any(many) else [])
+    images = (x for some in in_lots([p for (_, p), m in zip(parts, many) if m], len) for x in encode_images(some))
     out: list[list[bytes]] = [[] for _ in payloads]
     for (i, p), m in zip(parts, many):
         out[i].append(next(images) if m else encode_bytes(p))
