@@ -139,14 +139,88 @@ def test_printed_results(spark):
 
 
 def test_hashed_ngrams_see_whole_texts(spark):
-    """Against pairs made here from whole texts: every fifth hypothesis is the first three fifths of its text."""
+    """Against pairs made here from whole texts: every fifth hypothesis is the first three fifths of each of its text's utterances."""
     from avcurate.functions.udfs import hashed_ngrams
     from avcurate.queries import QUERIES
 
     text = {r.doc_id: r.text for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect() if r.text and r.doc_id % 5 == 2}
-    pairs = spark.createDataFrame([(i, t, t[: int(len(t) * 0.6)]) for i, t in text.items()], "clip_id long, r string, h string")
+    pairs = spark.createDataFrame([(i, t, "".join(u[: int(len(u) * 0.6)] for u in (t[j : j + 160] for j in range(0, len(t), 160)))) for i, t in text.items()], "clip_id long, r string, h string")
     want = hashed_ngrams(hashed_ngrams(pairs, "h", "vh", 3, 64), "r", "vr", 3, 64).select("clip_id", cosine("vh", "vr").alias("sim"))
     got = {r.clip_id: r.sim for r in QUERIES["e2_hashed_ngrams"](spark, SMALL).collect()}
     assert max(map(len, text.values())) > 1000
     for r in want.collect():
         assert got[r.clip_id] == pytest.approx(r.sim, abs=1e-5)
+
+
+@settings(max_examples=15, deadline=None)
+@given(st.lists(st.sampled_from([0.0, 0.1, 0.5, 0.7, 1.5, -2.0, 3.25]), min_size=1, max_size=30), st.sampled_from([0.0, 0.1, 0.388, 0.5, 0.9, 1.0]))
+def test_exact_quantile(spark, values, q):
+    df = spark.createDataFrame([(v,) for v in values] + [(None,)], "v double")
+    got = one(normalise.exact_quantile(df, "v", q, "x", buckets=4))
+    assert got == pytest.approx(one(df.agg(F.percentile("v", q))), abs=1e-12)
+
+
+def test_transcripts_of_many_utterances(spark):
+    """Measures are sums over utterances that answer each other, whole texts are covered, and bounds agree."""
+    import random
+
+    from avcurate.functions.text import BREAK, asr_confidence_bounded, utterances
+
+    rng = random.Random(1)
+    text = "".join(rng.choices("abc é", k=1000))
+    cut = spark.createDataFrame([(text,), ("",)], "t string").select(utterances("t", 160).alias("u")).collect()
+    assert cut[0].u.split(BREAK) == [text[i : i + 160] for i in range(0, 1000, 160)] and cut[1].u == ""
+    pairs = [([rng.choice(["", "ab", "abc", "bcaé"]) for _ in range(rng.randint(1, 4))], [rng.choice(["", "ba", "abc", "cab"]) for _ in range(rng.randint(1, 4))]) for _ in range(40)]
+    df = spark.createDataFrame([(i, BREAK.join(h), BREAK.join(r)) for i, (h, r) in enumerate(pairs)], "i long, h string, r string")
+    got = df.select("i", asr_confidence("h", "r").alias("s"), cer("h", "r").alias("c"), *[asr_confidence_bounded("h", "r", F.lit(k)).alias(f"b{k}") for k in (0, 2, 5)]).collect()
+    for r in got:
+        h, ref = pairs[r.i]
+        both = [(a, b) for a, b in zip(h + [""] * (len(ref) - len(h)), ref + [""] * (len(h) - len(ref)))]
+        d, longer, n = sum(distance(a, b) for a, b in both), sum(max(len(a), len(b)) for a, b in both), sum(map(len, ref))
+        s = 1.0 if not longer else 1 - d / longer
+        assert r.s == pytest.approx(s) and (r.c == pytest.approx(d / n) if n else r.c == (0.0 if not sum(map(len, h)) else None))
+        assert [r.b0, r.b2, r.b5] == [pytest.approx(s) if d <= k else None for k in (0, 2, 5)]
+
+
+def test_clips_that_a_sketch_leaves_open(spark):
+    """Splits under the exact cap and under a sketch's differ at most for the clips that are listed."""
+    args = fx.clip_text(spark, SMALL), fx.clip_audio(spark, SMALL), fx.clip_frames(spark, SMALL)
+    policy = CurationPolicy(cap_method="kll")
+    signals = curation.clip_signals(*args).persist()
+    listed = {r.clip_id for r in curation.uncertain(signals, policy).collect()}
+    split = lambda p: {r.clip_id: r.split for r in curation.score(signals, curation.fit_stats(signals, p), p).collect()}
+    a, b = split(CurationPolicy()), split(policy)
+    assert {k for k in a if a[k] != b[k]} <= listed and len(listed) < 20
+    assert not curation.uncertain(signals, CurationPolicy()).count()
+
+
+def test_gaps_close_after_time():
+    """A clip that ends, or stays silent, gives its open gap and loses its state."""
+    import pandas as pd
+
+    from avcurate.streaming import online
+
+    class State:
+        def __init__(self):
+            self.value, self.hasTimedOut = None, False
+
+        exists = property(lambda self: self.value is not None)
+        get = property(lambda self: self.value)
+
+        def update(self, value):
+            self.value = value
+
+        def remove(self):
+            self.value = None
+
+        def setTimeoutDuration(self, ms):
+            self.ms = ms
+
+    frame = lambda rows: iter([pd.DataFrame(rows, columns=["clip_id", "frame_no", "cx", "cy", "closes"])])
+    run = lambda rows, s: [tuple(r) for b in online.fill_gaps((1,), frame(rows), s) for r in b.itertuples(index=False)]
+    s = State()
+    assert run([(1, 0, 2.0, 4.0, False), (1, 1, None, None, False)], s) == [(1, 0, 2.0, 4.0, False)] and s.exists and s.ms == online.IDLE_MS
+    s.hasTimedOut = True
+    assert run([], s) == [(1, 1, 2.0, 4.0, True)] and not s.exists
+    s = State()
+    assert run([(1, 0, 2.0, 4.0, False), (1, 1, None, None, False), (1, 1, None, None, True)], s) == [(1, 0, 2.0, 4.0, False), (1, 1, 2.0, 4.0, True)] and not s.exists

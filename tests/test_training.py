@@ -72,3 +72,59 @@ def test_loss(spark):
     assert round(curriculum.expected_ce(df).first().loss, 6) == 1.386294
     zero = df.withColumn("p", F.array(F.lit(1.0), F.lit(0.0)))
     assert 27 < curriculum.expected_ce(zero).first().loss < 28
+
+
+def test_ranked_trainer_equals_numpy(spark):
+    df = curriculum.rank_difficulty(trainer.with_quality(fx.trainable(spark, SMALL)), "quality", buckets=3, key="vec_id").where("part = 'train'")
+    w, history = trainer.fit_curriculum(df, "ranked", easy_epochs=2, hard_epochs=1, steps=2, lr=1.0)
+    data, v = df.select("vec", "y", "bucket").collect(), np.zeros((10, 65))
+    for epoch in (1, 2, 3):
+        x = np.array([[*r.vec, 1.0] for r in data if r.bucket <= epoch])
+        y = np.array([r.y for r in data if r.bucket <= epoch])
+        for _ in range(2):
+            z = x @ v.T
+            p = np.exp(z - z.max(1, keepdims=True))
+            p /= p.sum(1, keepdims=True)
+            p[np.arange(len(y)), y] -= 1
+            v -= p.T @ x / len(y)
+    assert np.abs(w - v).max() < 1e-8 and [h[1] for h in history] == [1, 2, 3]
+
+
+def test_schedules_are_compared(spark):
+    """All six, each on train and test and on both splits; the losses of phases are those of the weights."""
+    df = curriculum.rank_difficulty(trainer.with_quality(fx.trainable(spark, SMALL)), "quality", key="vec_id")
+    got = trainer.compare_schedules(df, easy_epochs=1, hard_epochs=1, steps=1).collect()
+    assert {r.schedule for r in got} == set(trainer.ALL_MODES) and len(got) == 24
+    w, _ = trainer.fit_curriculum(df.where("part = 'train'"), "none", easy_epochs=1, hard_epochs=1, steps=1)
+    data = df.where("part = 'test' and split = 'reject'").collect()
+    z = np.array([[*r.vec, 1.0] for r in data]) @ w.T
+    p = np.exp(z) / np.exp(z).sum(1, keepdims=True)
+    own = -np.log(p[np.arange(len(data)), [r.y for r in data]])
+    r = next(r for r in got if (r.schedule, r.part, r.split) == ("none", "test", "reject"))
+    assert r.n == len(data) and abs(r.loss - own.mean()) < 1e-9
+    losses = {r.phase: r.loss for r in trainer.phase_losses(df.where("part = 'train'"), easy_epochs=1, hard_epochs=1, steps=1).collect()}
+    assert set(losses) == {1, 2} and all(x > 0 for x in losses.values())
+
+
+def test_ranks_of_many_equal_scores(spark):
+    rows_ = [(i, None if i % 3 == 0 else (i * 7 % 5) / 5) for i in range(3000)]
+    df = spark.createDataFrame(rows_, "clip_id long, s_comp double").repartition(3)
+    want = [i for i, s in sorted(rows_, key=lambda r: (-r[1] if r[1] is not None else 9, r[0]))]
+    got = curriculum.rank_difficulty(df).collect()
+    assert [r.clip_id for r in sorted(got, key=lambda r: r["rank"])] == want and sorted(r["rank"] for r in got) == list(range(1, 3001))
+
+
+def test_exposures_from_counts(spark):
+    for mode in (*curriculum.MODES, "ranked"):
+        x = curriculum.rank_difficulty(rows(spark), buckets=3)
+        made = curriculum.curriculum_schedule(x, mode, buckets=3).collect()
+        got = {r.split: (r.samples, r.exposures) for r in curriculum.exposure_report(x, mode, buckets=3).collect()}
+        assert got == {s: (len({r.clip_id for r in made if r.split == s}), sum(r.split == s for r in made)) for s in {r.split for r in made}}
+
+
+def test_resampling_forms_agree(spark):
+    t, q = fx.tokens(spark, SMALL), fx.queries(spark, SMALL, 4, 64.0)
+    for heads in (1, 4):
+        a = {(r.clip_id, r.query_no): np.array(r.vec) for r in resampler.resample(t, q, heads=heads).collect()}
+        b = {(r.clip_id, r.query_no): np.array(r.vec) for r in resampler.resample_by_rows(t, q, heads=heads).collect()}
+        assert set(a) == set(b) and all(np.abs(a[k] - b[k]).max() < 1e-9 for k in a)
