@@ -4,6 +4,9 @@ Each round every vertex tells its larger neighbours (large star), then its small
 star), about the smallest id that it sees. The edge list converges to stars whose centres are the
 smallest ids of the components. Per-vertex minima are partial aggregates; they are staged before
 they are joined back, so that a vertex with very many links is split by the adaptive skew join.
+
+Edge cases: loops and repeated links do no harm; links with a null end are dropped; an empty list
+gives no rows; vertices are any longs.
 """
 
 from __future__ import annotations

@@ -393,10 +393,10 @@ def contested_windows(texts: DataFrame, contested: DataFrame, lengths: tuple[int
 
 
 def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
-    """The documents with a row id ``rid``, (rid, text), and whether rid is doc_id; else it is one of a staged copy."""
+    """The documents with a row id ``rid``, (rid, text), and whether rid is doc_id; where ids repeat or are null it numbers a staged copy in the order of ids, nulls last."""
     odd = docs.groupBy("doc_id").count().where("count > 1 or doc_id is null").limit(1).count()
     if odd:
-        docs = stage(docs.withColumn("rid", F.monotonically_increasing_id()), "repeat-docs")
+        docs = stage(docs.orderBy(F.asc_nulls_last("doc_id")).withColumn("rid", F.monotonically_increasing_id()), "repeat-docs")
     else:
         docs = docs.withColumn("rid", F.col("doc_id").cast("long"))
     return docs, spread(docs.select("rid", "text")), not odd

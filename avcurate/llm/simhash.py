@@ -32,9 +32,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from avcurate.llm.common import fresh, map_values, n_parts, release, spread, stage
+from avcurate.llm.common import fresh, map_values, n_parts, release, renamed, spread, stage
 from avcurate.llm.components import connected_components
-from avcurate.llm.repeats import packed
+from avcurate.llm.repeats import packed, rows_by_id
 
 MOST_BITS = 15
 
@@ -344,6 +344,11 @@ def similar_documents(docs: DataFrame, k: int = 5, similarity: float = 0.8, limi
 
 
 def keep_one(docs: DataFrame, k: int = 5, similarity: float = 0.8, limit: int = 3, seed: int = 42) -> DataFrame:
-    """The documents, with unique ids, without all but the smallest doc_id of each component of ``similar_documents``."""
-    gone = similar_documents(docs, k, similarity, limit, seed).where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(stage(gone, "simhash-gone"), "doc_id", "left_anti").select(docs.columns)
+    """The documents without all but one row of each component of ``similar_documents``: the one with the smallest doc_id.
+
+    Where ids repeat or are null, rows are told apart, and those with a null id come last.
+    """
+    rows, texts, _ = rows_by_id(renamed(docs))
+    found = similar_documents(texts.withColumnRenamed("rid", "doc_id"), k, similarity, limit, seed)
+    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("rid")).distinct()
+    return rows.join(stage(gone, "simhash-gone"), "rid", "left_anti").drop("rid").toDF(*docs.columns)
