@@ -4,6 +4,7 @@ import random
 import struct
 import zlib
 from collections import Counter, defaultdict
+from itertools import product
 
 import numpy as np
 import pytest
@@ -80,6 +81,45 @@ def test_unspaced_runs_are_read_whole():
     assert mixed[0] == "ru" and [x[0] for x in mixed[2]] == ["de", "ru"]
 
 
+def test_labels_against_all_paths():
+    """Counts, scores, paths and shares made here plainly, with every path of labels tried."""
+    rng = random.Random(17)
+    langs, penalty, clip = ["aa", "bb", "cc"], 3.0, 6.0
+    alphabet = {"aa": "abcde", "bb": "cdefg", "cc": "efgab"}
+    word = lambda lang: "".join(rng.choices(alphabet[lang], k=rng.randint(1, 5)))
+    train = [(lang, [word(lang) for _ in range(60)]) for lang in langs for _ in range(3)]
+    count, total = defaultdict(lambda: dict.fromkeys(langs, 0)), {k: dict.fromkeys(langs, 0) for k in ("word", "gram")}
+    for lang, ws in train:
+        for w in ws:
+            count["word", w][lang] += 1
+            total["word"][lang] += 1
+            for g in langid.grams_of(w):
+                count["gram", g][lang] += 1
+                total["gram"][lang] += 1
+            count["script", "latin"][lang] += 1
+    rows_ = [(kind, lang, item, n) for (kind, item), by in count.items() for lang, n in by.items() if n]
+    rows_ += [("total", lang, kind, n) for kind in total for lang, n in total[kind].items()]
+    size = {k: sum(kind == k for kind, _ in count) + 1 for k in ("word", "gram")}
+    log = lambda kind, item, lang: np.log((count[kind, item][lang] + 0.5 if (kind, item) in count else 0.5) / (total[kind][lang] + 0.5 * size[kind]))
+
+    def score(w):
+        own = [log("word", w, k) if ("word", w) in count else sum(log("gram", g, k) for g in langid.grams_of(w)) for k in langs]
+        return [max(x - max(own), -clip) for x in own]
+
+    s = langid.Scorer(langid.Model(rows_))
+    for _ in range(60):
+        ws = [word(rng.choice(langs)) for _ in range(rng.randint(1, 6))]
+        table = [score(w) for w in ws]
+        best = max(product(range(3), repeat=len(ws)), key=lambda p: (round(sum(t[k] for t, k in zip(table, p)) - penalty * sum(x != y for x, y in zip(p, p[1:])), 6)))
+        value = lambda p: sum(t[k] for t, k in zip(table, p)) - penalty * sum(x != y for x, y in zip(p, p[1:]))  # noqa: B023, E731
+        lang, share, spans = langid.label([" ".join(ws)], s, penalty)[0]
+        path = [langs.index(k) for k, _, n in spans for _ in range(n)]
+        assert abs(value(path) - value(best)) < 1e-3
+        weight = [sum(len(w) for w, t, k in zip(ws, table, path) if k == i and any(t)) for i in range(3)]
+        if any(weight):
+            assert lang == langs[weight.index(max(weight))] and abs(share - max(weight) / sum(map(len, ws))) < 1e-9
+
+
 def test_certain_paths_are_best_paths():
     rng = np.random.default_rng(1)
     for _ in range(300):
@@ -684,3 +724,107 @@ def test_chat_runs_keep_the_order(spark):
     df = spark.range(300).selectExpr("7L AS conv_id", "id AS turn", "'user' AS role", "concat('t', id) AS text")
     r = chat.parse(chat.render(chat.fold_events(chat.log_of_turns(df)), chunk=16)).first()
     assert [t.text for t in r.turns] == [f"t{i}" for i in range(300)]
+
+
+# --- very long texts, odd ids, clashing columns ----------------------------------------------------------------------------
+
+
+@pytest.fixture(scope="module")
+def long_docs(spark):
+    """Texts of a million characters and more: white space, words, one repeated line; an id above 2^53 next to a null one."""
+    rng = random.Random(23)
+    words_ = ["".join(rng.choices("abcdefghij", k=rng.randint(2, 8))) for _ in range(3000)]
+    long = " ".join(rng.choices(words_, k=200_000))
+    texts_ = {(1 << 53) + 1: " " * 1_200_000 + "x", 5: long, 6: long[:300_000] + "\n" * 5000 + long[300_000:], 7: "one line\n" * 120_000, 8: "short"}
+    rows_ = [(i, t, "en", "s", len(t), 1.0, "k", b"z") for i, t in texts_.items()] + [(None, "no id", None, None, None, None, None, None)]
+    return {**texts_, None: "no id"}, spark.createDataFrame(rows_, "doc_id long, text string, lang string, source string, n_chars long, rid double, key string, fp binary").repartition(2)
+
+
+def test_very_long_texts(spark, long_docs, tokenizer):
+    texts_, df = long_docs
+    raw = {i: t.encode() for i, t in texts_.items()}
+    found = rows(langid.identify_documents(df))
+    assert set(found) == set(texts_) and all(0 <= r.score <= 1 for r in found.values())
+    got = rows(simhash.near_duplicates(df))
+    assert set(got) == set(texts_) and got[5].component_id == 5 and got[(1 << 53) + 1].doc_id == (1 << 53) + 1
+    assert got[5].fingerprint == f"{simhash.fingerprint(texts_[5]):016x}"
+    got = rows(media.read_media(media.store_texts(df)))
+    for i, t in raw.items():
+        p = t + b" " * (max(192, -(-len(t) // 192) * 192) - len(t))
+        assert (got[i].n_bytes, got[i].payload_sha256) == (len(t), sha(p))
+    got = rows(repeats.repeats(df))
+    assert got[5].n_removed == len(raw[5]) and got[8].n_removed == 0 and got[None].n_bytes == 5
+    assert got[7].n_removed == len(raw[7]) and got[(1 << 53) + 1].n_removed == 1_200_000
+    assert {i: r.n_bytes for i, r in got.items()} == {i: len(t) for i, t in raw.items()}
+    path = tokenizer("byte_bpe_50k.json")
+    tok, out = Tokenizer.from_file(path), packing.pack_documents(df, path).collect()
+    for i, t in texts_.items():
+        assert sum(r.length for r in out if r.doc_id == i) == len(tok.encode(t, add_special_tokens=False).ids) + 1
+    path = tokenizer("word_bpe_49k.json")
+    tok, got = Tokenizer.from_file(path), rows(bpe.encode_documents(df, path))
+    assert all(got[i].n_tokens == len(tok.encode(t, add_special_tokens=False).ids) for i, t in texts_.items())
+    got = {r.doc_id: r for r in sharding.shard_documents(df, 3).collect()}
+    assert {i: (r.size, r.text_crc32) for i, r in got.items()} == {i: (len(t) + 8, zlib.crc32(t)) for i, t in raw.items()}
+    log = spark.createDataFrame([(i, j, "assistant", t) for i, t in texts_.items() for j in range(2)], "conv_id long, turn long, role string, text string")
+    got = rows(chat.digests(chat.parse(chat.render(chat.fold_events(chat.log_of_turns(log))))), "conv_id")
+    assert all(got[i].loss_sha256 == sha(2 * t) and got[i].n_turns == 2 for i, t in raw.items())
+    pages_ = df.selectExpr("doc_id AS page_id", "'u' AS url", "text AS html", "key AS payload_digest")
+    got = rows(warc.checked(warc.read_archives(warc.archive_pages(pages_))), "page_id")
+    assert {i: (r.payload_bytes, r.payload_digest) for i, r in got.items()} == {i: (len(t), sha(t)) for i, t in raw.items()}
+
+
+def test_turns_come_back_from_derived_logs(spark):
+    """Posts, streams, edits and regenerations all occur, and fold to the turns, rows of one turn included."""
+    turns = [(c, t, ["user", "assistant"][t % 2], None if (c + t) % 11 == 0 else f"text {c} {t} \U0001f600 <l") for c in range(9) for t in range(9)] + [(3, 2, "user", "again"), (3, 2, "user", "again")]
+    df = spark.createDataFrame([(*x, "s", 1) for x in turns], "conv_id long, turn long, role string, text string, part string, seq int").repartition(3)
+    log = chat.log_of_turns(df)
+    assert {r.op for r in log.select("op").distinct().collect()} == {"post", "delta", "edit", "regenerate"}
+    got = {r.conv_id: [(t.role, t.text) for t in r.turns] for r in chat.parse(chat.render(chat.fold_events(log))).collect()}
+    for c in range(9):
+        assert got[c] == [(r, x or "") for _, t, r, x in sorted((x for x in turns if x[0] == c), key=lambda x: (x[1], x[2], x[3] or ""))]
+
+
+def test_a_revisit_needs_its_response(spark):
+    _, df = pages(spark)
+    records = warc.read_archives(warc.archive_pages(df))
+    assert warc.checked(records).count() == 10
+    with pytest.raises(ValueError):
+        warc.checked(records.where("not (record_type = 'response' and page_id = 2)"))
+
+
+def test_long_white_space_is_encoded_as_by_the_library(tokenizer):
+    from avcurate.llm import tokens
+
+    ids, rng = tokens.TextIds(tokenizer("byte_bpe_50k.json")), random.Random(2)
+    for _ in range(30):
+        gaps = [rng.choice([" ", "\n", " \n", "\u3000", "\xa0 "]) * rng.choice([1, 2000, tokens.LONG_GAP - 1, tokens.LONG_GAP, tokens.LONG_GAP + 1]) for _ in range(3)]
+        text = rng.choice(["", "a "]) + "".join(g + rng.choice(["x", "é1", "!"]) for g in gaps[:-1]) + gaps[-1] + rng.choice(["", "z"])
+        assert ids(text) == ids.tok.encode(text, add_special_tokens=False).ids
+
+
+def test_images_in_step_equal_images_alone():
+    rng = random.Random(4)
+    for _ in range(12):
+        payloads = []
+        for _ in range(rng.randint(1, 8)):
+            letters = rng.choice([b"ab", bytes(range(256)), b"etaoin shrdlu.,mnopqrstABC", "дом это язык ж".encode(), b"0123456789abcdef-_."])
+            body = bytes(rng.choices(letters, k=rng.randint(1, 4000)))
+            body = body[: rng.randint(1, 600)] * rng.randint(1, 12) + body
+            payloads.append(body + b" " * (-len(body) % 192))
+        stored = webp.encode_payloads(payloads)
+        assert webp.decode_payloads(stored) == payloads and [webp.encode_payload(p) for p in payloads] == stored
+        for p, m in zip(payloads, stored):
+            assert b"".join((webp.decode_vp8l(x) >> np.uint32(8)).astype(np.uint8).tobytes() for x in webp.containers(m)) == p
+    with pytest.raises(ValueError):
+        webp.encode_payload(b"abc")
+    cut = webp.encode_payload(bytes(range(192)) * 8)
+    with pytest.raises(ValueError):
+        webp.decode_payload(cut[:4] + struct.pack("<I", len(cut) - 208) + cut[8:16] + struct.pack("<I", len(cut) - 220) + cut[20:-200])
+
+
+def test_near_copies_of_repeated_and_null_ids(spark):
+    t = " ".join(f"word{i}" for i in range(60))
+    df = spark.createDataFrame([(7, t, 1), (7, t, 2), (None, t, 3), (7, "another text", 4), (2, "third", 5), (None, "fourth one", 6)], "doc_id long, text string, rid int")
+    kept_ = sorted((r.doc_id or 0, r.text) for r in simhash.keep_one(df).collect())
+    assert kept_ == sorted([(7, t), (7, "another text"), (2, "third"), (0, "fourth one")])
+    assert simhash.keep_one(df).columns == df.columns
