@@ -2,6 +2,10 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; it is written as Parquet and read
 again as the next stage's docs. All but the last return the columns of documents.
+
+Edge cases: a null or empty text has no language and goes in the first stage; rows that repeat an
+id, or have none, are documents of their own; equal texts are near copies; further columns of any
+name pass through the first three stages; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -9,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from avcurate.llm import langid, packing, repeats, simhash
-from avcurate.llm.common import stage
+from avcurate.llm.common import stage, staging
 from avcurate.llm.queries import table, tokenizer
 
 #: Words of a shingle, and the similarity, of the near-duplicate stage.
@@ -34,6 +38,7 @@ def remove_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of sequences of 2048 tokens; a text that lost all its words is a piece with the end id alone."""
     return packing.pack_documents(docs, tokenizer("byte_bpe_50k.json"))
 
 
@@ -52,3 +57,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for name, f in STAGES[:-1]:
         docs = stage(f(spark, docs, sf_dir), f"pipeline-{name}")
     return STAGES[-1][1](spark, docs, sf_dir)
+
+
+def run_to(spark: SparkSession, sf_dir: str, path: str) -> None:
+    """Write the rows of ``run`` to ``path`` and remove what the stages have staged."""
+    with staging(spark):
+        run(spark, sf_dir).write.parquet(path)
