@@ -203,6 +203,7 @@ def find_runs(docs: DataFrame, length: int, gram: int, words: int | None = None)
             kind = decide_locally(anchor, e)
             h = anchor.view(np.int64)
             pk = np.where(kind % WHOLE >= FULL, e.view(np.int64) ^ rid[doc], h)
+            h = np.where(kind % WHOLE == CONTESTED, h, 0)  # of the others pk has it, or nothing asks for it
             yield pd.DataFrame({"pk": pk, "h": h, "e": e.view(np.int64), "kind": kind, "rid": rid[doc], "first": (base[doc] + first).astype(np.int32), "n": n.astype(np.int32), "at": at.astype(np.int32), "words": of_words})
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -226,8 +227,9 @@ def settle_runs(runs: DataFrame) -> DataFrame:
             whole, kind = g.kind.to_numpy() >= WHOLE, g.kind.to_numpy() % WHOLE
             contested = (kind == CONTESTED) | (kind == CONTESTED_SENT)
             full = whole | (kind == FULL)
+            own_h = np.where(kind < FULL, g.pk.to_numpy(), g.h.to_numpy())
             open_ = np.flatnonzero(kind < FULL)
-            h, e, k = g.h.to_numpy()[open_], g.e.to_numpy()[open_], kind[open_]
+            h, e, k = own_h[open_], g.e.to_numpy()[open_], kind[open_]
             order = np.lexsort((e, h))
             open_, h, e, k = open_[order], h[order], e[order], k[order]
             if len(h):
@@ -238,7 +240,7 @@ def settle_runs(runs: DataFrame) -> DataFrame:
                 contested[open_[varied]] = True
                 full[open_[~varied & twins]] = True
             take = np.r_[np.flatnonzero(full), np.flatnonzero(contested)]  # a run may be both
-            return g[["rid", "first", "n", "words", "h", "at"]].iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
+            return g[["rid", "first", "n", "words"]].assign(h=own_h, at=g["at"]).iloc[take].assign(contested=np.arange(len(take)) >= full.sum())
 
         for b in batches:
             if not len(b):
@@ -266,14 +268,14 @@ def packed(texts: DataFrame) -> DataFrame:
     return texts.mapInPandas(fresh(run), "rid long, z binary")
 
 
-def with_lists(texts: DataFrame, spans: DataFrame, how: str, columns: tuple[str, ...] = ("first", "n", "words")) -> DataFrame:
-    """Packed texts with the lists of the ``columns`` of their spans."""
+def with_lists(z: DataFrame, spans: DataFrame, how: str, columns: tuple[str, ...] = ("first", "n", "words")) -> DataFrame:
+    """Packed texts with the lists of the ``columns`` of their spans. All calls take one frame of packed texts, so that one plan deals them once."""
     lists = spans.groupBy("rid").agg(F.sort_array(F.collect_list(F.struct(*columns))).alias("s"))
     lists = lists.select("rid", *[F.col(f"s.{c}").alias(c) for c in columns])
-    return packed(texts).join(lists.hint("shuffle_merge"), "rid", how)
+    return z.join(lists.hint("shuffle_merge"), "rid", how)
 
 
-def blocks_of(first: int, n: int, at: int, h: int, block: int | None) -> Iterator[tuple[int, int, int, int | None]]:
+def blocks_of(first: int, n: int, at: int, block: int) -> Iterator[tuple[int, int, int, int | None]]:
     """(first, n, at, block number) of the parts of a run whose windows have their anchor in one block of places; the run whole without ``block``."""
     if not block:
         yield first, n, at, None
@@ -286,19 +288,19 @@ def blocks_of(first: int, n: int, at: int, h: int, block: int | None) -> Iterato
         j += k
 
 
-def deal_runs(texts: DataFrame, runs: DataFrame, lengths: tuple[int, int | None], block: int | None) -> DataFrame:
-    """ROWS: contested runs (rid, first, n, words, h, at), or their blocks, with their units, by anchor or by what the windows of a block share.
+def deal_runs(z: DataFrame, runs: DataFrame, lengths: tuple[int, int | None]) -> DataFrame:
+    """ROWS: contested runs (rid, first, n, words, h, at, block) with their units, whole by their anchors, or in blocks by what the windows of a block share.
 
     Of equal rows of a batch the first has its units and is a ``twin``; the others, without units, are decided.
     """
 
     def rows(raw: bytes, rid: int, lists) -> Iterator[tuple]:
         split = None
-        for first, n, of_words, h, at in zip(*lists):
+        for first, n, of_words, h, at, block in zip(*lists):
             length = lengths[1] if of_words else lengths[0]
             if of_words and split is None:
                 split = raw.split()
-            for f, k, a, q in blocks_of(int(first), int(n), int(at), int(h), block):
+            for f, k, a, q in blocks_of(int(first), int(n), int(at), int(block)):
                 units = split[f : f + k + length - 1] if of_words else raw[f : f + k + length - 1]
                 key = int(h)
                 if q is not None:  # the windows of block q hold so many units before the anchor, and up to there after it
@@ -315,7 +317,7 @@ def deal_runs(texts: DataFrame, runs: DataFrame, lengths: tuple[int, int | None]
 
         for b in batches:
             held, seen, size = [], {}, 0
-            for z, rid, *lists in zip(b.z, b.rid, b["first"], b.n, b.words, b.h, b["at"]):
+            for z, rid, *lists in zip(b.z, b.rid, b["first"], b.n, b.words, b.h, b["at"], b.block):
                 for r in rows(d.decompress(z), rid, lists):
                     same = r[1], r[0], r[5], r[4], r[6]
                     seen[same] = seen.get(same, 0) + 1
@@ -330,7 +332,7 @@ def deal_runs(texts: DataFrame, runs: DataFrame, lengths: tuple[int, int | None]
             if held:
                 yield send(held, seen)
 
-    return with_lists(texts, runs, "inner", ("first", "n", "words", "h", "at")).mapInPandas(fresh(run), ROWS)
+    return with_lists(z, runs, "inner", ("first", "n", "words", "h", "at", "block")).mapInPandas(fresh(run), ROWS)
 
 
 def merged_runs(rows: DataFrame, lengths: tuple[int, int | None]) -> DataFrame:
@@ -373,23 +375,29 @@ def merged_runs(rows: DataFrame, lengths: tuple[int, int | None]) -> DataFrame:
     return dealt.mapInPandas(fresh(run), SPANS)
 
 
-def contested_windows(texts: DataFrame, contested: DataFrame, lengths: tuple[int, int | None]) -> list[DataFrame]:
+def contested_windows(z: DataFrame, contested: DataFrame, lengths: tuple[int, int | None]) -> list[DataFrame]:
     """SPANS of the windows of contested runs that begin elsewhere too; keys that many rows share are split."""
     spans = [x.split()[0] for x in SPANS.split(", ")]
 
     def crowded(rows: DataFrame, key: str) -> DataFrame:
         return stage(rows.groupBy("words", key).agg(F.count("*").alias("rows")).where(F.col("rows") > GROUP).select("words", key), "repeat-crowded")
 
+    def runs(rows: DataFrame, block: int) -> DataFrame:
+        return rows.select(*spans, "h", "at", F.lit(block).alias("block"))
+
     many = crowded(contested, "h")
     if many.isEmpty():
-        return [merged_runs(deal_runs(texts, contested, lengths, None), lengths)]
-    found = [merged_runs(deal_runs(texts, contested.join(many, ["words", "h"], "left_anti"), lengths, None), lengths)]
-    blocks = stage(deal_runs(texts, contested.join(many, ["words", "h"], "left_semi"), lengths, BLOCK), "repeat-blocks", "zstd")
-    many = crowded(blocks.where("units is not null"), "key")
-    found.append(merged_runs(blocks.join(many, ["words", "key"], "left_anti"), lengths))
-    rest = blocks.join(many, ["words", "key"], "left_semi")
-    windows = rest.where("units is not null").select(*spans, F.col("key").alias("h"), "at")
-    return [*found, rest.where("units is null or twin").select(*spans), merged_runs(deal_runs(texts, windows, lengths, 1), lengths)]
+        return [merged_runs(deal_runs(z, runs(contested, 0), lengths), lengths)]
+    blocks = stage(deal_runs(z, runs(contested.join(many, ["words", "h"], "left_semi"), BLOCK), lengths), "repeat-blocks", "zstd")
+    more = crowded(blocks.where("units is not null"), "key")
+    rest = blocks.join(more, ["words", "key"], "left_semi")
+    windows = rest.where("units is not null").withColumnRenamed("key", "h")
+    alone = runs(contested.join(many, ["words", "h"], "left_anti"), 0).unionByName(runs(windows, 1))  # one pass over the texts for both
+    return [
+        merged_runs(deal_runs(z, alone, lengths), lengths),
+        merged_runs(blocks.join(more, ["words", "key"], "left_anti"), lengths),
+        rest.where("units is null or twin").select(*spans),
+    ]
 
 
 def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
@@ -402,12 +410,12 @@ def rows_by_id(docs: DataFrame) -> tuple[DataFrame, DataFrame, bool]:
     return docs, spread(docs.select("rid", "text")), not odd
 
 
-def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, words: int | None = None) -> DataFrame:
-    """(rid, first, n, words): starts of repeated windows, as intervals that may touch or overlap."""
+def repeated_spans(texts: DataFrame, z: DataFrame, length: int = 400, gram: int = 128, words: int | None = None) -> DataFrame:
+    """(rid, first, n, words): starts of repeated windows, as intervals that may touch or overlap; z has the texts packed."""
     gram = min(gram, top_gram(length))
-    settled = stage(settle_runs(find_runs(texts, length, gram, words)), "repeat-runs")
+    settled = stage(settle_runs(find_runs(texts, length, gram, words)), "repeat-runs", "zstd")
     whole = settled.where("not contested").select("rid", "first", "n", "words")
-    return union_all([whole, *contested_windows(texts, settled.where("contested"), (length, words))])
+    return union_all([whole, *contested_windows(z, settled.where("contested"), (length, words))])
 
 
 def intervals(raw: bytes, first, n, words, length: int, n_words: int | None) -> tuple[np.ndarray, np.ndarray]:
@@ -424,7 +432,7 @@ def intervals(raw: bytes, first, n, words, length: int, n_words: int | None) ->
     return lo[new], hi[np.r_[np.flatnonzero(new)[1:] - 1, len(hi) - 1]]
 
 
-def cleaned(texts: DataFrame, spans: DataFrame, length: int, n_words: int | None = None, with_text: bool = False) -> DataFrame:
+def cleaned(z: DataFrame, spans: DataFrame, length: int, n_words: int | None = None, with_text: bool = False) -> DataFrame:
     """rid, n_bytes, n_removed, n_spans, kept_sha256 of every text, by repeated strings alone; with_text adds what is left without repeated passages too, and whether something was cut."""
     schema = "rid long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", left string, cut boolean" * with_text
 
@@ -453,7 +461,7 @@ def cleaned(texts: DataFrame, spans: DataFrame, length: int, n_words: int | None
             if out:
                 yield pd.DataFrame(out, columns=[x.split()[0] for x in schema.split(", ")])
 
-    return with_lists(texts, spans, "left").mapInPandas(fresh(run), schema)
+    return with_lists(z, spans, "left").mapInPandas(fresh(run), schema)
 
 
 def repeats(docs: DataFrame, length: int = 400, words: int | None = None, **options) -> DataFrame:
@@ -462,7 +470,8 @@ def repeats(docs: DataFrame, length: int = 400, words: int | None = None, **opti
     With ``words``, also text: what is left when repeated passages of so many words go too (null texts stay null).
     """
     rows, texts, same = rows_by_id(docs.select("doc_id", "text"))
-    out = cleaned(texts, repeated_spans(texts, length, words=words, **options), length, words, words is not None)
+    z = packed(texts)
+    out = cleaned(z, repeated_spans(texts, z, length, words=words, **options), length, words, words is not None)
     columns = ["n_bytes", "n_removed", "n_spans", "kept_sha256", *[F.col("left").alias("text")] * bool(words)]
     if same:
         return out.select(F.col("rid").alias("doc_id"), *columns)
@@ -477,7 +486,8 @@ def remove_repeats(docs: DataFrame, length: int = 400, words: int | None = None,
     """
     own = renamed(docs, ("doc_id", "text", "n_chars"))
     rows, texts, _ = rows_by_id(own)
-    out = cleaned(texts, repeated_spans(texts, length, words=words, **options), length, words, True).where("cut").select("rid", "left")
-    joined = rows.join(stage(out, "repeat-texts"), "rid", "left")
+    z = packed(texts)
+    out = cleaned(z, repeated_spans(texts, z, length, words=words, **options), length, words, True).where("cut").select("rid", "left")
+    joined = rows.join(stage(out, "repeat-texts", "zstd"), "rid", "left")
     new = {"text": F.coalesce("left", "text"), "n_chars": F.when(F.col("left").isNotNull(), F.length("left").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in own.columns else None}
     return joined.select(*[new.get(c, F.col(c)) for c in own.columns]).toDF(*docs.columns)

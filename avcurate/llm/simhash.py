@@ -236,21 +236,31 @@ def grow(ids: list[int], sets: list[np.ndarray], whole: list[bool], similarity:
     if len(ids) < 2:
         return []
     size, all_ = np.array([len(x) for x in sets]), np.array(whole)
-    table = np.concatenate(sets)
-    row = np.repeat(np.arange(len(ids)), size)
+    items, place = np.unique(np.concatenate(sets), return_inverse=True)
+    row, mine = np.repeat(np.arange(len(ids)), size), np.split(place, np.cumsum(size)[:-1])
+    held, marked = len(ids), np.zeros(len(items), bool)
     out, root, edge, left = [], 0, [0], np.arange(1, len(ids))
     while len(left):
         if not edge:
             root, edge, left = int(left[0]), [int(left[0])], left[1:]
             continue
+        if 2 * len(left) < held:  # rows that left need not be looked at again
+            stays = np.zeros(len(ids), bool)
+            stays[left] = True
+            row, place, held = row[stays[row]], place[stays[row]], len(left)
         i = edge.pop()
-        common = np.bincount(row[np.isin(table, sets[i])], minlength=len(ids))[left]
+        marked[mine[i]] = True
+        common = np.bincount(row[marked[place]], minlength=len(ids))[left]
+        marked[mine[i]] = False
         union = size[i] + size[left] - common
         exact = all_[i] & all_[left]
         # what sketches share bounds the similarity from above, and is it for whole sets
         may = common >= similarity * np.where(exact, union, np.minimum(union, SKETCH)) - 1e-9
-        near = [int(j) for j in left[may] if resemblance(sets[i], sets[j], all_[i] and all_[j]) >= similarity]
-        left = left[~np.isin(left, near)]
+        take = may & exact & (common / np.maximum(union, 1) >= similarity)
+        open_ = np.flatnonzero(may & ~exact)
+        take[open_] = [resemblance(sets[i], sets[j], False) >= similarity for j in left[open_]]
+        near = left[take].tolist()
+        left = left[~take]
         edge += near
         out += [(ids[j], ids[root]) for j in near]
     return out
