@@ -4,16 +4,21 @@ from __future__ import annotations
 
 from pyspark.sql import SparkSession
 
-EACH = "zip_with(split(hyp, '\\x1e'), split(ref, '\\x1e'), (h, r) -> {})"
+from avcurate.functions.text import BREAK
+
+EACH = f"zip_with(split(hyp, '{BREAK}'), split(ref, '{BREAK}'), (h, r) -> {{}})"
 SUM = "aggregate({}, 0L, (total, n) -> total + n)"
-EDITS = SUM.format(EACH.format("cast(levenshtein(coalesce(h, ''), coalesce(r, '')) AS BIGINT)"))
+FULL = "levenshtein(coalesce(h, ''), coalesce(r, ''))"
+NEAR = "abs(length(coalesce(h, '')) - length(coalesce(r, ''))) <= 4"
+#: Where utterances are about equally long a narrow band is tried first.
+EDITS = SUM.format(EACH.format(f"cast(CASE WHEN h = r THEN 0 WHEN {NEAR} THEN coalesce(nullif(levenshtein(coalesce(h, ''), coalesce(r, ''), 8), -1), {FULL}) ELSE {FULL} END AS BIGINT)"))
 LONGER = SUM.format(EACH.format("cast(greatest(length(coalesce(h, '')), length(coalesce(r, ''))) AS BIGINT)"))
-REF = "length(replace(ref, '\\x1e', ''))"
+HYP, REF = (f"length(replace({x}, '{BREAK}', ''))" for x in ("hyp", "ref"))
 
 #: name, arguments, result, body; transcripts are sequences of utterances, as in functions/text.py
 FUNCTIONS = (
     ("asr_confidence", "hyp STRING, ref STRING", "DOUBLE", f"CASE WHEN {LONGER} = 0 THEN 1D ELSE 1D - {EDITS} / {LONGER} END"),
-    ("cer", "hyp STRING, ref STRING", "DOUBLE", f"CASE WHEN length(replace(hyp, '\\x1e', '')) = 0 AND {REF} = 0 THEN 0D WHEN {REF} > 0 THEN {EDITS} / {REF} END"),
+    ("cer", "hyp STRING, ref STRING", "DOUBLE", f"CASE WHEN {HYP} = 0 AND {REF} = 0 THEN 0D WHEN {REF} > 0 THEN {EDITS} / {REF} END"),
     ("vec_dot", "a ARRAY<DOUBLE>, b ARRAY<DOUBLE>", "DOUBLE", "aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, v) -> s + v)"),
     ("cosine", "a ARRAY<DOUBLE>, b ARRAY<DOUBLE>", "DOUBLE", "vec_dot(a, b) / nullif(sqrt(vec_dot(a, a)) * sqrt(vec_dot(b, b)), 0D)"),
     ("comprehensive_score", "cer DOUBLE, sim DOUBLE, alpha DOUBLE", "DOUBLE", "(1D - alpha) * (1D - cer) + alpha * sim"),
