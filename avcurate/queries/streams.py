@@ -76,5 +76,5 @@ def s_stateful_interp(spark, d):
     path = shared_path(spark, "cents")
     cents.unionByName(ends).repartition(2, "clip_id").write.parquet(path)
     stream = spark.readStream.schema(cents.schema).option("maxFilesPerTrigger", 1).parquet(path)
-    out = online.run_to_parquet(online.interpolate_online(stream))
+    out = online.run_to_parquet(online.interpolate_online(stream, idle_ms=None))  # each clip has a row that closes it
     return rounded(out.withColumn("clip_id", F.col("clip_id").cast("int")), "cx", "cy")

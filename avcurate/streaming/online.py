@@ -60,8 +60,8 @@ IDLE_MS = 3_600_000
 GAP_STATE = "last_no long, last_x double, last_y double, gap array<long>"
 
 
-def fill_gaps(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    """Frames of a clip in order: a gap waits for the next valid frame; a row with ``closes``, or time without rows, ends the clip and its state."""
+def fill_gaps(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState, idle_ms: int | None = IDLE_MS) -> Iterator[pd.DataFrame]:
+    """Frames of a clip in order: a gap waits for the next valid frame; a row with ``closes``, or ``idle_ms`` without rows, ends the clip and its state."""
     if state.hasTimedOut:
         _, x, y, gap = state.get
         state.remove()
@@ -87,13 +87,22 @@ def fill_gaps(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) ->
             state.remove()
     else:
         state.update((last_no, x, y, gap))
-        state.setTimeoutDuration(IDLE_MS)
+        if idle_ms is not None:
+            state.setTimeoutDuration(idle_ms)
     yield pd.DataFrame(out, columns=["clip_id", "frame_no", "cx", "cy", "filled"])
 
 
-def interpolate_online(cents: DataFrame) -> DataFrame:
-    """cents (clip_id, frame_no, cx, cy, closes) as a stream, each clip's frames in order over the batches; a clip without rows for IDLE_MS is closed."""
-    return cents.groupBy("clip_id").applyInPandasWithState(fill_gaps, FILLED, GAP_STATE, "append", GroupStateTimeout.ProcessingTimeTimeout)
+def interpolate_online(cents: DataFrame, idle_ms: int | None = IDLE_MS) -> DataFrame:
+    """cents (clip_id, frame_no, cx, cy, closes) as a stream, each clip's frames in order over the batches; a clip without rows for ``idle_ms`` is closed.
+
+    With None only ``closes`` ends a clip. A run over what is there needs that: with timeouts of processing time Spark adds batches without rows and never ends.
+    """
+    timeout = GroupStateTimeout.NoTimeout if idle_ms is None else GroupStateTimeout.ProcessingTimeTimeout
+
+    def fill(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        return fill_gaps(key, frames, state, idle_ms)
+
+    return cents.groupBy("clip_id").applyInPandasWithState(fill, FILLED, GAP_STATE, "append", timeout)
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
