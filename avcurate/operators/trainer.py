@@ -1,8 +1,9 @@
 """Softmax regression over vectors, trained by schedules of easy and hard examples.
 
-One pass over the data for each epoch: tasks send one gradient each (classes x (dims + 1)
+One pass over the data for each step: tasks send one gradient each (classes x (dims + 1)
 numbers), the driver steps, and the next pass reads the new weights. Rows of a phase are a filter,
-not a copy for each epoch. The lineage doesn't grow, since weights live on the driver.
+not a copy for each epoch; schedules that are compared share their passes. The lineage doesn't
+grow, since weights live on the driver.
 """
 
 from __future__ import annotations
@@ -30,26 +31,29 @@ def _matrix(vecs) -> np.ndarray:
     return np.hstack([v, np.ones((len(v), 1))])
 
 
-def gradient(rows: DataFrame, w: np.ndarray) -> tuple[np.ndarray, float, int]:
-    """Summed gradient, summed loss, rows."""
+def gradients(rows: DataFrame, ws: list[np.ndarray]) -> list[tuple[np.ndarray, float, int]]:
+    """Summed gradient, summed loss, rows of each of ``ws`` over the rows that its column (``_0``, ``_1``, ...) marks, by one pass for all."""
     def part(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        g, loss, n = np.zeros_like(w), 0.0, 0
+        g, loss, n = [np.zeros_like(w) for w in ws], [0.0] * len(ws), [0] * len(ws)
         for b in batches:
             if not len(b):
                 continue
-            x, y = _matrix(b.vec), b.y.to_numpy()
-            p = _probs(x, w)
-            loss -= float(np.log(np.maximum(p[np.arange(len(y)), y], 1e-12)).sum())
-            p[np.arange(len(y)), y] -= 1
-            g, n = g + p.T @ x, n + len(y)
-        yield pd.DataFrame({"g": [g.ravel().tolist()], "loss": [loss], "n": [n]})
-
-    parts = rows.select("vec", "y").mapInPandas(part, "g array<double>, loss double, n long").select(F.posexplode("g").alias("i", "v"), "loss", "n")
-    sums = parts.groupBy("i").agg(F.sum("v").alias("v"), F.sum("loss").alias("loss"), F.sum("n").alias("n")).collect()  # as many rows as weights
-    g = np.zeros(w.size)
+            all_x, all_y = _matrix(b.vec), b.y.to_numpy()
+            for k, w in enumerate(ws):
+                reads = b[f"_{k}"].to_numpy(dtype=bool)
+                x, y = all_x[reads], all_y[reads]
+                p = _probs(x, w)
+                loss[k] -= float(np.log(np.maximum(p[np.arange(len(y)), y], 1e-12)).sum())
+                p[np.arange(len(y)), y] -= 1
+                g[k], n[k] = g[k] + p.T @ x, n[k] + len(y)
+        yield pd.DataFrame({"k": range(len(ws)), "g": [x.ravel().tolist() for x in g], "loss": loss, "n": n})
+
+    parts = rows.mapInPandas(part, "k int, g array<double>, loss double, n long").select("k", F.posexplode("g").alias("i", "v"), "loss", "n")
+    sums = parts.groupBy("k", "i").agg(F.sum("v").alias("v"), F.sum("loss").alias("loss"), F.sum("n").alias("n")).collect()  # as many rows as weights
+    out = [[np.zeros(w.size), 0.0, 0] for w in ws]
     for r in sums:
-        g[r.i] = r.v
-    return g.reshape(w.shape), (sums[0].loss if sums else 0.0), (sums[0].n if sums else 0)
+        out[r.k][0][r.i], out[r.k][1], out[r.k][2] = r.v, r.loss, r.n
+    return [(g.reshape(w.shape), loss, n) for (g, loss, n), w in zip(out, ws)]
 
 
 def passes(mode: str, easy_epochs: int, hard_epochs: int) -> list[tuple[int, int, Column]]:
@@ -59,36 +63,59 @@ def passes(mode: str, easy_epochs: int, hard_epochs: int) -> list[tuple[int, int
     return [(p, e, F.col("split").isin(*splits)) for p, splits, epochs in MODES[mode](easy_epochs, hard_epochs) for e in range(1, epochs + 1)]
 
 
-def fit_curriculum(train: DataFrame, mode: str = "two_phase", classes: int = 10, dims: int = 64, easy_epochs: int = 3, hard_epochs: int = 5, steps: int = 4, lr: float = 4.0, frozen: list[int] | None = None) -> tuple[np.ndarray, list[tuple]]:
-    """(weights, history of (phase, epoch, loss)); train has vec, y, split, and bucket for ``ranked``. ``frozen`` classes keep their weights."""
-    w, history = np.zeros((classes, dims + 1)), []
-    train = train.select("vec", "y", "split", *["bucket"] * (mode == "ranked")).persist()
-    for phase, epoch, reads in passes(mode, easy_epochs, hard_epochs):
-        rows = train.where(reads)
+def fit_schedules(train: DataFrame, modes: tuple[str, ...], classes: int = 10, dims: int = 64, easy_epochs: int = 3, hard_epochs: int = 5, steps: int = 4, lr: float = 4.0, frozen: list[int] | None = None) -> dict[str, tuple[np.ndarray, list[tuple]]]:
+    """(weights, history of (phase, epoch, loss)) of each mode; train has vec, y, split, and bucket for ``ranked``. ``frozen`` classes keep their weights.
+
+    The n-th epochs of all schedules are one set of passes, in which each schedule sees its own rows.
+    """
+    ws, history = {m: np.zeros((classes, dims + 1)) for m in modes}, {m: [] for m in modes}
+    plans = {m: passes(m, easy_epochs, hard_epochs) for m in modes}
+    train = train.select("vec", "y", "split", *["bucket"] * ("ranked" in modes)).persist()
+    for at in range(max(map(len, plans.values()))):
+        live = [m for m in modes if at < len(plans[m])]
+        marks = [F.coalesce(plans[m][at][2], F.lit(False)).alias(f"_{k}") for k, m in enumerate(live)]
+        rows = train.select("vec", "y", *marks).where(F.greatest(*[F.col(f"_{k}") for k in range(len(live))]) if len(live) > 1 else F.col("_0"))
+        last = {}
         for _ in range(steps):
-            g, loss, n = gradient(rows, w)
-            if not n:
-                break
-            if frozen:
-                g[frozen] = 0
-            w = w - lr * g / n
-        history.append((phase, epoch, loss / n if n else None))
+            for m, (g, loss, n) in zip(live, gradients(rows, [ws[m] for m in live])):
+                last[m] = loss / n if n else None
+                if frozen:
+                    g[frozen] = 0
+                if n:
+                    ws[m] = ws[m] - lr * g / n
+        for m in live:
+            history[m].append((*plans[m][at][:2], last.get(m)))
     train.unpersist()
-    return w, history
+    return {m: (ws[m], history[m]) for m in modes}
 
 
-def evaluate(rows: DataFrame, w: np.ndarray, by: tuple[str, ...] = ("part", "split")) -> DataFrame:
-    """n, loss and accuracy of the weights, by groups."""
-    keys = list(by)
-    schema = ", ".join(f"{k} string" for k in keys) + ", loss double, hit int"
+def fit_curriculum(train: DataFrame, mode: str = "two_phase", **fit) -> tuple[np.ndarray, list[tuple]]:
+    """Weights and history of one schedule."""
+    return fit_schedules(train, (mode,), **fit)[mode]
+
+
+def evaluate_each(rows: DataFrame, ws: dict[str, np.ndarray], by: tuple[str, ...] = ("part", "split")) -> DataFrame:
+    """schedule, *by, n, loss and accuracy of each of the weights, by groups; one pass for all."""
+    keys, weights = list(by), list(ws.values())
+    schema = ", ".join([f"{k} string" for k in keys] + [f"loss{k} double, hit{k} int" for k in range(len(weights))])
 
     def part(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             if len(b):
-                p, y = _probs(_matrix(b.vec), w), b.y.to_numpy()
-                yield b[keys].assign(loss=-np.log(np.maximum(p[np.arange(len(y)), y], 1e-12)), hit=(p.argmax(axis=1) == y).astype("int32"))
+                x, y, out = _matrix(b.vec), b.y.to_numpy(), b[keys]
+                for k, w in enumerate(weights):
+                    p = _probs(x, w)
+                    out = out.assign(**{f"loss{k}": -np.log(np.maximum(p[np.arange(len(y)), y], 1e-12)), f"hit{k}": (p.argmax(axis=1) == y).astype("int32")})
+                yield out
 
-    return rows.select(*keys, "vec", "y").mapInPandas(part, schema).groupBy(*keys).agg(F.count("*").alias("n"), F.avg("loss").alias("loss"), F.avg("hit").alias("accuracy"))
+    means = [F.struct(F.lit(name).alias("schedule"), F.avg(f"loss{k}").alias("loss"), F.avg(f"hit{k}").alias("accuracy")) for k, name in enumerate(ws)]
+    g = rows.select(*keys, "vec", "y").mapInPandas(part, schema).groupBy(*keys).agg(F.count("*").alias("n"), F.array(*means).alias("_each"))
+    return g.select(*keys, "n", F.inline("_each")).select("schedule", *keys, "n", "loss", "accuracy")
+
+
+def evaluate(rows: DataFrame, w: np.ndarray, by: tuple[str, ...] = ("part", "split")) -> DataFrame:
+    """n, loss and accuracy of the weights, by groups."""
+    return evaluate_each(rows, {"": w}, by).drop("schedule")
 
 
 def with_quality(df: DataFrame, reject_share: float = 0.39) -> DataFrame:
@@ -126,10 +153,6 @@ ALL_MODES = (*MODES, "ranked")
 
 
 def compare_schedules(df: DataFrame, modes: tuple[str, ...] = ALL_MODES, **fit) -> DataFrame:
-    """schedule, part, split, n, loss, accuracy of one fit for each schedule; ``ranked`` reads the column ``bucket``."""
-    out = None
-    for mode in modes:
-        w, _ = fit_curriculum(df.where("part = 'train'"), mode, **fit)
-        e = evaluate(df, w).withColumn("schedule", F.lit(mode))
-        out = e if out is None else out.unionByName(e)
-    return out.select("schedule", "part", "split", "n", "loss", "accuracy")
+    """schedule, part, split, n, loss, accuracy of one fit for each schedule; ``ranked`` reads the column ``bucket``. Store a costly df before: training and the result each read it."""
+    fits = fit_schedules(df.where("part = 'train'"), modes, **fit)
+    return evaluate_each(df, {m: w for m, (w, _) in fits.items()})
