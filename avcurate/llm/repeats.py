@@ -38,13 +38,16 @@ from itertools import repeat
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import zstandard as zstd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 from xxhash import xxh64_intdigest
 
 from avcurate.llm import bwt
-from avcurate.llm.common import fresh, n_parts, renamed, spread, stage, union_all
+from avcurate.llm.common import fresh, map_values, n_parts, release, renamed, spread, stage, union_all
 
 POSITION = 24  # bits of a position in a batch's buffer
 UNDECIDED, CONTESTED_SENT, FULL, CONTESTED = range(4)
@@ -258,18 +261,18 @@ def settle_runs(runs: DataFrame) -> DataFrame:
 
 
 def packed(texts: DataFrame) -> DataFrame:
-    """(rid, z): texts compressed before they are dealt; null stays null."""
+    """The rows with their ``text`` compressed, as ``z``, before they are dealt; null stays null."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def make():
+        release()
         c = zstd.ZstdCompressor(level=1)
-        for b in batches:
-            yield pd.DataFrame({"rid": b.rid, "z": [None if t is None else c.compress(t.encode("utf-8")) for t in b.text]})
+        return lambda texts: [[None if t is None else c.compress(t.encode("utf-8")) for t in texts]]
 
-    return texts.mapInPandas(fresh(run), "rid long, z binary")
+    return map_values(texts, "text", make, "z binary")
 
 
 def with_lists(z: DataFrame, spans: DataFrame, how: str, columns: tuple[str, ...] = ("first", "n", "words")) -> DataFrame:
-    """Packed texts with the lists of the ``columns`` of their spans. All calls take one frame of packed texts, so that one plan deals them once."""
+    """Packed texts with the lists of the ``columns`` of their spans. All calls of one plan take one frame of packed texts and read all of its columns, so that it deals them once."""
     lists = spans.groupBy("rid").agg(F.sort_array(F.collect_list(F.struct(*columns))).alias("s"))
     lists = lists.select("rid", *[F.col(f"s.{c}").alias(c) for c in columns])
     return z.join(lists.hint("shuffle_merge"), "rid", how)
@@ -308,14 +311,17 @@ def deal_runs(z: DataFrame, runs: DataFrame, lengths: tuple[int, int | None]) ->
                     key = xxh64_intdigest(b" ".join(core) if of_words else core, q) - (1 << 63)
                 yield key, bool(of_words), rid, f, k, a, b" ".join(units) if of_words else units
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    sent = to_arrow_schema(StructType.fromDDL(ROWS))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         d = zstd.ZstdDecompressor()
-        names = [x.split()[0] for x in ROWS.split(", ")]
 
-        def send(held: list[tuple], seen: dict[tuple, int]) -> pd.DataFrame:
-            return pd.DataFrame([(*r, r[6] is not None and seen[r[1], r[0], r[5], r[4], r[6]] > 1) for r in held], columns=names).astype({"twin": bool, "words": bool})
+        def send(held: list[tuple], seen: dict[tuple, int]) -> pa.RecordBatch:
+            whole = [(*r, r[6] is not None and seen[r[1], r[0], r[5], r[4], r[6]] > 1) for r in held]
+            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(zip(*whole), sent.types)], schema=sent)
 
         for b in batches:
+            b = b.select(["rid", "z", "first", "n", "words", "h", "at", "block"]).to_pandas()
             held, seen, size = [], {}, 0
             for z, rid, *lists in zip(b.z, b.rid, b["first"], b.n, b.words, b.h, b["at"], b.block):
                 for r in rows(d.decompress(z), rid, lists):
@@ -332,7 +338,7 @@ def deal_runs(z: DataFrame, runs: DataFrame, lengths: tuple[int, int | None]) ->
             if held:
                 yield send(held, seen)
 
-    return with_lists(z, runs, "inner", ("first", "n", "words", "h", "at", "block")).mapInPandas(fresh(run), ROWS)
+    return with_lists(z, runs, "inner", ("first", "n", "words", "h", "at", "block")).mapInArrow(fresh(run), ROWS)
 
 
 def merged_runs(rows: DataFrame, lengths: tuple[int, int | None]) -> DataFrame:
@@ -388,7 +394,7 @@ def contested_windows(z: DataFrame, contested: DataFrame, lengths: tuple[int, in
     many = crowded(contested, "h")
     if many.isEmpty():
         return [merged_runs(deal_runs(z, runs(contested, 0), lengths), lengths)]
-    blocks = stage(deal_runs(z, runs(contested.join(many, ["words", "h"], "left_semi"), BLOCK), lengths), "repeat-blocks", "zstd")
+    blocks = stage(deal_runs(z.select("rid", "z"), runs(contested.join(many, ["words", "h"], "left_semi"), BLOCK), lengths), "repeat-blocks", "zstd")
     more = crowded(blocks.where("units is not null"), "key")
     rest = blocks.join(more, ["words", "key"], "left_semi")
     windows = rest.where("units is not null").withColumnRenamed("key", "h")
@@ -433,8 +439,14 @@ def intervals(raw: bytes, first, n, words, length: int, n_words: int | None) ->
 
 
 def cleaned(z: DataFrame, spans: DataFrame, length: int, n_words: int | None = None, with_text: bool = False) -> DataFrame:
-    """rid, n_bytes, n_removed, n_spans, kept_sha256 of every text, by repeated strings alone; with_text adds what is left without repeated passages too, and whether something was cut."""
-    schema = "rid long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", left string, cut boolean" * with_text
+    """rid, n_bytes, n_removed, n_spans, kept_sha256 of every text, by repeated strings alone, and the other columns of z.
+
+    with_text adds what is left without repeated passages too, and whether something was cut.
+    """
+    dealt = with_lists(z, spans, "left")
+    others = [c for c in z.columns if c not in ("rid", "z")]
+    own = StructType.fromDDL("rid long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", left string, cut boolean" * with_text)
+    types = to_arrow_schema(own).types
 
     def without(raw: bytes, first, n, words) -> tuple[bytes, int, int]:
         if first is None or not len(first):
@@ -442,10 +454,16 @@ def cleaned(z: DataFrame, spans: DataFrame, length: int, n_words: int | None = N
         lo, hi = intervals(raw, first, n, words, length, n_words)
         return b"".join([raw[a:z] for a, z in zip([0, *hi.tolist()], [*lo.tolist(), len(raw)])]), int((hi - lo).sum()), len(lo)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         d = zstd.ZstdDecompressor()
-        for b in batches:
-            out, size = [], 0
+        for batch in batches:
+            b = batch.select(["rid", "z", "first", "n", "words"]).to_pandas()
+            out, size, begin = [], 0, 0
+
+            def send(out: list[tuple], begin: int) -> pa.RecordBatch:
+                passed = [batch.column(c).slice(begin, len(out)) for c in others]
+                return pa.RecordBatch.from_arrays([*(pa.array(v, t) for v, t in zip(zip(*out), types)), *passed], names=own.names + others)
+
             for rid, z, first, n, words in zip(b.rid, b.z, b["first"], b.n, b.words):
                 raw, of_bytes = b"" if z is None else d.decompress(z), None if first is None else ~np.asarray(words, bool)
                 kept, removed, parts = without(raw, *((None,) * 3 if first is None else (x[of_bytes] for x in (first, n, words))))
@@ -456,12 +474,12 @@ def cleaned(z: DataFrame, spans: DataFrame, length: int, n_words: int | None = N
                     size += len(left)
                 out.append(row)
                 if len(out) >= 2000 or size > 4 << 20:
-                    yield pd.DataFrame(out, columns=[x.split()[0] for x in schema.split(", ")])
-                    out, size = [], 0
+                    yield send(out, begin)
+                    out, size, begin = [], 0, begin + len(out)
             if out:
-                yield pd.DataFrame(out, columns=[x.split()[0] for x in schema.split(", ")])
+                yield send(out, begin)
 
-    return with_lists(z, spans, "left").mapInPandas(fresh(run), schema)
+    return dealt.mapInArrow(fresh(run), StructType(own.fields + [z.schema[c] for c in others]))
 
 
 def repeats(docs: DataFrame, length: int = 400, words: int | None = None, **options) -> DataFrame:
@@ -486,8 +504,7 @@ def remove_repeats(docs: DataFrame, length: int = 400, words: int | None = None,
     """
     own = renamed(docs, ("doc_id", "text", "n_chars"))
     rows, texts, _ = rows_by_id(own)
-    z = packed(texts)
-    out = cleaned(z, repeated_spans(texts, z, length, words=words, **options), length, words, True).where("cut").select("rid", "left")
-    joined = rows.join(stage(out, "repeat-texts", "zstd"), "rid", "left")
-    new = {"text": F.coalesce("left", "text"), "n_chars": F.when(F.col("left").isNotNull(), F.length("left").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in own.columns else None}
-    return joined.select(*[new.get(c, F.col(c)) for c in own.columns]).toDF(*docs.columns)
+    z = packed(spread(rows))  # with all columns, so that no text meets its row again
+    out = cleaned(z, repeated_spans(texts, z, length, words=words, **options), length, words, True)
+    new = {"text": F.col("left"), "n_chars": F.when(F.col("cut"), F.length("left").cast("long")).otherwise(F.col("n_chars"))}
+    return out.select(*[new.get(c, F.col(c)) for c in own.columns]).toDF(*docs.columns)

@@ -518,6 +518,19 @@ def test_remove_repeats_keeps_rows_and_columns(docs, texts):
         assert got[10 * i + 3].text == (None if t is None else left)
 
 
+def test_remove_repeats_deals_texts_once(spark):
+    """What is left of a text has its row's columns of any type already: nothing is joined to them after that."""
+    t = "".join(random.Random(2).choices("abcdefgh", k=900))
+    df = spark.createDataFrame([(1, t, 900), (2, t[:450] + "é", 451), (3, None, None), (4, "x", 7)], "doc_id long, text string, n_chars int").selectExpr(
+        "*", "array(named_struct('a', doc_id, 'b', map('k', text))) AS nested", "timestamp'2024-01-01 00:00:00' AS at", "1.50BD AS price", "binary(text) AS rid", "doc_id * 9007199254740993 AS z", "CAST(NULL AS long) AS first",
+    )
+    out = repeats.remove_repeats(df)
+    assert "Join" not in out._jdf.queryExecution().optimizedPlan().toString().split("MapInArrow")[0]
+    got, own = rows(out), rows(df)
+    assert {i: (r.text, r.n_chars) for i, r in got.items()} == {1: (t[450:], 450), 2: ("é", 1), 3: (None, None), 4: ("x", 7)}
+    assert all(r[3:] == own[i][3:] for i, r in got.items()) and out.columns == df.columns
+
+
 @pytest.mark.parametrize("parts", [1, 4])
 def test_pipeline_removes_passages_of_more_than_50_words(spark, parts):
     """Passages of 51 to 65 words go from all texts, of any word length and white space between; those of 50 stay."""
